@@ -26,7 +26,30 @@ f AS (SELECT rid, arg_max(h || q, length(h || q)) AS rule, arg_max(verdict, leng
 SELECT page_id, host, path, rule, coalesce(verdict, 'allow') AS verdict FROM p LEFT JOIN f USING (rid)
 """
 
+OP9 = rf"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, string_split(coalesce(text, ''), chr(10)) AS w FROM documents),
+l AS (SELECT rid, doc_id, i, w[i] AS line, {LOWERED.format(x="trim(w[i], ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13))")} AS k
+      FROM (SELECT *, unnest(range(1, len(w) + 1)) AS i FROM d)),
+g AS (SELECT k, max(doc_id) AS top FROM l WHERE length(k) >= 20 GROUP BY k HAVING count(DISTINCT doc_id) >= 3),
+m AS (SELECT rid, doc_id, i, line, top IS NOT NULL AND doc_id IS DISTINCT FROM top AS gone FROM l LEFT JOIN g USING (k))
+SELECT doc_id, count(*) AS n_lines, CAST(sum(CAST(gone AS INT)) AS BIGINT) AS n_dropped,
+       sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE NOT gone), '')) AS kept_sha256
+FROM m GROUP BY rid, doc_id
+"""
+
+OP3 = """
+WITH v AS (SELECT row_number() OVER () AS rid, vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS w FROM embeddings
+           WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR isnan(x) OR isinf(x))) = 0),
+t AS (SELECT rid, vec_id, unnest(w) AS x, unnest(range(len(w))) AS i FROM v),
+s AS (SELECT q.rid AS q_rid, q.vec_id AS query_id, c.rid, c.vec_id, CAST(sum(q.x * c.x) AS BIGINT) AS score
+      FROM t q JOIN t c ON q.i = c.i AND q.vec_id % 50 = 0 AND q.vec_id <> c.vec_id GROUP BY ALL),
+r AS (SELECT *, row_number() OVER (PARTITION BY q_rid ORDER BY score DESC, vec_id) AS rank FROM s)
+SELECT query_id, CAST(rank AS INT) AS rank, vec_id, score FROM r WHERE rank <= 5
+"""
+
 ORACLES = {
+    "op3_exact_top_k": OP3,
     "op4_benchmark_decontamination": OP4,
     "op8_url_filter": OP8,
+    "op9_line_dedup": OP9,
 }

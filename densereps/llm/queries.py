@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densereps.llm import decontaminate, url_filter
+from densereps.llm import bpe, decontaminate, line_dedup, simhash, topk, url_filter
 
 #: Fixed rules of the URL query: verdict, host, path.
 URL_RULES = [
@@ -36,7 +37,38 @@ def op4_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     )
 
 
+def op5_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select(
+        F.col("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id")
+    )
+
+
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    kept = line_dedup.drop_lines(docs, "n_lines", "n_dropped")
+    return kept.select("doc_id", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
+def op3_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return topk.top_k(vectors, vectors.filter(F.col("vec_id") % 50 == 0))
+
+
+def op7_byte_level_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    coded = bpe.encode_and_decode(docs, "codes", path, public_tokenizers.PATTERN)
+    return coded.select(
+        "doc_id", "codes.n_tokens", F.sha2("codes.ids", 256).alias("ids_sha256"), F.sha2("codes.decoded", 256).alias("decoded_sha256")
+    )
+
+
 QUERIES = {
+    "op3_exact_top_k": op3_exact_top_k,
     "op4_benchmark_decontamination": op4_benchmark_decontamination,
+    "op5_simhash_near_dedup": op5_simhash_near_dedup,
+    "op7_byte_level_bpe": op7_byte_level_bpe,
     "op8_url_filter": op8_url_filter,
+    "op9_line_dedup": op9_line_dedup,
 }
