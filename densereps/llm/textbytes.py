@@ -63,12 +63,17 @@ class Words:
     hash: np.ndarray
     text: np.ndarray
     lowered: np.ndarray
+    stems: dict[int, np.ndarray]
 
 
-def words(data: np.ndarray, at: np.ndarray, size: int = CHUNK) -> Words:
-    """Words of [0-9a-z and non-ASCII] in lower-cased bytes; none crosses a text's end."""
+def words(data: np.ndarray, at: np.ndarray, size: int = CHUNK, stems: tuple[int, ...] = ()) -> Words:
+    """Words of [0-9a-z and non-ASCII] in lower-cased bytes; none crosses a text's end.
+
+    stems: lengths in bytes; for each, the hash of every word's first so many bytes (of all, if it has fewer).
+    """
     lowered = LOWER[data]
     starts, ends, hashes = [], [], []
+    stem_hashes: dict[int, list[np.ndarray]] = {k: [] for k in stems}
     begin = 0
     while begin < len(lowered):
         stop = min(len(lowered), begin + size)
@@ -94,13 +99,17 @@ def words(data: np.ndarray, at: np.ndarray, size: int = CHUNK) -> Words:
                 weighted = (part[where].astype(np.uint64) + np.uint64(1)) * table[place]
                 h = np.add.reduceat(weighted, np.cumsum(lengths) - lengths)
                 h = (h ^ (h >> np.uint64(29))) * _STEP
+                for k in stems:
+                    g = np.add.reduceat(np.where(place < k, weighted, 0), np.cumsum(lengths) - lengths)
+                    stem_hashes[k].append((g ^ (g >> np.uint64(29))) * _STEP + np.uint64(k))
             starts.append(s + begin)
             ends.append(e + begin)
             hashes.append(h)
         begin = stop
     join = lambda parts, kind: np.concatenate(parts) if parts else np.zeros(0, kind)
     start = join(starts, np.int64)
-    return Words(start, join(ends, np.int64), join(hashes, np.uint64), np.searchsorted(at, start, "right") - 1, lowered)
+    firsts = {k: join(v, np.uint64) for k, v in stem_hashes.items()}
+    return Words(start, join(ends, np.int64), join(hashes, np.uint64), np.searchsorted(at, start, "right") - 1, lowered, firsts)
 
 
 def per_text(values: np.ndarray, text: np.ndarray, n: int) -> np.ndarray:
