@@ -175,7 +175,6 @@ def scan_contamination(
     return docs
 
 
-@F.arrow_udf("string")
 def _without(batches: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
     for texts, spans in batches:
         out = []
@@ -199,5 +198,5 @@ def remove_contamination(docs: DataFrame, benchmark: DataFrame, how: str = "docu
     if how == "documents":
         return seen.filter(~is_contaminated(F.col(own))).drop(own)
     if how == "spans":
-        return seen.withColumn(text_col, _without(F.col(text_col), F.col(own)["spans"])).drop(own)
+        return seen.withColumn(text_col, F.arrow_udf(_without, "string")(F.col(text_col), F.col(own)["spans"])).drop(own)
     raise ValueError(f"how is documents or spans, not {how!r}")

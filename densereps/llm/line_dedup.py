@@ -166,7 +166,6 @@ def _dropped(n: int, settled: dict):
     return run
 
 
-@F.arrow_udf("binary")
 def _bitmap(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
     for positions in batches:
         out = []
@@ -183,7 +182,6 @@ def read_bitmap(packed: bytes, n_lines: int) -> np.ndarray:
     return np.concatenate([bits, np.ones(n_lines - len(bits), bool)])
 
 
-@F.arrow_udf("struct<text: string, n_dropped: long>")
 def _apply(batches: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
     for texts, bitmaps in batches:
         kept, gone = [], []
@@ -211,7 +209,7 @@ def keep_bitmaps(
     settled = _settle(edges, min_docs)
     dropped = rows.mapInArrow(_dropped(min_docs, settled), _DROPPED)
     gathered = dropped.groupBy("doc", "whole").agg(F.collect_set("pos").alias("pos"))
-    return gathered.select("doc", "whole", _bitmap("pos").alias("bitmap"))
+    return gathered.select("doc", "whole", F.arrow_udf(_bitmap, "binary")("pos").alias("bitmap"))
 
 
 def drop_lines(
@@ -227,7 +225,7 @@ def drop_lines(
         side, docs[id_col].cast("long").eqNullSafe(side[own["doc"]]) & (F.xxhash64(docs[text_col]) == side[own["whole"]]), "left"
     )
     loses = F.col(own["bitmap"]).isNotNull()
-    met = met.withColumn(own["out"], _apply(F.when(loses, F.col(text_col)), F.col(own["bitmap"])))
+    met = met.withColumn(own["out"], F.arrow_udf(_apply, "struct<text: string, n_dropped: long>")(F.when(loses, F.col(text_col)), F.col(own["bitmap"])))
     counted = F.size(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n", -1)).cast("long")
     text = F.when(loses, F.col(own["out"])["text"]).otherwise(F.col(text_col))
     named = [(counted, n_lines), (F.col(own["out"])["n_dropped"], n_dropped)]

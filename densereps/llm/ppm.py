@@ -204,9 +204,10 @@ def build_trie(level: np.ndarray, gram: np.ndarray, n: np.ndarray, order: int =
             "norm_x": np.where(rest + rest_escape > 0, np.log10(rest + rest_escape), 0).astype(np.float32),
             "esc_x": np.where(rest_escape > 0, np.log10(rest_escape) - np.log10(rest + rest_escape), 0).astype(np.float32),
         }
+    table = {k: np.append(v, np.float32(0)) for k, v in table.items()}  # what row -1, none, stands for
     root = symbols[0] if len(nodes) and node_level[0] == 0 else 0
     return table | {
-        "order": order, "grams": grams, "nodes": nodes_at, "up": up.astype(np.int32), "last": -math.log10(max(1.0, 256 - root))
+        "order": order, "grams": grams, "nodes": nodes_at, "up": np.append(up, -1).astype(np.int32), "last": -math.log10(max(1.0, 256 - root))
     }
 
 
@@ -219,7 +220,7 @@ def _log_probability(trie: dict, key: np.ndarray) -> np.ndarray:
     out[hit] = trie["full"][found[hit]]
     left = np.flatnonzero(~hit)
     child = _find(trie["nodes"], _tagged(order, key[left] >> np.uint64(8)))
-    out[left] += np.where(child >= 0, trie["esc"][child], 0) if len(trie["esc"]) else 0
+    out[left] += trie["esc"][child]
     for j in range(order - 1, -1, -1):
         if not len(left):
             return out
@@ -227,13 +228,13 @@ def _log_probability(trie: dict, key: np.ndarray) -> np.ndarray:
         found = _find(trie["grams"], _tagged(j, gram))
         hit = found >= 0
         f, c = found[hit], child[hit]
-        out[left[hit]] += np.where(c >= 0, trie["log_n"][f] - trie["norm_x"][c], trie["full"][f]) if len(f) else 0
+        out[left[hit]] += np.where(c >= 0, trie["log_n"][f] - trie["norm_x"][c], trie["full"][f])
         left, child, gram = left[~hit], child[~hit], gram[~hit]
         known = child >= 0
         node = _find(trie["nodes"], _tagged(j, gram[~known] >> np.uint64(8)))
         step = np.zeros(len(left), np.float32)
         step[known] = trie["esc_x"][child[known]]
-        step[~known] = np.where(node >= 0, trie["esc"][node], 0) if len(node) else 0
+        step[~known] = trie["esc"][node]
         out[left] += step
         child[known] = trie["up"][child[known]]
         child[~known] = node

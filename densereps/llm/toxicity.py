@@ -27,10 +27,10 @@ from densereps.llm.textbytes import chunks, words
 
 #: Bound of the labelled sample, of the selected features, and the folds.
 MAX_ROWS, MAX_FEATURES, FOLDS = 6000, 384, 5
-STEMS = (4, 5, 6)
+STEMS = (3, 4, 5, 6)
 #: A category's name, its label column, and the label that means it.
 CATEGORIES = (("low_quality", "quality", 0), ("toxic", "toxic", 1))
-RIDGE, MIN_ROWS, MIN_SCORE = 3.0, 4, 4.0
+RIDGE, MIN_ROWS, MIN_SCORE = 1.0, 4, 4.0
 _BITS = 18
 
 
