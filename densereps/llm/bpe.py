@@ -4,8 +4,8 @@ A text is cut into words by the pattern. The corpus's distinct words are counted
 frequent ones are merged by Spark higher-order functions: a word is an array of byte pieces, and each step of the
 fold joins the leftmost neighbours of least rank. The rank map is a literal: an array of buckets, by the pair's
 hash, of (piece, rank). The merged words, bounded by MAX_WORDS of at most MAX_FOLD bytes, are broadcast; any
-other word, longer or rarer, gets the same merges, in linear space, where it occurs. Decoding concatenates the
-pieces of the ids.
+other word, longer or rarer, gets the same merges where it occurs: those of a stretch of texts together, one pair of
+each word in a step, and words of over MAX_TOGETHER bytes one by one with a heap. Decoding concatenates the pieces.
 
 Defined results: a null or empty text has no ids and decodes to nothing; special tokens are ordinary text; texts
 are read whole; columns besides the text pass through.
@@ -20,18 +20,23 @@ from collections import Counter
 from collections.abc import Iterator
 from zlib import crc32
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from densereps.llm.hashtable import find_slot, hash_table
 from densereps.plans.lineage import cut
 
 #: Distinct words whose merges are folded and broadcast, and the longest of them in bytes.
 MAX_WORDS, MAX_FOLD = 1 << 16, 24
 #: Rarer words that a task keeps at once.
 CACHE = 1 << 16
+#: Bytes of the longest rarer word that is merged together with others.
+MAX_TOGETHER = 64
 _BUCKETS = 1 << 16
+_NONE = 2**31 - 1
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -64,6 +69,60 @@ def merge(word: bytes, ranks: dict[bytes, int]) -> list[int]:
     return [ranks[word[i : end[i]]] for i in range(n) if alive[i]]
 
 
+def pair_table(ranks: dict[bytes, int]) -> dict:
+    """For merging many words at once: single bytes' ids, and the id that each pair of ids becomes, by hashed pair."""
+    pairs: dict[int, int] = {}
+    for piece, rank in ranks.items():
+        for k in range(1, len(piece)):
+            if (a := ranks.get(piece[:k])) is not None and (b := ranks.get(piece[k:])) is not None:
+                pairs[a << 32 | b] = rank
+    keys = np.fromiter(pairs, np.uint64, len(pairs))
+    slots, rows = hash_table(keys)
+    joined = np.append(np.fromiter(pairs.values(), np.int64, len(pairs)), _NONE).astype(np.int32)
+    single = np.array([ranks.get(bytes([b]), -1) for b in range(256)], np.int32)
+    return {"slots": slots, "joined": joined[rows], "single": single}
+
+
+def _rank_pairs(table: dict, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """What each pair of ids becomes, _NONE if nothing."""
+    at = find_slot(table["slots"], a.astype(np.uint64) << np.uint64(32) | b.astype(np.uint64))
+    return np.where(at >= 0, table["joined"][at], _NONE)
+
+
+def merge_many(words: list[bytes], table: dict) -> list[bytes]:
+    """merge() of many words of similar length at once, as little-endian 32-bit ids: a step joins one pair in each word."""
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    width = int(sizes.max())
+    column = np.arange(width)
+    inside = column < sizes[:, None]
+    ids = np.full((len(words), width), -1, np.int32)
+    ids[inside] = table["single"][np.frombuffer(b"".join(words), np.uint8)]
+    ranks = np.full((len(words), width), _NONE, np.int32)
+    pair = inside[:, 1:]
+    ranks[:, :-1][pair] = _rank_pairs(table, ids[:, :-1][pair], ids[:, 1:][pair])
+    left = np.flatnonzero(ranks.min(axis=1) < _NONE)
+    live, rank = ids[left], ranks[left]
+    while len(left):
+        row = np.arange(len(left))
+        at = rank.argmin(axis=1)  # leftmost
+        live[row, at] = rank[row, at]
+        shifted = np.minimum(column + (column > at[:, None]), width - 1)
+        sizes[left] -= 1
+        n = sizes[left]
+        live = np.take_along_axis(live, shifted, axis=1)
+        rank = np.take_along_axis(rank, np.minimum(column + (column >= at[:, None]), width - 1), axis=1)
+        rank[row, n - 1] = _NONE
+        for place in (at - 1, at):
+            ok = np.flatnonzero((place >= 0) & (place + 1 < n))
+            rank[ok, place[ok]] = _rank_pairs(table, live[ok, place[ok]], live[ok, place[ok] + 1])
+        done = rank.min(axis=1) == _NONE
+        ids[left[done]] = live[done]
+        left, live, rank = left[~done], live[~done], rank[~done]
+    flat = ids[column < sizes[:, None]].astype("<u4").tobytes()
+    ends = (np.cumsum(sizes) * 4).tolist()
+    return [flat[b - 4 * k : b] for b, k in zip(ends, sizes.tolist(), strict=True)]
+
+
 def _bucket(piece: Column) -> Column:
     return F.pmod(F.crc32(piece), F.lit(_BUCKETS)).cast("int")
 
@@ -166,32 +225,52 @@ def frequent_words(docs: DataFrame, pattern: str, text_col: str = "text", max_wo
 CODES = "ids binary, n_tokens long, decoded binary"
 
 
-def _coder(spark: SparkSession, folded: list, ranks: dict[bytes, int], pattern: str):
-    held = spark.sparkContext.broadcast((dict(folded), ranks))
+def _coder(spark: SparkSession, folded: list, ranks: dict[bytes, int], pattern: str, size: int = 1 << 19):
+    held = spark.sparkContext.broadcast((dict(folded), ranks, pair_table(ranks)))
 
     @F.arrow_udf(CODES)
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         find = regex.compile(pattern).findall
-        packed, ranked = held.value
-        pieces = {r.to_bytes(4, "little"): p for p, r in ranked.items()}
+        packed, ranked, table = held.value
+        pieces = [b""] * (max(ranked.values(), default=-1) + 1)
+        for piece, rank in ranked.items():
+            pieces[rank] = piece
         rare: dict[str, bytes] = {}
 
-        def code(word: str) -> bytes:
-            if (ids := packed.get(word)) is None and (ids := rare.get(word)) is None:
-                ids = b"".join([i.to_bytes(4, "little") for i in merge(word.encode(), ranked)])
-                if len(rare) >= CACHE:
-                    rare.clear()
-                if len(word) <= 64:
-                    rare[word] = ids
-            return ids
+        def learn(words: set[str]) -> None:
+            """Merges words in groups of similar length; long ones one by one."""
+            groups: dict[int, list[tuple[str, bytes]]] = {}
+            for word in words:
+                raw = word.encode()
+                whole = ranked.get(raw)
+                if whole is not None:
+                    rare[word] = whole.to_bytes(4, "little")
+                elif len(raw) > MAX_TOGETHER:
+                    rare[word] = b"".join([i.to_bytes(4, "little") for i in merge(raw, ranked)])
+                else:
+                    groups.setdefault(-(-len(raw) // 4), []).append((word, raw))
+            for group in groups.values():
+                for at in range(0, len(group), 1 << 14):
+                    part = group[at : at + (1 << 14)]
+                    rare.update(zip([w for w, _ in part], merge_many([r for _, r in part], table), strict=True))
 
         for texts in batches:
-            ids, back = [], []
-            for text in texts:
-                word_ids = [code(w) for w in find(text.as_py() or "")]
-                raw = b"".join(word_ids)
-                ids.append(raw)
-                back.append(decode_ids(raw, pieces))
+            ids, back, at, all_texts = [], [], 0, texts.to_pylist()
+            while at < len(all_texts):
+                end, held_size = at, 0
+                while end < len(all_texts) and (end == at or held_size < size):
+                    held_size += len(all_texts[end] or "")
+                    end += 1
+                found = [find(t) if t else [] for t in all_texts[at:end]]
+                needed = set().union(*found).difference(packed)
+                if len(rare) + len(needed) > CACHE:
+                    rare.clear()
+                learn(needed.difference(rare))
+                for words in found:
+                    raw = b"".join([packed.get(w) or rare[w] for w in words])
+                    ids.append(raw)
+                    back.append(decode_ids(raw, pieces))
+                at = end
             yield pa.StructArray.from_arrays(
                 [pa.array(ids, pa.binary()), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(back, pa.binary())],
                 names=["ids", "n_tokens", "decoded"],
@@ -200,9 +279,9 @@ def _coder(spark: SparkSession, folded: list, ranks: dict[bytes, int], pattern:
     return run
 
 
-def decode_ids(raw: bytes, pieces: dict[bytes, bytes]) -> bytes:
+def decode_ids(raw: bytes, pieces: list[bytes]) -> bytes:
     """The pieces of little-endian 32-bit ids, concatenated."""
-    return b"".join([pieces[raw[i : i + 4]] for i in range(0, len(raw), 4)])
+    return b"".join(map(pieces.__getitem__, np.frombuffer(raw, "<u4").tolist()))
 
 
 def encode_and_decode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", **options) -> DataFrame:
