@@ -14,8 +14,8 @@ def _home(keys: np.ndarray, bits: int) -> np.ndarray:
 
 
 def hash_table(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(keys by slot, their rows by slot, -1 where free), at most a quarter full. Keys are distinct."""
-    bits = max(4, int(4 * max(1, len(keys)) - 1).bit_length())
+    """(keys by slot, their rows by slot, -1 where free), at most half full. Keys are distinct."""
+    bits = max(4, int(2 * max(1, len(keys)) - 1).bit_length())
     slots, rows = np.full(1 << bits, FREE), np.full(1 << bits, -1, np.int32)
     left, slot = np.arange(len(keys)), _home(keys, bits)
     while len(left):

@@ -31,16 +31,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from densereps.llm.hashtable import find_slot, hash_table
 from densereps.llm.textbytes import LOWER, buffers, chunks
-from densereps.plans.lineage import cut
+from densereps.plans.lineage import stored
 
-ORDER, MAX_GRAMS, MAX_WORDS = 5, 1_500_000, 1 << 17
+ORDER, MAX_GRAMS, MAX_WORDS = 5, 1_000_000, 1 << 17
 EDGE = 255
 SMOOTH = 0.1
 
-_SPREAD = np.uint64(0x9E3779B97F4A7C15)
-_FREE = np.uint64(0xFFFFFFFFFFFFFFFF)
-
 
 def _sequence(data: np.ndarray, at: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(bytes with start and end bytes, places of the predicted bytes, the text of each)."""
@@ -99,15 +97,11 @@ def _gram_counts(order: int, size: int = 4 << 20, flush: int = 1 << 20):
 
 def count_grams(texts: DataFrame, text_col: str = "text", order: int = ORDER) -> DataFrame:
     """(level, gram, n): counts of all byte grams of 1 to order + 1 bytes; level is the length of the context."""
-    top = cut(
-        texts.select(text_col).mapInArrow(_gram_counts(order), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    )
-    every, level = top.select(F.lit(order).alias("level"), "gram", "n"), top
-    for j in range(order - 1, -1, -1):
-        mask = (1 << (8 * (j + 1))) - 1
-        level = level.groupBy(F.col("gram").bitwiseAND(F.lit(mask)).alias("gram")).agg(F.sum("n").alias("n"))
-        every = every.unionByName(level.select(F.lit(j).alias("level"), "gram", "n"))
-    return cut(every)
+    top = texts.select(text_col).mapInArrow(_gram_counts(order), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    masks = F.array(*[F.struct(F.lit(j).alias("level"), F.lit((1 << (8 * (j + 1))) - 1).cast("long").alias("mask")) for j in range(order + 1)])
+    each = top.select("gram", "n", F.explode(masks).alias("m"))
+    cut_down = each.select("m.level", F.col("gram").bitwiseAND(F.col("m.mask")).alias("gram"), "n")
+    return stored(cut_down.groupBy("level", "gram").agg(F.sum("n").alias("n")))
 
 
 def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
@@ -126,40 +120,11 @@ def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
     return counts.filter(kind >= least)
 
 
-def _hash_table(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Open addressing, at most a quarter full: (keys, rows) by slot."""
-    bits = max(4, int(4 * max(1, len(keys)) - 1).bit_length())
-    slots, rows = np.full(1 << bits, _FREE), np.full(1 << bits, -1, np.int32)
-    left = np.arange(len(keys))
-    with np.errstate(over="ignore"):
-        slot = ((keys * _SPREAD) >> np.uint64(64 - bits)).astype(np.int64)
-    while len(left):
-        free = slots[slot] == _FREE
-        _, one = np.unique(slot[free], return_index=True)
-        put = np.flatnonzero(free)[one]
-        slots[slot[put]], rows[slot[put]] = keys[left[put]], left[put]
-        stay = np.ones(len(left), bool)
-        stay[put] = False
-        left, slot = left[stay], (slot[stay] + 1) & ((1 << bits) - 1)
-    return slots, rows
-
-
 def _find(table: tuple[np.ndarray, np.ndarray], keys: np.ndarray) -> np.ndarray:
     """Row of each key, or -1."""
     slots, rows = table
-    bits = len(slots).bit_length() - 1
-    with np.errstate(over="ignore"):
-        slot = ((keys * _SPREAD) >> np.uint64(64 - bits)).astype(np.int64)
-    at = slots[slot]
-    found = np.where(at == keys, rows[slot], -1)
-    left = np.flatnonzero((at != keys) & (at != _FREE))
-    while len(left):
-        slot[left] = (slot[left] + 1) & (len(slots) - 1)
-        at = slots[slot[left]]
-        same = at == keys[left]
-        found[left[same]] = rows[slot[left[same]]]
-        left = left[~same & (at != _FREE)]
-    return found
+    at = find_slot(slots, keys)
+    return np.where(at >= 0, rows[at], -1)
 
 
 def _tagged(level: np.ndarray | int, gram: np.ndarray) -> np.ndarray:
@@ -171,12 +136,12 @@ def build_trie(level: np.ndarray, gram: np.ndarray, n: np.ndarray, order: int =
     level, gram, n = level.astype(np.int64), gram.astype(np.uint64), n.astype(np.float64)
     by = np.lexsort((gram, level))
     level, gram, n = level[by], gram[by], n[by]
-    grams = _hash_table(_tagged(level, gram))
+    grams = hash_table(_tagged(level, gram))
     context = _tagged(level, gram >> np.uint64(8))
     first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(gram) else np.zeros(0, np.int64)
     node_of = np.cumsum(np.isin(np.arange(len(gram)), first)) - 1
     nodes, node_level = context[first], level[first]
-    nodes_at = _hash_table(nodes)
+    nodes_at = hash_table(nodes)
     kept = np.add.reduceat(n, first) if len(first) else np.zeros(0)
     symbols = np.diff(np.append(first, len(gram))).astype(np.float64)
     # A context's whole count is its own count as a gram; start bytes were never predicted.
@@ -349,7 +314,7 @@ def score_documents(
     """(id, held_out, n_tokens, n_known, train_tokens, base_score, score) for each row; learns from rows not held out."""
     rows = docs.select(F.col(id_col).alias("id"), held_out.alias("held_out"), F.col(text_col).alias("text"))
     train = rows.filter(~F.col("held_out"))
-    counts = cut(train.select("text").mapInArrow(_word_counts(), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
+    counts = stored(train.select("text").mapInArrow(_word_counts(), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
     sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
     ends = train.count()
     tokens, kinds = sums["n"] + ends, sums["v"] + (ends > 0)
@@ -359,7 +324,7 @@ def score_documents(
     costs = {bytes(r["word"]): cost(r["n"]) for r in common.collect()}  # at most max_words rows
     trie = train_trie(train, "text", order, max_grams)
     scored = rows.select("id", "held_out", _scorer(docs.sparkSession.sparkContext, trie, costs)("text").alias("s"))
-    scored = cut(scored.withColumn("rid", F.monotonically_increasing_id()))
+    scored = stored(scored.withColumn("rid", F.monotonically_increasing_id()))
     rare = scored.select("rid", F.explode("s.rare").alias("r")).select("rid", "r.word", "r.m")
     met = rare.join(counts, "word", "left").select(
         "rid", F.when(F.col("n").isNotNull(), F.col("m")).otherwise(0).cast("long").alias("known"),
