@@ -81,7 +81,9 @@ def _blobs(k: int, pitch: int, dialect: str) -> str:
 
 def _events(dialect: str) -> str:
     minutes = (
-        _div("unix_seconds(ts) - 1704067200", "60", dialect) if dialect == "spark" else "CAST((epoch_us(ts) // 1000000 - 1704067200) // 60 AS BIGINT)"
+        "CAST(timestampdiff(MINUTE, TIMESTAMP_NTZ'2024-01-01 00:00:00', CAST(ts AS TIMESTAMP_NTZ)) AS BIGINT)"
+        if dialect == "spark"
+        else "CAST((epoch_us(ts) // 1000000 - 1704067200) // 60 AS BIGINT)"
     )
     return f"SELECT event_id AS id, {minutes} AS x, CAST(round(100 * value) AS BIGINT) AS y, CAST(NULL AS INT) AS truth FROM events"
 
