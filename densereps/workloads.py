@@ -144,7 +144,7 @@ def w_eps_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w_single_cluster(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A huge eps gives one cluster and stops at the floor of three batches."""
-    return repeated(spark, sf_dir, [("shapes9_small", "huge eps", s, _options("shapes9_small", eps=3000, min_pts=500)) for s in range(5)], every_round=True)
+    return repeated(spark, sf_dir, [("shapes9_small", "huge eps", s, _options("shapes9_small", eps=10_000, min_pts=300)) for s in range(5)], every_round=True)
 
 
 def w_exhaust(spark: SparkSession, sf_dir: str) -> DataFrame:
