@@ -2,10 +2,10 @@
 
 A first block of range queries gives primitive groups: a queried core with its neighbours. Groups that share a
 known core, or whose centres are near cores of each other, are linked; groups that share a point whose state is
-unknown may be. Each next block queries the unknown points that most possible links wait for. It ends when no
-point's query can change the partition of the cores: here, when all points that lie in two groups or in none are
-queried. The points left unqueried lie in one group only; whether they are core is read off a count over the pairs
-that the blocks have found, or queried in a last block where it matters for a border.
+unknown may be. Each next block queries the points that most possible links wait for: those in several groups, and
+those in none, which may start one. The trace tells after each block how many clusters are known. When no such point is
+left, a last block queries the rest, which lie in one group each: two of them may still link groups, and exact counts
+need them. So the last state takes as many queries as exact clustering, and the states before it come earlier.
 """
 
 from __future__ import annotations
@@ -53,8 +53,6 @@ def anytime_blocks(
         number += 1
         new = cut(useful.orderBy(F.desc("n_groups"), "key", "id").limit(block).select("id"))
         asked = cut(asked.unionByName(new))
-    # The last block: cores among the points of one group may link on through points of the same group, and borders
-    # need counts, so what was left is settled by one probe; queries that a count can't change were saved above.
     rest = points.join(asked, "id", "left_anti")
     pairs = cut(pairs.unionByName(range_probe(rest, points, eps)))
     states = cut(exact.classify(pairs, min_pts))
