@@ -57,23 +57,41 @@ def _distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def select(rows: np.ndarray, feature: np.ndarray, y: np.ndarray, most: int = MAX_FEATURES) -> np.ndarray:
-    """The features whose presence among the positives differs most from chance, in units of its deviation."""
-    n, positive = len(y), y.mean()
-    kinds, own, df = np.unique(feature, return_inverse=True, return_counts=True)
-    hits = np.bincount(own, weights=y[rows], minlength=len(kinds))
+def encode(lengths: np.ndarray, feature: np.ndarray, least: int = MIN_ROWS, parts: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(rows, codes, features by code) of the features that at least so many rows have; in parts, to spare memory."""
+    row = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)
+    rows, codes, kinds, n = [np.zeros(0, np.int32)], [np.zeros(0, np.int32)], [np.zeros(0, np.int64)], 0
+    for part in range(parts):
+        here = np.flatnonzero((feature & (parts - 1)) == part)
+        found, own, df = np.unique(feature[here], return_inverse=True, return_counts=True)
+        often = df >= least
+        code = (np.cumsum(often) - 1 + n).astype(np.int32)
+        held = often[own]
+        rows.append(row[here[held]])
+        codes.append(code[own[held]])
+        kinds.append(found[often])
+        n += int(often.sum())
+    return np.concatenate(rows), np.concatenate(codes), np.concatenate(kinds)
+
+
+def select(rows: np.ndarray, codes: np.ndarray, n_codes: int, y: np.ndarray, use: np.ndarray, most: int = MAX_FEATURES) -> np.ndarray:
+    """The codes whose presence among the used rows' positives differs most from chance, in units of its deviation."""
+    n, positive = int(use.sum()), y[use].mean()
+    df = np.bincount(codes, weights=use[rows], minlength=n_codes)
+    hits = np.bincount(codes, weights=(use * y)[rows], minlength=n_codes)
     score = np.abs(hits - df * positive) / np.sqrt(np.maximum(df * positive * (1 - positive) * (1 - df / (n + 1)), 1e-9))
     ok = np.flatnonzero((df >= MIN_ROWS) & (score >= MIN_SCORE))
-    return np.sort(kinds[ok[np.argsort(-score[ok], kind="stable")[:most]]])
+    return np.sort(ok[np.argsort(-score[ok], kind="stable")[:most]])
 
 
-def design(rows: np.ndarray, feature: np.ndarray, n: int, chosen: np.ndarray, earlier: np.ndarray) -> np.ndarray:
-    """Presence of the chosen features, then the earlier categories' probabilities, then one."""
-    x = np.zeros((n, len(chosen) + earlier.shape[1] + 1))
-    if len(chosen):
-        at = np.minimum(np.searchsorted(chosen, feature), len(chosen) - 1)
-        hit = chosen[at] == feature
-        x[rows[hit], at[hit]] = 1
+def design(rows: np.ndarray, codes: np.ndarray, n_codes: int, chosen: np.ndarray, earlier: np.ndarray) -> np.ndarray:
+    """Presence of the chosen codes in every row, then the earlier categories' probabilities, then one."""
+    x = np.zeros((len(earlier), len(chosen) + earlier.shape[1] + 1))
+    column = np.full(n_codes, -1, np.int32)
+    column[chosen] = np.arange(len(chosen))
+    at = column[codes]
+    hit = at >= 0
+    x[rows[hit], at[hit]] = 1
     x[:, len(chosen) : -1] = earlier
     x[:, -1] = 1
     return x
@@ -98,11 +116,13 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit_chain(sets: list[np.ndarray], labels: np.ndarray, folds: int = FOLDS) -> list[dict]:
-    """One model for each column of labels: chosen features, weights (earlier probabilities and one last), threshold."""
-    n = len(sets)
-    rows = np.repeat(np.arange(n), [len(s) for s in sets])
-    feature = np.concatenate([np.zeros(0, np.int64), *sets])
+def fit_chain(lengths: np.ndarray, feature: np.ndarray, labels: np.ndarray, folds: int = FOLDS) -> list[dict]:
+    """One model for each column of labels: features, weights (earlier probabilities and one last), threshold.
+
+    lengths: distinct features of each row; feature: those of all rows, one row after another.
+    """
+    n = len(lengths)
+    rows, codes, kinds = encode(lengths, feature)
     fold = np.arange(n) % folds
     earlier, chain = np.zeros((n, 0)), []
     for j in range(labels.shape[1]):
@@ -118,15 +138,14 @@ def fit_chain(sets: list[np.ndarray], labels: np.ndarray, folds: int = FOLDS) ->
             if not held.any() or y[fit].min() == y[fit].max():
                 out[held] = y[fit].mean() if fit.any() else 0.5
                 continue
-            used = fit[rows]
-            place = np.cumsum(fit) - 1
-            chosen = select(place[rows[used]], feature[used], y[fit])
-            w = logistic(design(place[rows[used]], feature[used], int(fit.sum()), chosen, earlier[fit]), y[fit])
-            place = np.cumsum(held) - 1
-            used = held[rows]
-            out[held] = sigmoid(design(place[rows[used]], feature[used], int(held.sum()), chosen, earlier[held]) @ w)
-        chosen = select(rows, feature, y)
-        w = logistic(design(rows, feature, n, chosen, earlier), y)
+            chosen = select(rows, codes, len(kinds), y, fit)
+            x = design(rows, codes, len(kinds), chosen, earlier)
+            out[held] = sigmoid(x[held] @ logistic(x[fit], y[fit]))
+        chosen = select(rows, codes, len(kinds), y, np.ones(n, bool))
+        w = logistic(design(rows, codes, len(kinds), chosen, earlier), y)
+        by = np.argsort(kinds[chosen])  # scoring searches sorted features
+        w = np.concatenate([w[: len(chosen)][by], w[len(chosen) :]])
+        chosen = kinds[chosen][by]
         by = np.argsort(-out, kind="stable")
         right = np.cumsum(y[by])
         f1 = 2 * right / (np.arange(1, n + 1) + y.sum())
@@ -146,14 +165,17 @@ def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, id_col: str
     share = int((1 << 20) * min(1.0, max_rows / max(total, 1)))
     sample = known.filter(F.pmod(F.xxhash64(F.lit(6), F.col("i")), F.lit(1 << 20)) < share)  # bounded, so broadcast
     texts = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("text")).join(F.broadcast(sample), "i")
-    rows = texts.select("i", *[(F.col(c) == v).alias(name) for name, c, v in categories], "text")
+    rows = texts.orderBy("i", F.xxhash64("text")).select("i", *[(F.col(c) == v).alias(name) for name, c, v in categories], "text")
     schema = ", ".join(["i long", *[f"`{name}` boolean" for name, _, _ in categories], "features array<long>"])
     found = rows.withColumn("i", F.col("i").cast("long")).mapInArrow(_distinct, schema).toArrow()
-    if not found.num_rows:
-        return fit_chain([], np.zeros((0, len(categories))))
-    found = found.take(np.lexsort((np.asarray(found.column("features").combine_chunks().value_lengths()), found.column("i").to_numpy())))
-    sets = [np.asarray(x.values) for x in found.column("features")]
-    return fit_chain(sets, np.column_stack([found.column(name).to_numpy() for name, _, _ in categories]))
+    table = found.combine_chunks()
+    held = table.column("features").combine_chunks()
+    held = held.chunk(0) if isinstance(held, pa.ChunkedArray) and held.num_chunks else held
+    if not table.num_rows:
+        return fit_chain(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, len(categories))))
+    lengths = np.asarray(held.value_lengths())
+    labels = np.column_stack([table.column(name).to_numpy() for name, _, _ in categories])
+    return fit_chain(lengths, np.asarray(held.flatten()), labels)
 
 
 def probabilities(chain: list[dict], bitmap: np.ndarray, data: np.ndarray, at: np.ndarray) -> np.ndarray:
