@@ -57,13 +57,19 @@ def _distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def encode(lengths: np.ndarray, feature: np.ndarray, least: int = MIN_ROWS, parts: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def encode(lengths: np.ndarray, feature: list[np.ndarray], least: int = MIN_ROWS, parts: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(rows, codes, features by code) of the features that at least so many rows have; in parts, to spare memory."""
     row = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)
     rows, codes, kinds, n = [np.zeros(0, np.int32)], [np.zeros(0, np.int32)], [np.zeros(0, np.int64)], 0
     for part in range(parts):
-        here = np.flatnonzero((feature & (parts - 1)) == part)
-        found, own, df = np.unique(feature[here], return_inverse=True, return_counts=True)
+        at, places, values = 0, [], []
+        for piece in feature:  # as they came, without a copy of all
+            here = np.flatnonzero((piece & (parts - 1)) == part)
+            places.append(here + at)
+            values.append(piece[here])
+            at += len(piece)
+        here = np.concatenate([np.zeros(0, np.int64), *places])
+        found, own, df = np.unique(np.concatenate([np.zeros(0, np.int64), *values]), return_inverse=True, return_counts=True)
         often = df >= least
         code = (np.cumsum(often) - 1 + n).astype(np.int32)
         held = often[own]
@@ -116,10 +122,10 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit_chain(lengths: np.ndarray, feature: np.ndarray, labels: np.ndarray, folds: int = FOLDS) -> list[dict]:
+def fit_chain(lengths: np.ndarray, feature: list[np.ndarray], labels: np.ndarray, folds: int = FOLDS) -> list[dict]:
     """One model for each column of labels: features, weights (earlier probabilities and one last), threshold.
 
-    lengths: distinct features of each row; feature: those of all rows, one row after another.
+    lengths: distinct features of each row; feature: those of all rows, one row after another, in pieces.
     """
     n = len(lengths)
     rows, codes, kinds = encode(lengths, feature)
@@ -168,14 +174,10 @@ def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, id_col: str
     rows = texts.orderBy("i", F.xxhash64("text")).select("i", *[(F.col(c) == v).alias(name) for name, c, v in categories], "text")
     schema = ", ".join(["i long", *[f"`{name}` boolean" for name, _, _ in categories], "features array<long>"])
     found = rows.withColumn("i", F.col("i").cast("long")).mapInArrow(_distinct, schema).toArrow()
-    table = found.combine_chunks()
-    held = table.column("features").combine_chunks()
-    held = held.chunk(0) if isinstance(held, pa.ChunkedArray) and held.num_chunks else held
-    if not table.num_rows:
-        return fit_chain(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, len(categories))))
-    lengths = np.asarray(held.value_lengths())
-    labels = np.column_stack([table.column(name).to_numpy() for name, _, _ in categories])
-    return fit_chain(lengths, np.asarray(held.flatten()), labels)
+    pieces = found.column("features").chunks
+    lengths = np.concatenate([np.zeros(0, np.int64), *[np.asarray(x.value_lengths()) for x in pieces]])
+    labels = np.column_stack([found.column(name).to_numpy() for name, _, _ in categories])
+    return fit_chain(lengths, [np.asarray(x.flatten()) for x in pieces], labels)
 
 
 def probabilities(chain: list[dict], bitmap: np.ndarray, data: np.ndarray, at: np.ndarray) -> np.ndarray:

@@ -348,7 +348,7 @@ def test_chain_feeds_out_of_fold_probabilities():
     y0 = rng.random(400) < 0.5
     y1 = y0 ^ (rng.random(400) < 0.02)
     sets = [np.unique(np.append(rng.integers(1000, 1020, 5), 1 if a else 2)) for a in y0]
-    chain = toxicity.fit_chain(np.array([len(x) for x in sets]), np.concatenate(sets), np.column_stack([y0, y1]))
+    chain = toxicity.fit_chain(np.array([len(x) for x in sets]), sets, np.column_stack([y0, y1]))
     assert len(chain[1]["weights"]) == len(chain[1]["features"]) + 2  # one earlier probability, one intercept
 
 
