@@ -236,12 +236,16 @@ def near_duplicates(
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """docs with one row of each group of near copies: its least id."""
-    found = near_duplicates(docs, id_col, text_col, **options)
+    return keep_least(docs, near_duplicates(docs, id_col, text_col, **options), id_col, text_col)
+
+
+def keep_least(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with one row of each component of found(id, whole, root, component): its least id."""
     kept = found.filter(F.col("id").eqNullSafe(F.col("component"))).groupBy("root", "id").agg(F.min("whole").alias("whole"))
-    own = {x: f"__simhash_{x}" for x in ("id", "whole")}
-    side = cut(kept.select(F.col("id").alias(own["id"]), F.col("whole").alias(own["whole"])))
-    tagged = docs.withColumn(own["id"], F.col(id_col).cast("long")).withColumn(own["whole"], F.xxhash64(text_col))
-    met = tagged.join(
-        side, tagged[own["id"]].eqNullSafe(side[own["id"]]) & (tagged[own["whole"]] == side[own["whole"]]), "left_semi"
-    )
-    return met.dropDuplicates([own["id"], own["whole"]]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    # a null id as (0, true), so that the join and the fold below share one exchange
+    own = {x: f"__simhash_{x}" for x in ("id", "none", "whole")}
+    key = lambda c: (F.coalesce(c, F.lit(0)).alias(own["id"]), c.isNull().alias(own["none"]))
+    side = cut(kept.select(*key(F.col("id")), F.col("whole").alias(own["whole"])))
+    tagged = docs.select("*", *key(F.col(id_col).cast("long")), F.xxhash64(text_col).alias(own["whole"]))
+    met = tagged.join(side, list(own.values()), "left_semi")
+    return met.dropDuplicates(list(own.values())).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -13,7 +13,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from densereps.llm import bpe, decontaminate, langid, licenses, line_dedup, ppm, queries, simhash, topk, toxicity, url_filter
+from densereps.llm import bpe, decontaminate, langid, licenses, line_dedup, near_copies, ppm, queries, simhash, topk, toxicity, url_filter
 
 LINE = "this line is long enough to count"
 WORDS = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron".split()
@@ -169,6 +169,71 @@ def test_keep_one_of_each_group(docs):
     assert sorted(i for i in ids if i is not None) == [1, 2, 3, 4, 7, 8, 9, 11, 12] and ids.count(None) == 1
 
 
+# ---- near copies of the pipeline
+
+
+def five_word_sets(rows):
+    out = {}
+    for i, t in rows:
+        ws = t.lower().split()
+        out[i] = {tuple(ws[k : k + 5]) for k in range(max(1, len(ws) - 4))} if ws else set()
+    return out
+
+
+def brute_near_copies(rows):
+    """{id: least id that 0.8 links}"""
+    sets, up = five_word_sets(rows), {i: i for i, _ in rows}
+
+    def root(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for a in sets:
+        for b in sets:
+            if a < b and (sets[a] == sets[b] or 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])):
+                x, y = root(a), root(b)
+                up[max(x, y)] = min(x, y)
+    return {i: root(i) for i in up}
+
+
+def planted_copies(seed=4, n=60):
+    """Texts, and copies of them with 1 to 6 words changed: similarity 0.65 to 0.97."""
+    rng = np.random.default_rng(seed)
+    rows = [(i, " ".join(f"w{x}" for x in rng.integers(0, 400, 200))) for i in range(n)]
+    for i in range(n):
+        ws = rows[i][1].split()
+        for at in rng.choice(200, 1 + i % 6, replace=False).tolist():
+            ws[at] = f"other{at}"
+        rows.append((n + i, " ".join(ws)))
+    return [*rows, (2 * n, "one two"), (2 * n + 1, "One  two"), (2 * n + 2, ""), (2 * n + 3, " ")]
+
+
+def test_pipeline_drops_planted_near_copies(spark):
+    rows = planted_copies()
+    want = brute_near_copies(rows)
+    sets = five_word_sets(rows)
+    alike = [len(sets[i] & sets[60 + i]) / len(sets[i] | sets[60 + i]) for i in range(60)]
+    assert min(alike) < 0.8 and sum(0.8 <= x <= 0.95 for x in alike) > 20
+    got = {r.doc_id for r in corpus_pipeline.stage_near_dedup(spark, table(spark, rows), "").collect()}
+    assert got == set(want.values())
+
+
+@pytest.mark.parametrize("crowd", [2, 5])
+def test_near_copies_in_crowded_postings(spark, monkeypatch, crowd):
+    monkeypatch.setattr(near_copies, "CROWD", crowd)
+    monkeypatch.setattr(near_copies, "CHUNK", 7)
+    rng = np.random.default_rng(5)
+    passage = " ".join(f"p{k}" for k in range(60))
+    rows = [(i, passage + " " + " ".join(f"w{x}" for x in rng.integers(0, 300, int(rng.integers(3, 60))))) for i in range(40)]
+    for i in range(40, 90):
+        ws = rows[int(rng.integers(0, i))][1].split()
+        ws[int(rng.integers(0, len(ws)))] = f"n{i}"
+        rows.append((i, " ".join(ws)))
+    got = {r.id: r.component for r in near_copies.near_copies(table(spark, rows)).collect()}
+    assert got == brute_near_copies(rows)
+
+
 # ---- decontamination
 
 
