@@ -1,19 +1,21 @@
 """License scans by conditional compression.
 
-A candidate block is a run of lines, one of which has a cue word, cut to the paragraph around it. Each template is
-a raw zstandard dictionary; a block is compressed alone and with each, and templates rank by how much the
+A candidate block is a paragraph, up to the empty lines around it, that has a cue word. Each template is a raw
+zstandard dictionary; the text around a cue is compressed alone and with each, and templates rank by how much the
 dictionary takes off the size. The best few are then compared with the block word by word: the template that
 leaves the fewest words different wins, and it is confirmed when the block holds all but a small share of the
-template's words, in order, with every number and every name-like word of the template exact.
+template's words, in order, with every number and every name-like word of the template exact. What is left of a
+block before and after a confirmed span is searched again at each cue in it.
 
-Defined results: a null or empty text has no blocks; of equal templates the one named first wins; a block cites
-at most one licence; a text's licences are listed once each, in the order of their first blocks. Texts are
+Defined results: a null or empty text has no blocks; of equal templates the one named first wins; a block without a
+confirmed span gives its best template; a text's licences are listed once each, in the order of their first blocks. Texts are
 read whole; a block of any length is compared whole. Only the text column is read; other columns pass through.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from difflib import SequenceMatcher
 
@@ -37,7 +39,12 @@ FOUND = (
     "different: int, missing: array<string>, added: array<string>, confirmed: boolean>>"
 )
 
+#: Bytes before and after a cue by which templates are ranked.
+BEFORE, AFTER = 160, 480
+
 _WORD = re.compile(r"[0-9a-z]+(?:\.[0-9]+)*")
+_BYTES = re.compile(_WORD.pattern.encode())
+_GAP = re.compile(rb"\r?\n(?:[ \t\r]*\n)+")
 
 
 def tokens(text: str) -> list[str]:
@@ -45,14 +52,14 @@ def tokens(text: str) -> list[str]:
 
 
 def blocks(raw: bytes, cue: re.Pattern[bytes]) -> list[tuple[int, int]]:
-    """Byte ranges of candidate blocks: the lines with a cue, and the lines up to the next empty one after them."""
+    """Byte ranges of candidate blocks: the paragraphs, parted by empty or white lines, that have a cue."""
     out: list[tuple[int, int]] = []
-    for m in cue.finditer(raw):
-        if out and m.start() < out[-1][1]:
-            continue
-        start = raw.rfind(b"\n", 0, m.start()) + 1
-        end = raw.find(b"\n", m.end())
-        out.append((start, len(raw) if end < 0 else end))
+    at = 0
+    for gap in [*_GAP.finditer(raw), None]:
+        end = gap.start() if gap else len(raw)
+        if cue.search(raw, at, end):
+            out.append((at, end))
+        at = gap.end() if gap else end
     return out
 
 
@@ -68,52 +75,98 @@ def prepare(rows: list[tuple[str, str]], level: int = LEVEL) -> list[dict]:
 
 def wording(template: list[str], block: list[str]) -> tuple[list[str], list[str], tuple[int, int]]:
     """(template words that the block lacks, words it has between them, the block's words from first to last match)."""
-    match = SequenceMatcher(None, template, block, autojunk=False).get_matching_blocks()
-    real = [m for m in match if m.size]
-    if not real:
+    match = SequenceMatcher(None, template, block, autojunk=False)
+    top = match.find_longest_match()
+    if not top.size:
         return template, [], (0, 0)
-    first, last = real[0].b, real[-1].b + real[-1].size
+    # the words around the longest run that a confirmed notice can take up
+    spare = int(MAX_DIFFERENT * len(template)) + 1
+    low, high = max(0, top.b - top.a - spare), top.b - top.a + len(template) + spare
+    if low or high < len(block):
+        match = SequenceMatcher(None, template, block[low:high], autojunk=False)
+    real = [m for m in match.get_matching_blocks() if m.size]
+    # a chance match at an end that adds more words than it holds is none
+    while len(real) > 1 and real[1].b - real[0].b - real[0].size > real[0].size:
+        real = real[1:]
+    while len(real) > 1 and real[-1].b - real[-2].b - real[-2].size > real[-1].size:
+        real = real[:-1]
+    first, last = low + real[0].b, low + real[-1].b + real[-1].size
     kept = {i for m in real for i in range(m.a, m.a + m.size)}
-    used = {i for m in real for i in range(m.b, m.b + m.size)}
+    used = {low + i for m in real for i in range(m.b, m.b + m.size)}
     return [w for i, w in enumerate(template) if i not in kept], [block[i] for i in range(first, last) if i not in used], (first, last)
 
 
-def judge(block: str, prepared: list[dict], plain: zstandard.ZstdCompressor) -> dict | None:
-    """The winning template of one block, with what the wording says of it."""
-    low = block.lower().encode()
+def judge(block: str, prepared: list[dict], plain: zstandard.ZstdCompressor, near: str | None = None) -> dict | None:
+    """The winning template of one block, ranked by the text near a cue, with what the wording says of it."""
+    low = (block if near is None else near).lower().encode()
     words = tokens(block)
     alone = len(plain.compress(low))
     ranked = sorted(((alone - len(t["packer"].compress(low))) / alone, -i) for i, t in enumerate(prepared))[::-1]
     best = None
     for saved, i in ranked[:RANKED]:
         t = prepared[-i]
-        missing, added, (first, last) = wording(t["words"], words)
+        missing, added, span = wording(t["words"], words)
         different = len(missing) + len(added)
         sure = different <= MAX_DIFFERENT * len(t["words"]) and not t["exact"] & set(missing) and not any(EXACT.match(w) for w in added)
-        row = {"license": t["license"], "saved": saved, "different": different, "missing": missing, "added": added, "confirmed": sure}
+        row = {"license": t["license"], "saved": saved, "different": different, "missing": missing, "added": added, "confirmed": sure, "span": span}
         rank = (not sure, different - len(t["words"]) * sure, -saved)
         if best is None or rank < best[0]:
             best = (rank, row)
     return best and best[1]
 
 
+def judge_all(raw: bytes, cue: re.Pattern[bytes], prepared: list[dict], plain: zstandard.ZstdCompressor) -> list[dict]:
+    """The confirmed spans of one block in order, with their byte ranges; without any, its best template."""
+    low = raw.lower()
+    at = [(w.start(), w.end()) for w in _BYTES.finditer(low)]
+    starts = [a for a, _ in at]
+    # more words than a notice around its cue can have
+    reach = max((int((1 + MAX_DIFFERENT) * len(t["words"])) for t in prepared), default=0) + 2
+    cues = [m.span() for m in cue.finditer(raw)]
+    best: dict | None = None
+
+    def search(begin: int, end: int) -> list[dict]:
+        """Confirmed spans among the words from begin to end."""
+        nonlocal best
+        sure: list[dict] = []
+        for a, b in cues:
+            k = bisect_left(starts, a)
+            if not begin <= k < end:
+                continue
+            first, last = max(begin, k - reach), min(end, k + reach)
+            near = low[max(at[first][0], a - BEFORE) : min(at[last - 1][1], b + AFTER)].decode(errors="ignore")
+            row = judge(" ".join(low[x:y].decode() for x, y in at[first:last]), prepared, plain, near)
+            if not row:
+                continue
+            if row["confirmed"]:
+                i, j = first + row["span"][0], first + row["span"][1]
+                if i > k:  # the span lies beyond this cue, which is searched again in what is before it
+                    sure += search(begin, i)
+                sure.append(row | {"start": at[i][0], "bytes": at[j - 1][1] - at[i][0]})
+                begin = max(j, begin)
+            elif best is None or row["different"] < best["different"]:
+                best = row | {"start": 0, "bytes": len(raw)}
+        return sure
+
+    return search(0, len(at)) or ([best] if best else [])
+
+
 def scan(texts: pa.Array, prepared: list[dict]) -> pa.Array:
     cue = re.compile(CUES, re.IGNORECASE)
     plain = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False, write_checksum=False)
-    known: dict[bytes, dict | None] = {}
+    known: dict[bytes, list[dict]] = {}
     out = []
     for text in texts:
         raw = (text.as_py() or "").encode()
         at = blocks(raw, cue)
         matches = []
         for a, b in at:
-            if (row := known.get(part := raw[a:b], known)) is known:
-                row = judge(part.decode(), prepared, plain)
+            if (rows := known.get(part := raw[a:b])) is None:
+                rows = [{k: v for k, v in r.items() if k != "span"} for r in judge_all(part, cue, prepared, plain)]
                 if len(known) > 4096:
                     known.clear()
-                known[part] = row
-            if row:
-                matches.append(row | {"start": a, "bytes": b - a})
+                known[part] = rows
+            matches += [r | {"start": a + r["start"]} for r in rows]
         out.append({"blocks": len(at), "licenses": list(dict.fromkeys(m["license"] for m in matches if m["confirmed"])), "matches": matches})
     kind = pa.struct(
         [

@@ -492,6 +492,20 @@ def test_license_scan(spark):
     assert got == dict(enumerate(want))
 
 
+def test_license_notices_over_lines_and_several_in_a_block(spark):
+    body = dict(licenses.templates())["Apache-2.0"].split()
+    wrapped = "\n".join(" ".join(body[i : i + 9]) for i in range(0, len(body), 9))
+    filler = " ".join(f"w{i}" for i in range(300))
+    texts = [
+        "Licensed under the Apache License,\nVersion 2.0", f"{filler}\n\n{wrapped}\n\n{filler}", f"{filler} {wrapped} {filler}",
+        f"Released under the MIT License. {filler} Licensed under CC BY 4.0. {filler} Distributed under the ISC License.",
+        f"a license here {filler} Released under\nthe MIT License.",
+    ]
+    found = licenses.scan_licenses(table(spark, list(enumerate(texts))), "mine").select("doc_id", "mine.licenses").collect()
+    got = {r.doc_id: r.licenses for r in found}
+    assert got == {0: ["Apache-2.0"], 1: ["Apache-2.0"], 2: ["Apache-2.0"], 3: ["MIT", "CC-BY-4.0", "ISC"], 4: ["MIT"]}
+
+
 def test_license_templates_win_over_each_other():
     plain = licenses.zstandard.ZstdCompressor(level=licenses.LEVEL)
     prepared = licenses.prepare(licenses.templates())
