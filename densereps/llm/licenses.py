@@ -4,8 +4,8 @@ A candidate block is a paragraph, up to the empty lines around it, that has a cu
 zstandard dictionary; the text around a cue is compressed alone and with each, and templates rank by how much the
 dictionary takes off the size. The best few are then compared with the block word by word: the template that
 leaves the fewest words different wins, and it is confirmed when the block holds all but a small share of the
-template's words, in order, with every number and every name-like word of the template exact. What is left of a
-block before and after a confirmed span is searched again at each cue in it.
+template's words, in order, with every number and every name-like word of the template exact. A confirmed
+span may go over several blocks, as whole licences do; what is left before and after it is searched at each cue.
 
 Defined results: a null or empty text has no blocks; of equal templates the one named first wins; a block without a
 confirmed span gives its best template; a text's licences are listed once each, in the order of their first blocks. Texts are
@@ -15,7 +15,7 @@ read whole; a block of any length is compared whole. Only the text column is rea
 from __future__ import annotations
 
 import re
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 from difflib import SequenceMatcher
 
@@ -31,7 +31,7 @@ CUES = rb"licen[sc]e|copyright|permission is|permission to use|redistribut|free
 #: Templates that the ranking passes on, and the share of a template's words that may differ.
 RANKED, MAX_DIFFERENT = 5, 0.15
 #: Words of a template that must be there exactly: numbers, and what tells the licences apart.
-EXACT = re.compile(r"^[0-9.]+$|^(mit|apache|bsd|isc|mozilla|gnu|lesser|affero|general|by|sa|nc|cc0|creative|attribution|sharealike|noncommercial)$")
+EXACT = re.compile(r"^[0-9.]+$|^(mit|apache|bsd|isc|mozilla|gnu|lesser|affero|general|by|sa|nc|cc0|creative|attribution|sharealike|noncommercial|neither|endorse|promote)$")
 LEVEL = 3
 
 FOUND = (
@@ -116,18 +116,18 @@ def judge(block: str, prepared: list[dict], plain: zstandard.ZstdCompressor, nea
 
 
 def judge_all(raw: bytes, cue: re.Pattern[bytes], prepared: list[dict], plain: zstandard.ZstdCompressor) -> list[dict]:
-    """The confirmed spans of one block in order, with their byte ranges; without any, its best template."""
+    """The confirmed spans of a text, which may go over several blocks, and the best template of each block without any."""
     low = raw.lower()
     at = [(w.start(), w.end()) for w in _BYTES.finditer(low)]
     starts = [a for a, _ in at]
     # more words than a notice around its cue can have
     reach = max((int((1 + MAX_DIFFERENT) * len(t["words"])) for t in prepared), default=0) + 2
     cues = [m.span() for m in cue.finditer(raw)]
-    best: dict | None = None
+    ranges = blocks(raw, cue)
+    best: dict[tuple[int, int], dict] = {}
 
     def search(begin: int, end: int) -> list[dict]:
         """Confirmed spans among the words from begin to end."""
-        nonlocal best
         sure: list[dict] = []
         for a, b in cues:
             k = bisect_left(starts, a)
@@ -144,30 +144,26 @@ def judge_all(raw: bytes, cue: re.Pattern[bytes], prepared: list[dict], plain: z
                     sure += search(begin, i)
                 sure.append(row | {"start": at[i][0], "bytes": at[j - 1][1] - at[i][0]})
                 begin = max(j, begin)
-            elif best is None or row["different"] < best["different"]:
-                best = row | {"start": 0, "bytes": len(raw)}
+                continue
+            block = ranges[bisect_right(ranges, (a, len(raw))) - 1]
+            if block not in best or row["different"] < best[block]["different"]:
+                best[block] = row | {"start": block[0], "bytes": block[1] - block[0]}
         return sure
 
-    return search(0, len(at)) or ([best] if best else [])
+    sure = search(0, len(at))
+    free = [r for (a, b), r in best.items() if not any(r["start"] < b and a < r["start"] + r["bytes"] for r in sure)]
+    return sorted(sure + free, key=lambda r: r["start"])
 
 
 def scan(texts: pa.Array, prepared: list[dict]) -> pa.Array:
     cue = re.compile(CUES, re.IGNORECASE)
     plain = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False, write_checksum=False)
-    known: dict[bytes, list[dict]] = {}
     out = []
     for text in texts:
         raw = (text.as_py() or "").encode()
-        at = blocks(raw, cue)
-        matches = []
-        for a, b in at:
-            if (rows := known.get(part := raw[a:b])) is None:
-                rows = [{k: v for k, v in r.items() if k != "span"} for r in judge_all(part, cue, prepared, plain)]
-                if len(known) > 4096:
-                    known.clear()
-                known[part] = rows
-            matches += [r | {"start": a + r["start"]} for r in rows]
-        out.append({"blocks": len(at), "licenses": list(dict.fromkeys(m["license"] for m in matches if m["confirmed"])), "matches": matches})
+        found = judge_all(raw, cue, prepared, plain) if cue.search(raw) else []
+        matches = [{k: v for k, v in r.items() if k != "span"} for r in found]
+        out.append({"blocks": len(blocks(raw, cue)), "licenses": list(dict.fromkeys(m["license"] for m in matches if m["confirmed"])), "matches": matches})
     kind = pa.struct(
         [
             ("blocks", pa.int32()), ("licenses", pa.list_(pa.string())),

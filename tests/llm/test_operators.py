@@ -506,6 +506,16 @@ def test_license_notices_over_lines_and_several_in_a_block(spark):
     assert got == {0: ["Apache-2.0"], 1: ["Apache-2.0"], 2: ["Apache-2.0"], 3: ["MIT", "CC-BY-4.0", "ISC"], 4: ["MIT"]}
 
 
+def test_whole_licenses_over_paragraphs(spark):
+    from densereps.llm import license_templates as texts
+
+    parted = lambda t: t.replace(" 2. ", "\n\n2. ").replace(" 3. ", "\n\n3. ").replace(" THIS SOFTWARE IS PROVIDED", "\n\nTHIS SOFTWARE IS PROVIDED")
+    rows = [parted(texts.BSD2_WHOLE), parted(texts.BSD3_WHOLE), texts.GPL2_BODY, texts.LGPL_BODY, texts.AGPL_BODY, texts.MPL_BODY]
+    found = licenses.scan_licenses(table(spark, list(enumerate(rows))), "mine").select("doc_id", "mine.licenses").collect()
+    want = ["BSD-2-Clause", "BSD-3-Clause", "GPL-2.0", "LGPL-3.0", "AGPL-3.0", "MPL-2.0"]
+    assert {r.doc_id: r.licenses for r in found} == {i: [x] for i, x in enumerate(want)}
+
+
 def test_license_templates_win_over_each_other():
     plain = licenses.zstandard.ZstdCompressor(level=licenses.LEVEL)
     prepared = licenses.prepare(licenses.templates())
