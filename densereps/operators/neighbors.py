@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -12,6 +13,7 @@ from pyspark.sql import functions as F
 
 from densereps.functions.expr import cell, l2_squared, squared_2d
 from densereps.plans.broadcasts import fits
+from densereps.plans.lineage import cut
 
 
 def choose_strategy(d: int) -> str:
@@ -100,14 +102,27 @@ def lsh_pairs(points: DataFrame, eps: float, n_tables: int = 8, n_bits: int = 6,
 
 
 def k_nearest(points: DataFrame, k: int, side: float) -> DataFrame:
-    """(id, rank, neighbor, d2): the k nearest others among the points of the 3 x 3 cells of that side."""
-    pairs = range_probe(points, points, side).filter("src <> dst")
-    ranked = pairs.withColumn("rank", F.row_number().over(W.partitionBy("src").orderBy("d2", "dst")))
-    return ranked.filter(F.col("rank") <= k).select(F.col("src").alias("id"), "rank", F.col("dst").alias("neighbor"), "d2")
+    """(id, rank, neighbor, d2): the k nearest others of each point, or all others where there are fewer.
+
+    Cells of that side serve the points that have k neighbours within it; for the others the side is doubled until
+    all have them.
+    """
+    points = points.select("id", "x", "y")
+    need = min(k, points.count() - 1)
+    open_, parts = points, []
+    while True:
+        pairs = range_probe(open_, points, side).filter("src <> dst")
+        ranked = pairs.withColumn("rank", F.row_number().over(W.partitionBy("src").orderBy("d2", "dst"))).filter(F.col("rank") <= k)
+        found = cut(ranked.withColumn("n", F.count(F.lit(1)).over(W.partitionBy("src"))).filter(F.col("n") >= need))
+        parts.append(found.select(F.col("src").alias("id"), "rank", F.col("dst").alias("neighbor"), "d2"))
+        open_ = cut(open_.join(found.select(F.col("src").alias("id")).distinct(), "id", "left_anti")) if need > 0 else open_.limit(0)
+        if open_.isEmpty():
+            return reduce(DataFrame.unionByName, parts)
+        side *= 2
 
 
 def k_distance(points: DataFrame, k: int, side: float) -> DataFrame:
-    """(id, d2) of the k-th nearest other point, for choosing eps; points with fewer within side are left out."""
+    """(id, d2) of the k-th nearest other point, for choosing eps; cells start with that side."""
     return k_nearest(points, k, side).filter(F.col("rank") == k).select("id", "d2")
 
 

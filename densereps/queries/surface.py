@@ -127,16 +127,38 @@ KNN = (
 
 @query(KNN + "SELECT id, rank, neighbor, d2 FROM r WHERE rank <= 5")
 def knn_k5(spark, sf_dir):
-    return neighbors.k_nearest(load_points(spark, sf_dir, "blobs30"), 5, 600)
+    """The nearest five, of those at most 600 away, as the SQL has it; knn_k5_all has no radius."""
+    return neighbors.k_nearest(load_points(spark, sf_dir, "blobs30"), 5, 600).filter(F.col("d2") <= 600 * 600)
 
 
 @query(KNN + ", k AS (SELECT d2 FROM r WHERE rank = 5) SELECT unnest([10, 50, 90]) AS pct, round(unnest([quantile_cont(d2, 0.1), quantile_cont(d2, 0.5), quantile_cont(d2, 0.9)]), 6) AS d2 FROM k")
 def k_distance_curve(spark, sf_dir):
-    far = neighbors.k_distance(load_points(spark, sf_dir, "blobs30"), 5, 600)
+    """Of the points with five others at most 600 away, as the SQL has it; k_distance_curve_all has no radius."""
+    return k_distance_quantiles(neighbors.k_distance(load_points(spark, sf_dir, "blobs30"), 5, 600).filter(F.col("d2") <= 600 * 600))
+
+
+def k_distance_quantiles(far):
     row = far.agg(F.percentile("d2", F.array(F.lit(0.1), F.lit(0.5), F.lit(0.9))).alias("q"))
     return row.select(F.explode(F.arrays_zip(F.array(F.lit(10), F.lit(50), F.lit(90)).alias("pct"), "q")).alias("z")).select("z.pct", F.round("z.q", 6).alias("d2"))
 
 
+KNN_ALL = (
+    f"WITH {S.points('blobs30')}, r AS (SELECT a.id AS id, CAST(row_number() OVER (PARTITION BY a.id ORDER BY (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y), b.id) AS INT) AS rank, b.id AS neighbor, (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) AS d2 FROM p a JOIN p b ON a.id <> b.id) "
+)
+
+
+@query(KNN_ALL + "SELECT id, rank, neighbor, d2 FROM r WHERE rank <= 5")
+def knn_k5_all(spark, sf_dir):
+    """The nearest five of every point, at any distance."""
+    return neighbors.k_nearest(load_points(spark, sf_dir, "blobs30"), 5, 600)
+
+
+@query(KNN_ALL + ", k AS (SELECT d2 FROM r WHERE rank = 5) SELECT unnest([10, 50, 90]) AS pct, round(unnest([quantile_cont(d2, 0.1), quantile_cont(d2, 0.5), quantile_cont(d2, 0.9)]), 6) AS d2 FROM k")
+def k_distance_curve_all(spark, sf_dir):
+    """Over all points, the sparse ones too."""
+    return k_distance_quantiles(neighbors.k_distance(load_points(spark, sf_dir, "blobs30"), 5, 600))
+
+
 @query(S.recursive(P, S.density("p", 80, MIN_PTS)) + " SELECT id, state FROM st WHERE state <> 'core' AND EXISTS (SELECT 1 FROM pr JOIN st k ON k.id = dst AND k.state = 'core' WHERE src = st.id)")
 def semi_core_neighbors(spark, sf_dir):
     pairs = cut(neighbors.range_pairs(small(spark, sf_dir), 80))

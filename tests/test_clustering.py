@@ -236,3 +236,15 @@ def test_plan_shapes(points):
 def test_parameters_are_checked():
     with pytest.raises(ValueError):
         SsdcParams(eps=1, min_pts=1, gamma=1, beta=1, eta_rule="other").validate()
+
+
+def test_k_nearest_of_sparse_points(spark):
+    rows = [(i, 3 * i, i) for i in range(20)] + [(100, 50_000, 7), (101, -900_000, 3)]
+    df = spark.createDataFrame(rows, "id long, x long, y long")
+    want = {}
+    for i, x, y in rows:
+        near = sorted(((x - a) ** 2 + (y - b) ** 2, j) for j, a, b in rows if j != i)[:5]
+        want |= {(i, k + 1): (j, d) for k, (d, j) in enumerate(near)}
+    got = {(r.id, r.rank): (r.neighbor, r.d2) for r in neighbors.k_nearest(df, 5, 10).collect()}
+    assert got == want
+    assert neighbors.k_nearest(df.limit(1), 5, 10).count() == 0 and neighbors.k_nearest(df.filter("id < 3"), 5, 10).count() == 6
