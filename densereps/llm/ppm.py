@@ -1,13 +1,17 @@
 """LM scoring: prediction by partial matching over bytes, and a unigram base over words.
 
-Pretrained: all byte grams of ORDER + 1 bytes in all training texts are counted in each task before the shuffle;
-shorter grams are sums of longer ones. The trie keeps the grams whose share of their order's count is high enough
-that MAX_GRAMS stay in all (every gram while there are fewer), so its size has a bound at any corpus size. A
-context's escape weight is the number of its kept symbols plus the count of the others (escape method C, with the
-mass of what was left out). A symbol that a longer context holds is excluded from the shorter ones; as a longer
-context's symbols are among a shorter one's, the excluded sums belong to trie nodes and are worked out once. The
-last resort is uniform over the bytes the root lacks. A text is ORDER start bytes, its lower-cased UTF-8 bytes,
-and an end byte (255, which UTF-8 never has); its score is the log10 probability of all that follows the start.
+Pretrained: the trie is a set of tables, one for each context length, of all byte grams of the training texts and their
+counts; nothing is left out, so it grows with the corpus. A context's escape weight is the number of its symbols (escape
+method C). A symbol that a longer context holds is excluded from the shorter ones; as a longer context's symbols are
+among a shorter one's, the excluded sums belong to contexts and are worked out once. The last resort is uniform over the
+bytes the root lacks. A text is ORDER start bytes, its lower-cased UTF-8 bytes, and an end byte (255, which UTF-8 never
+has); its score is the log10 probability of all that follows the start.
+
+The texts are cut into blocks of about BLOCK bytes, which a stored table fixes. Each block's distinct grams of ORDER + 1
+bytes, with their counts in training texts, are counted in one pass; their sums are the longest table, and shorter
+tables are sums of longer ones. A gram of some training text costs what its own context says. Any other gram meets all
+its shorter grams and contexts in one join and pays its escapes. Then each block's texts meet the costs of the block's
+grams, and no task holds more of the model than one block uses.
 
 Adaptive: code_length() starts from an empty trie and learns each byte after coding it; one text at a time.
 
@@ -25,17 +29,20 @@ from __future__ import annotations
 import math
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from densereps.llm.hashtable import find_slot, hash_table
 from densereps.llm.textbytes import LOWER, buffers, chunks
 from densereps.plans.lineage import stored
 
-ORDER, MAX_GRAMS, MAX_WORDS = 5, 1_500_000, 1 << 17
+ORDER, MAX_WORDS = 5, 1 << 17
+#: Bytes of text that share a table of costs.
+BLOCK = 16 << 20
 EDGE = 255
 SMOOTH = 0.1
 
@@ -62,46 +69,147 @@ def _keys(seq: np.ndarray, place: np.ndarray, order: int) -> np.ndarray:
     return key
 
 
-def _gram_counts(order: int, size: int = 4 << 20, flush: int = 1 << 20):
-    def merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-        keys = np.concatenate([k for k, _ in parts])
-        counts = np.concatenate([c for _, c in parts])
-        by = np.argsort(keys, kind="stable")
-        keys, counts = keys[by], counts[by]
-        first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-        return keys[first], np.add.reduceat(counts, first)
+def in_blocks(rows: DataFrame, text_col: str = "text", size: int = BLOCK) -> DataFrame:
+    """rows with a column block, stored: runs of rows of one task with about size bytes of text."""
 
-    def out(keys: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], names=["gram", "n"])
+    @F.arrow_udf("int")
+    def number(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        before = 0
+        for lengths in batches:
+            ends = before + np.cumsum(lengths.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64))
+            yield pa.array((np.concatenate([[before], ends[:-1]])[: len(ends)] // size).astype(np.int32))
+            before = int(ends[-1]) if len(ends) else before
+
+    numbered = rows.withColumn("block", number(F.octet_length(text_col)))
+    return stored(numbered.withColumn("block", F.shiftleft(F.spark_partition_id().cast("long"), 32) + F.col("block")))
+
+
+def _distinct(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct keys in order, the sum of n of each)."""
+    by = np.argsort(keys, kind="stable")
+    keys, n = keys[by], n[by]
+    first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.zeros(0, np.int64)
+    return keys[first], np.add.reduceat(n, first) if len(first) else n
+
+
+def _block_grams(order: int, size: int = 1 << 20):
+    """(held out, block, text) to the block's distinct grams and their counts in the texts that aren't held out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, np.ndarray]] = []
+        now = None
+
+        def out() -> pa.RecordBatch:
+            keys, n = _distinct(*[np.concatenate(x) for x in zip(*held, strict=True)])
+            n = np.where(keys & np.uint64(1), 0, n)  # the lowest bit tells a held-out text
+            grams, n = _distinct(keys >> np.uint64(1), n)
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), now)), pa.array(grams.view(np.int64)), pa.array(n)], names=["block", "gram", "n"])
+
         for batch in batches:
-            for _, _, data, at in chunks(batch.column(0), size):
-                seq, place, _ = _sequence(data, at, order)
-                for k in range(0, len(place), size):
-                    keys = _keys(seq, place[k : k + size], order)
-                    keys.sort()
-                    first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-                    held.append((keys[first], np.diff(np.append(first, len(keys)))))
-                    if sum(len(x) for x, _ in held) > flush:
-                        held = [merged(held)]
-                        if len(held[0][0]) > flush // 2:
-                            yield out(*held[0])
-                            held = []
+            blocks = batch.column("block").to_numpy()
+            out_of = batch.column("held_out").to_numpy(zero_copy_only=False).astype(np.uint64)
+            edges = np.flatnonzero(np.concatenate([[True], blocks[1:] != blocks[:-1], [True]])) if len(blocks) else []
+            for a, b in zip(edges[:-1], edges[1:], strict=True):
+                if blocks[a] != now:
+                    if held:
+                        yield out()
+                    held, now = [], int(blocks[a])
+                for i, _, data, at in chunks(batch.column("text").slice(a, b - a), size):
+                    seq, place, text = _sequence(data, at, order)
+                    for k in range(0, len(place), size):
+                        keys = _keys(seq, place[k : k + size], order) << np.uint64(1) | out_of[a + i + text[k : k + size]]
+                        keys.sort()
+                        first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+                        held.append((keys[first], np.diff(np.append(first, len(keys)))))
+                        if sum(len(x) for x, _ in held) > 4 * size:
+                            held = [_distinct(*[np.concatenate(x) for x in zip(*held, strict=True)])]
         if held:
-            yield out(*merged(held))
+            yield out()
 
     return run
 
 
-def count_grams(texts: DataFrame, text_col: str = "text", order: int = ORDER) -> DataFrame:
-    """(level, gram, n): counts of all byte grams of 1 to order + 1 bytes; level is the length of the context."""
-    top = texts.select(text_col).mapInArrow(_gram_counts(order), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    masks = F.array(*[F.struct(F.lit(j).alias("level"), F.lit((1 << (8 * (j + 1))) - 1).cast("long").alias("mask")) for j in range(order + 1)])
-    each = top.select("gram", "n", F.explode(masks).alias("m"))
-    cut_down = each.select("m.level", F.col("gram").bitwiseAND(F.col("m.mask")).alias("gram"), "n")
-    return stored(cut_down.groupBy("level", "gram").agg(F.sum("n").alias("n")))
+def block_grams(texts: DataFrame, order: int = ORDER) -> DataFrame:
+    """(block, gram, n) of texts(held_out, block, text): distinct grams of order + 1 bytes; n leaves out held-out texts."""
+    return stored(texts.select("held_out", "block", "text").mapInArrow(_block_grams(order), "block long, gram long, n long"))
+
+
+def _low(x: Column, size: int) -> Column:
+    """The last size bytes of a gram."""
+    return x.bitwiseAND(F.lit((1 << (8 * size)) - 1))
+
+
+def level_tables(grams: DataFrame, order: int = ORDER) -> list[DataFrame]:
+    """By context length: (gram, n, whole, symbols) of all grams in training texts, whole and symbols of the gram's context."""
+    levels: list[DataFrame] = []
+    sums = grams.filter("n > 0").groupBy("gram").agg(F.sum("n").alias("n"))
+    for j in range(order, -1, -1):
+        mates = Window.partitionBy(F.shiftrightunsigned("gram", 8))  # at most 256 rows
+        levels.insert(0, stored(sums.select("gram", "n", F.sum("n").over(mates).alias("whole"), F.count("n").over(mates).alias("symbols"))))
+        sums = levels[0].groupBy(_low(F.col("gram"), j).alias("gram")).agg(F.sum("n").alias("n"))
+    return levels
+
+
+def _model(levels: list[DataFrame]) -> DataFrame:
+    """(key, a, b, c, d): what an escaping gram needs, in one table.
+
+    A gram's key has its context's length in the highest byte; a is log10 of its count. A context's has 8 more there; a is
+    the log10 of its whole weight and b the log10 probability of its escape; c and d are the same of the next shorter
+    context without the symbols that this one holds.
+    """
+    parts = []
+    for j, table in enumerate(levels):
+        if j < len(levels) - 1:
+            parts.append(table.select((F.col("gram") + F.lit(j << 56)).alias("key"), F.log10("n").alias("a"), *[F.lit(None).cast("double").alias(x) for x in "bcd"]))
+        if j:
+            up = levels[j - 1].select(F.col("gram").alias("shorter"), F.col("n").alias("m"), F.col("whole").alias("w"), F.col("symbols").alias("s"))
+            met = table.join(up, _low(F.col("gram"), j) == F.col("shorter"))
+            each = met.groupBy(F.shiftrightunsigned("gram", 8).alias("context")).agg(
+                F.first("whole").alias("whole"), F.first("symbols").alias("symbols"), F.sum("m").alias("gone"), F.first("w").alias("w"), F.first("s").alias("s")
+            )
+            norm, rest, left = F.log10(F.col("whole") + F.col("symbols")), F.col("w") - F.col("gone"), F.col("s") - F.col("symbols")
+            norm_x = F.when(rest + left > 0, F.log10(rest + left)).otherwise(0.0)
+            parts.append(
+                each.select(
+                    (F.col("context") + F.lit((8 + j) << 56)).alias("key"), norm.alias("a"), (F.log10("symbols") - norm).alias("b"),
+                    norm_x.alias("c"), F.when(left > 0, F.log10(left) - norm_x).otherwise(0.0).alias("d"),
+                )
+            )
+    return reduce(DataFrame.unionByName, parts)
+
+
+def escaped_costs(grams: DataFrame, levels: list[DataFrame]) -> DataFrame:
+    """(gram, cost) of grams that no training text has: log10 probability of the last byte after the ones before it."""
+    order = len(levels) - 1
+    root = levels[0].agg(F.coalesce(F.sum("n"), F.lit(0)).alias("whole"), F.count("n").alias("symbols")).first()
+    last = -math.log10(max(1, 256 - root["symbols"]))
+    gram = F.col("gram")
+    keys = {f"g{j}": _low(gram, j + 1) + F.lit(j << 56) for j in range(order)}
+    keys |= {f"c{j}": _low(F.shiftrightunsigned(gram, 8), j) + F.lit((8 + j) << 56) for j in range(1, order + 1)}
+    asked = grams.select("gram", F.explode(F.array(*[F.struct(F.lit(name).alias("name"), key.alias("key")) for name, key in keys.items()])).alias("q"))
+    met = asked.select("gram", "q.name", "q.key").join(_model(levels), "key")
+    got = met.groupBy("gram").agg(*[F.max(F.when(F.col("name") == name, F.struct("a", "b", "c", "d"))).alias(name) for name in keys])
+    # below[j]: from the context of length j on, after an escape from the next longer one
+    below = F.lit(last)
+    first = F.lit(last)
+    if root["symbols"]:
+        norm = math.log10(root["whole"] + root["symbols"])
+        first = F.when(F.col("g0.a").isNotNull(), F.col("g0.a") - norm).otherwise(math.log10(root["symbols"]) - norm + last)
+    for j in range(order):
+        longer = F.col(f"c{j + 1}")
+        step = F.when(F.col(f"g{j}.a").isNotNull(), F.col(f"g{j}.a") - longer["c"]).otherwise(longer["d"] + below)
+        below = step
+        own = F.col(f"g{j + 1}.a") if j + 1 < order else F.lit(None).cast("double")
+        first = F.when(longer.isNotNull(), F.when(own.isNotNull(), own - longer["a"]).otherwise(longer["b"] + below)).otherwise(first)
+    return grams.select("gram").join(got, "gram", "left").select("gram", first.alias("cost"))
+
+
+def gram_costs(grams: DataFrame, order: int = ORDER) -> DataFrame:
+    """(gram, cost) of all distinct grams of block_grams()."""
+    levels = level_tables(grams, order)
+    known = levels[order].select("gram", (F.log10("n") - F.log10(F.col("whole") + F.col("symbols"))).alias("cost"))
+    new = stored(grams.groupBy("gram").agg(F.max("n").alias("n")).filter("n = 0").select("gram"))
+    return known.unionByName(escaped_costs(new, levels))
 
 
 def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
@@ -120,103 +228,16 @@ def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
     return counts.filter(kind >= least)
 
 
-def _find(table: tuple[np.ndarray, np.ndarray], keys: np.ndarray) -> np.ndarray:
-    """Row of each key, or -1."""
-    slots, rows = table
-    at = find_slot(slots, keys)
-    return np.where(at >= 0, rows[at], -1)
-
-
-def _tagged(level: np.ndarray | int, gram: np.ndarray) -> np.ndarray:
-    return gram | (np.asarray(level, np.uint64) << np.uint64(56))
-
-
-def build_trie(level: np.ndarray, gram: np.ndarray, n: np.ndarray, order: int = ORDER) -> dict:
-    """The kept grams as arrays for scoring; every kept gram's shorter grams must be kept."""
-    level, gram, n = level.astype(np.int64), gram.astype(np.uint64), n.astype(np.float64)
-    by = np.lexsort((gram, level))
-    level, gram, n = level[by], gram[by], n[by]
-    grams = hash_table(_tagged(level, gram))
-    context = _tagged(level, gram >> np.uint64(8))
-    first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(gram) else np.zeros(0, np.int64)
-    node_of = np.cumsum(np.isin(np.arange(len(gram)), first)) - 1
-    nodes, node_level = context[first], level[first]
-    nodes_at = hash_table(nodes)
-    kept = np.add.reduceat(n, first) if len(first) else np.zeros(0)
-    symbols = np.diff(np.append(first, len(gram))).astype(np.float64)
-    # A context's whole count is its own count as a gram; start bytes were never predicted.
-    plain = nodes & np.uint64((1 << 56) - 1)
-    own = np.where(node_level > 0, _find(grams, _tagged(np.maximum(node_level - 1, 0), plain)), -1)
-    whole = np.maximum(kept, np.where(own >= 0, n[own], 0)) if len(n) else kept
-    escape = whole - kept + symbols
-    up = np.full(len(nodes), -1)
-    inner = node_level > 0
-    shorter = plain[inner] & ((np.uint64(1) << (np.uint64(8) * (node_level[inner] - 1).astype(np.uint64))) - np.uint64(1))
-    up[inner] = _find(nodes_at, _tagged(node_level[inner] - 1, shorter))
-    # Of the parent, without the symbols that this node holds.
-    below = np.full(len(gram), -1)
-    deep = level > 0
-    mask = (np.uint64(1) << (np.uint64(8) * level[deep].astype(np.uint64))) - np.uint64(1)
-    below[deep] = _find(grams, _tagged(level[deep] - 1, gram[deep] & mask))
-    gone = np.bincount(node_of, weights=np.where(below >= 0, n[below], 0), minlength=len(nodes)) if len(n) else kept
-    rest = np.where(up >= 0, np.maximum(kept[up] - gone, 0), 0) if len(nodes) else kept
-    rest_escape = np.where(up >= 0, whole[up] - kept[up] + symbols[up] - symbols, 0) if len(nodes) else kept
-    with np.errstate(divide="ignore", invalid="ignore"):
-        norm = np.log10(whole + symbols)
-        table = {
-            "full": (np.log10(n) - norm[node_of]).astype(np.float32), "log_n": np.log10(n).astype(np.float32),
-            "esc": (np.log10(escape) - norm).astype(np.float32),
-            "norm_x": np.where(rest + rest_escape > 0, np.log10(rest + rest_escape), 0).astype(np.float32),
-            "esc_x": np.where(rest_escape > 0, np.log10(rest_escape) - np.log10(rest + rest_escape), 0).astype(np.float32),
-        }
-    table = {k: np.append(v, np.float32(0)) for k, v in table.items()}  # what row -1, none, stands for
-    root = symbols[0] if len(nodes) and node_level[0] == 0 else 0
-    return table | {
-        "order": order, "grams": grams, "nodes": nodes_at, "up": np.append(up, -1).astype(np.int32), "last": -math.log10(max(1.0, 256 - root))
-    }
-
-
-def _log_probability(trie: dict, key: np.ndarray) -> np.ndarray:
-    """log10 of the probability of each key's lowest byte after its higher ones."""
-    order = trie["order"]
-    out = np.zeros(len(key), np.float32)
-    found = _find(trie["grams"], _tagged(order, key))
-    hit = found >= 0
-    out[hit] = trie["full"][found[hit]]
-    left = np.flatnonzero(~hit)
-    child = _find(trie["nodes"], _tagged(order, key[left] >> np.uint64(8)))
-    out[left] += trie["esc"][child]
-    for j in range(order - 1, -1, -1):
-        if not len(left):
-            return out
-        gram = key[left] & np.uint64((1 << (8 * (j + 1))) - 1)
-        found = _find(trie["grams"], _tagged(j, gram))
-        hit = found >= 0
-        f, c = found[hit], child[hit]
-        out[left[hit]] += np.where(c >= 0, trie["log_n"][f] - trie["norm_x"][c], trie["full"][f])
-        left, child, gram = left[~hit], child[~hit], gram[~hit]
-        known = child >= 0
-        node = _find(trie["nodes"], _tagged(j, gram[~known] >> np.uint64(8)))
-        step = np.zeros(len(left), np.float32)
-        step[known] = trie["esc_x"][child[known]]
-        step[~known] = trie["esc"][node]
-        out[left] += step
-        child[known] = trie["up"][child[known]]
-        child[~known] = node
-    out[left] += np.float32(trie["last"])
-    return out
-
-
-def score_texts(trie: dict, texts: pa.Array, size: int = 1 << 20) -> np.ndarray:
-    """log10 probability of each text and its end."""
+def score_texts(grams: np.ndarray, costs: np.ndarray, texts: pa.Array, order: int, size: int = 1 << 20) -> np.ndarray:
+    """log10 probability of each text and its end; grams are distinct and hold all that the texts have."""
+    slots, rows = hash_table(grams)
     parts = []
     for _, _, data, at in chunks(texts, size):
-        seq, place, text = _sequence(data, at, trie["order"])
+        seq, place, text = _sequence(data, at, order)
         total = np.zeros(len(at) - 1)
         for k in range(0, len(place), size):
-            total += np.bincount(
-                text[k : k + size], weights=_log_probability(trie, _keys(seq, place[k : k + size], trie["order"])), minlength=len(total)
-            )
+            found = rows[find_slot(slots, _keys(seq, place[k : k + size], order))]
+            total += np.bincount(text[k : k + size], weights=costs[found], minlength=len(total))
         parts.append(total)
     return np.concatenate(parts) if parts else np.zeros(0)
 
@@ -244,12 +265,6 @@ def code_length(text: str | None, order: int = ORDER) -> float:
     return total
 
 
-def train_trie(texts: DataFrame, text_col: str = "text", order: int = ORDER, max_grams: int = MAX_GRAMS) -> dict:
-    kept = frequent(count_grams(texts, text_col, order), max_grams).toArrow()  # at most max_grams rows
-    column = lambda name: kept.column(name).to_numpy()
-    return build_trie(column("level"), column("gram").astype(np.int64).view(np.uint64), column("n"), order)
-
-
 def _word_counts(flush: int = 1 << 18):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: Counter[bytes] = Counter()
@@ -272,47 +287,46 @@ def _word_counts(flush: int = 1 << 18):
     return run
 
 
-_SCORED = "n_tokens long, n_known long, base double, rare array<struct<word: binary, m: int>>, score double"
-
-
-def _scorer(context, trie: dict, costs: dict[bytes, float]):
-    held = context.broadcast((trie, costs))
-
-    @F.arrow_udf(_SCORED)
-    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        trie, cost = held.value
-        for texts in batches:
-            data, at = buffers(texts)
-            n_tokens, n_known, base, words, times, rare_at = [], [], [], [], [], [0]
-            for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
-                ws = data[a:b].tobytes().lower().split()
-                known = [x for x in map(cost.get, ws) if x is not None]
-                n_tokens.append(len(ws) + 1)
-                n_known.append(len(known))
-                base.append(math.fsum(known))
-                if len(known) < len(ws):
-                    rare = Counter([w for w in ws if w not in cost])
-                    words += rare.keys()
-                    times += rare.values()
-                rare_at.append(len(words))
-            rare = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(times, pa.int32())], names=["word", "m"])
-            yield pa.StructArray.from_arrays(
-                [
-                    pa.array(n_tokens, pa.int64()), pa.array(n_known, pa.int64()), pa.array(base, pa.float64()),
-                    pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare), pa.array(score_texts(trie, texts)),
-                ],
-                names=["n_tokens", "n_known", "base", "rare", "score"],
-            )
+def _scorer(context, costs: dict[bytes, float], order: int):
+    """A function of a block's texts and the costs of its grams, one row for each text."""
+    held = context.broadcast(costs)
+
+    def run(texts: pa.Table, grams: pa.Table) -> pa.Table:
+        cost = held.value
+        column = texts.column("text").combine_chunks()
+        data, at = buffers(column)
+        n_tokens, n_known, base, words, times, rare_at = [], [], [], [], [], [0]
+        for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+            ws = data[a:b].tobytes().lower().split()
+            known = [x for x in map(cost.get, ws) if x is not None]
+            n_tokens.append(len(ws) + 1)
+            n_known.append(len(known))
+            base.append(math.fsum(known))
+            if len(known) < len(ws):
+                rare = Counter([w for w in ws if w not in cost])
+                words += rare.keys()
+                times += rare.values()
+            rare_at.append(len(words))
+        rare = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(times, pa.int32())], names=["word", "m"])
+        gram, first = np.unique(grams.column("gram").to_numpy().view(np.uint64), return_index=True)  # a block read by two tasks has some twice
+        score = score_texts(gram, grams.column("cost").to_numpy()[first], column, order)
+        return pa.table(
+            {
+                "rid": texts.column("rid"), "id": texts.column("id"), "held_out": texts.column("held_out"), "n_tokens": pa.array(n_tokens, pa.int64()),
+                "n_known": pa.array(n_known, pa.int64()), "base": pa.array(base, pa.float64()),
+                "rare": pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare), "score": pa.array(score),
+            }
+        )
 
     return run
 
 
 def score_documents(
-    docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER,
-    max_grams: int = MAX_GRAMS, max_words: int = MAX_WORDS,
-) -> DataFrame:
+    docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, max_words: int = MAX_WORDS, block: int = BLOCK
+) -> DataFrame:
     """(id, held_out, n_tokens, n_known, train_tokens, base_score, score) for each row; learns from rows not held out."""
     rows = docs.select(F.col(id_col).alias("id"), held_out.alias("held_out"), F.col(text_col).alias("text"))
+    rows = in_blocks(rows.withColumn("rid", F.monotonically_increasing_id()), size=block)
     train = rows.filter(~F.col("held_out"))
     counts = stored(train.select("text").mapInArrow(_word_counts(), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
     sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
@@ -322,18 +336,20 @@ def score_documents(
     cost = lambda n: math.log10(n + SMOOTH) - below
     common = frequent(counts, max_words)
     costs = {bytes(r["word"]): cost(r["n"]) for r in common.collect()}  # at most max_words rows
-    trie = train_trie(train, "text", order, max_grams)
-    scored = rows.select("id", "held_out", _scorer(docs.sparkSession.sparkContext, trie, costs)("text").alias("s"))
-    scored = stored(scored.withColumn("rid", F.monotonically_increasing_id()))
-    rare = scored.select("rid", F.explode("s.rare").alias("r")).select("rid", "r.word", "r.m")
+    grams = block_grams(rows, order)
+    met = grams.select("block", "gram").join(gram_costs(grams, order), "gram").select("block", "gram", F.col("cost").cast("float").alias("cost"))
+    kind = rows.schema["id"].dataType.simpleString()
+    schema = f"rid long, id {kind}, held_out boolean, n_tokens long, n_known long, base double, rare array<struct<word: binary, m: int>>, score double"
+    scored = stored(rows.groupBy("block").cogroup(met.groupBy("block")).applyInArrow(_scorer(docs.sparkSession.sparkContext, costs, order), schema))
+    rare = scored.select("rid", F.explode("rare").alias("r")).select("rid", "r.word", "r.m")
     met = rare.join(counts, "word", "left").select(
         "rid", F.when(F.col("n").isNotNull(), F.col("m")).otherwise(0).cast("long").alias("known"),
         (F.col("m") * (F.log10(F.coalesce("n", F.lit(0)) + F.lit(SMOOTH)) - F.lit(below))).alias("part"),
     )
     tail = met.groupBy("rid").agg(F.sum("known").alias("known"), F.sum("part").alias("part"))
     return scored.drop("rare").join(tail, "rid", "left").select(
-        F.col("id").alias(id_col), "held_out", "s.n_tokens",
-        (F.col("s.n_known") + F.coalesce("known", F.lit(0)) + F.lit(int(ends > 0))).alias("n_known"),
+        F.col("id").alias(id_col), "held_out", "n_tokens",
+        (F.col("n_known") + F.coalesce("known", F.lit(0)) + F.lit(int(ends > 0))).alias("n_known"),
         F.lit(tokens).cast("long").alias("train_tokens"),
-        (F.col("s.base") + F.coalesce("part", F.lit(0.0)) + F.lit(cost(ends))).alias("base_score"), "s.score",
+        (F.col("base") + F.coalesce("part", F.lit(0.0)) + F.lit(cost(ends))).alias("base_score"), "score",
     )

@@ -445,11 +445,11 @@ def brute_ppm(train, text, order):
     return total
 
 
-@pytest.mark.parametrize("max_words", [1 << 17, 2])
-def test_lm_scores_against_brute_force(docs, max_words):
+@pytest.mark.parametrize(("max_words", "block"), [(1 << 17, 1 << 20), (2, 40)])
+def test_lm_scores_against_brute_force(docs, max_words, block):
     small = docs.filter("doc_id IS NULL OR doc_id <> 7")
     held = F.coalesce(F.col("doc_id") % 2 == 0, F.lit(True))
-    got = ppm.score_documents(small, held, order=3, max_words=max_words).collect()
+    got = ppm.score_documents(small, held, order=3, max_words=max_words, block=block).collect()
     rows = [(r.doc_id, r.text) for r in small.collect()]
     train = [t for i, t in rows if i is not None and i % 2]
     counts = collections.Counter(w for t in train for w in lowered(t).encode().split())
