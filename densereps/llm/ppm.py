@@ -7,11 +7,12 @@ among a shorter one's, the excluded sums belong to contexts and are worked out o
 bytes the root lacks. A text is ORDER start bytes, its lower-cased UTF-8 bytes, and an end byte (255, which UTF-8 never
 has); its score is the log10 probability of all that follows the start.
 
-The texts are cut into blocks of about BLOCK bytes, which a stored table fixes. Each block's distinct grams of ORDER + 1
-bytes, with their counts in training texts, are counted in one pass; their sums are the longest table, and shorter
-tables are sums of longer ones. A gram of some training text costs what its own context says. Any other gram meets all
-its shorter grams and contexts in one join and pays its escapes. Then each block's texts meet the costs of the block's
-grams, and no task holds more of the model than one block uses.
+The texts are cut into blocks of about BLOCK bytes, in one pass that stores each block's texts and its distinct grams of
+ORDER + 1 bytes with their counts in training texts, the grams as packed sorted runs, one for each bucket of grams. A
+bucket's runs are summed one after another; the sums are the longest table, and shorter tables are sums of longer ones. A
+gram of some training text costs what its own context says. Any other gram meets all its shorter grams and contexts in
+one join and pays its escapes. Then each run meets the costs of its bucket, and each block's texts the costs of its runs.
+A task holds one bucket's distinct grams or one block, never the model; buckets grow in number with the texts.
 
 Adaptive: code_length() starts from an empty trie and learns each byte after coding it; one text at a time.
 
@@ -33,6 +34,8 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -41,8 +44,8 @@ from densereps.llm.textbytes import LOWER, buffers, chunks
 from densereps.plans.lineage import stored
 
 ORDER, MAX_WORDS = 5, 1 << 17
-#: Bytes of text that share a table of costs.
-BLOCK = 16 << 20
+#: Bytes of text of a block, and of all texts for each bucket of grams.
+BLOCK, BYTES_A_BUCKET = 16 << 20, 32 << 20
 EDGE = 255
 SMOOTH = 0.1
 
@@ -69,21 +72,6 @@ def _keys(seq: np.ndarray, place: np.ndarray, order: int) -> np.ndarray:
     return key
 
 
-def in_blocks(rows: DataFrame, text_col: str = "text", size: int = BLOCK) -> DataFrame:
-    """rows with a column block, stored: runs of rows of one task with about size bytes of text."""
-
-    @F.arrow_udf("int")
-    def number(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        before = 0
-        for lengths in batches:
-            ends = before + np.cumsum(lengths.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64))
-            yield pa.array((np.concatenate([[before], ends[:-1]])[: len(ends)] // size).astype(np.int32))
-            before = int(ends[-1]) if len(ends) else before
-
-    numbered = rows.withColumn("block", number(F.octet_length(text_col)))
-    return stored(numbered.withColumn("block", F.shiftleft(F.spark_partition_id().cast("long"), 32) + F.col("block")))
-
-
 def _distinct(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(distinct keys in order, the sum of n of each)."""
     by = np.argsort(keys, kind="stable")
@@ -92,46 +80,146 @@ def _distinct(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return keys[first], np.add.reduceat(n, first) if len(first) else n
 
 
-def _block_grams(order: int, size: int = 1 << 20):
-    """(held out, block, text) to the block's distinct grams and their counts in the texts that aren't held out."""
+def _merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    if not parts:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    return _distinct(*[np.concatenate(x) for x in zip(*parts, strict=True)])
+
+
+class Tally:
+    """Sums by key, of which only the distinct keys and a limited number of new ones are held."""
+
+    def __init__(self, spare: int = 1 << 21):
+        self.parts, self.spare, self.new = [], spare, 0
+
+    def add(self, keys: np.ndarray, n: np.ndarray) -> None:
+        self.parts.append((keys, n))
+        self.new += len(keys)
+        if self.new > self.spare:
+            self.parts = [_merged(self.parts)]
+            self.new = 0
+
+    def sums(self) -> tuple[np.ndarray, np.ndarray]:
+        return _merged(self.parts)
+
+
+def pack(x: np.ndarray, sort_of: bool = False) -> bytes:
+    """Numbers, byte by byte of each, compressed; sort_of: ascending ones, by their differences."""
+    x = np.diff(x, prepend=x[:1] * 0) if sort_of else x
+    planes = np.ascontiguousarray(np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.itemsize).T)
+    return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
+
+
+def unpack(raw: bytes, kind, sort_of: bool = False) -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), np.uint8).reshape(size, -1)
+    x = np.ascontiguousarray(planes.T).view(kind).reshape(-1)
+    return np.cumsum(x, dtype=kind) if sort_of else x
+
+
+def _bucket(gram, buckets: int):
+    """The bucket of a gram; the same for arrays and columns."""
+    if isinstance(gram, Column):
+        mixed = gram.bitwiseXOR(F.shiftright(gram, 13)).bitwiseXOR(F.shiftright(gram, 29))
+        return F.pmod(mixed, F.lit(buckets)).cast("int")
+    mixed = gram ^ (gram >> np.uint64(13)) ^ (gram >> np.uint64(29))
+    return (mixed % np.uint64(buckets)).astype(np.int32)
+
+
+def _by_bucket(grams: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """(order of ascending distinct grams by bucket, where each bucket begins)."""
+    kind = _bucket(grams, buckets)
+    by = np.argsort(kind, kind="stable")
+    return by, np.searchsorted(kind[by], np.arange(buckets + 1))
+
+
+def _text_keys(data: np.ndarray, at: np.ndarray, order: int, size: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(keys, the text of each) of a run of texts, about size at once."""
+    seq, place, text = _sequence(data, at, order)
+    for k in range(0, len(place), size):
+        yield _keys(seq, place[k : k + size], order), text[k : k + size]
+
+
+def _ipc(parts: list[pa.RecordBatch]) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, parts[0].schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+        for part in parts:
+            out.write_batch(part)
+    return sink.getvalue().to_pybytes()
+
+
+BLOCKS = "block long, bucket int, grams binary, n binary, docs binary"
+
+
+def _cut_blocks(order: int, buckets: int, block: int, size: int = 1 << 20):
+    """Rows (id, held_out, text) to blocks: a row with the block's rows, bucket -1, and one for each run of its grams."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray]] = []
-        now = None
+        first = TaskContext.get().partitionId() << 32
+        tally, parts, filled, k = Tally(), [], 0, 0
 
         def out() -> pa.RecordBatch:
-            keys, n = _distinct(*[np.concatenate(x) for x in zip(*held, strict=True)])
-            n = np.where(keys & np.uint64(1), 0, n)  # the lowest bit tells a held-out text
-            grams, n = _distinct(keys >> np.uint64(1), n)
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), now)), pa.array(grams.view(np.int64)), pa.array(n)], names=["block", "gram", "n"])
+            keys, n = tally.sums()
+            grams, n = _distinct(keys >> np.uint64(1), np.where(keys & np.uint64(1), 0, n))  # the lowest bit tells a held-out text
+            by, at = _by_bucket(grams, buckets)
+            runs = [(b, grams[by[i:j]], n[by[i:j]]) for b, (i, j) in enumerate(zip(at[:-1], at[1:], strict=True)) if i < j]
+            return pa.RecordBatch.from_arrays(
+                [
+                    pa.array([first + k] * (1 + len(runs)), pa.int64()), pa.array([-1, *[b for b, _, _ in runs]], pa.int32()),
+                    pa.array([None, *[pack(g, True) for _, g, _ in runs]], pa.binary()), pa.array([None, *[pack(x) for _, _, x in runs]], pa.binary()),
+                    pa.array([_ipc(parts), *[None] * len(runs)], pa.binary()),
+                ],
+                names=["block", "bucket", "grams", "n", "docs"],
+            )
 
         for batch in batches:
-            blocks = batch.column("block").to_numpy()
             out_of = batch.column("held_out").to_numpy(zero_copy_only=False).astype(np.uint64)
-            edges = np.flatnonzero(np.concatenate([[True], blocks[1:] != blocks[:-1], [True]])) if len(blocks) else []
-            for a, b in zip(edges[:-1], edges[1:], strict=True):
-                if blocks[a] != now:
-                    if held:
-                        yield out()
-                    held, now = [], int(blocks[a])
-                for i, _, data, at in chunks(batch.column("text").slice(a, b - a), size):
-                    seq, place, text = _sequence(data, at, order)
-                    for k in range(0, len(place), size):
-                        keys = _keys(seq, place[k : k + size], order) << np.uint64(1) | out_of[a + i + text[k : k + size]]
-                        keys.sort()
-                        first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-                        held.append((keys[first], np.diff(np.append(first, len(keys)))))
-                        if sum(len(x) for x, _ in held) > 4 * size:
-                            held = [_distinct(*[np.concatenate(x) for x in zip(*held, strict=True)])]
-        if held:
+            for i, j, data, at in chunks(batch.column("text"), size):
+                for keys, text in _text_keys(data, at, order, size):
+                    keys = keys << np.uint64(1) | out_of[i + text]
+                    keys.sort()
+                    new = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+                    tally.add(keys[new], np.diff(np.append(new, len(keys))))
+                parts.append(batch.slice(i, j - i))
+                filled += len(data)
+                if filled >= block:
+                    yield out()
+                    tally, parts, filled, k = Tally(), [], 0, k + 1
+        if parts:
             yield out()
 
     return run
 
 
-def block_grams(texts: DataFrame, order: int = ORDER) -> DataFrame:
-    """(block, gram, n) of texts(held_out, block, text): distinct grams of order + 1 bytes; n leaves out held-out texts."""
-    return stored(texts.select("held_out", "block", "text").mapInArrow(_block_grams(order), "block long, gram long, n long"))
+def in_blocks(rows: DataFrame, order: int = ORDER, block: int = BLOCK, bytes_a_bucket: int = BYTES_A_BUCKET) -> tuple[DataFrame, int]:
+    """Blocks of rows (id, held_out, text), stored, and the number of buckets."""
+    total = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()["b"]
+    buckets = 2 * (total // bytes_a_bucket) + 1  # odd, so that no byte of a gram decides alone
+    return stored(rows.mapInArrow(_cut_blocks(order, buckets, block), BLOCKS)), buckets
+
+
+def _sum_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Runs (bucket, grams, n) in the order of their buckets to distinct grams and sums."""
+    now, tally = None, Tally()
+
+    def out() -> Iterator[pa.RecordBatch]:
+        grams, n = tally.sums()
+        for k in range(0, len(grams), 1 << 18):
+            yield pa.RecordBatch.from_arrays([pa.array(grams[k : k + (1 << 18)].view(np.int64)), pa.array(n[k : k + (1 << 18)])], names=["gram", "n"])
+
+    for batch in batches:
+        for bucket, grams, n in zip(*[batch.column(c).to_pylist() for c in ("bucket", "grams", "n")], strict=True):
+            if bucket != now:
+                yield from out()
+                now, tally = bucket, Tally()
+            tally.add(unpack(grams, np.uint64, True), unpack(n, np.int64))
+    yield from out()
+
+
+def count_grams(blocks: DataFrame) -> DataFrame:
+    """(gram, n): the distinct grams of all blocks; n leaves out held-out texts. Stored."""
+    runs = blocks.filter("bucket >= 0").select("bucket", "grams", "n")
+    return stored(runs.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_sum_runs, "gram long, n long"))
 
 
 def _low(x: Column, size: int) -> Column:
@@ -142,7 +230,7 @@ def _low(x: Column, size: int) -> Column:
 def level_tables(grams: DataFrame, order: int = ORDER) -> list[DataFrame]:
     """By context length: (gram, n, whole, symbols) of all grams in training texts, whole and symbols of the gram's context."""
     levels: list[DataFrame] = []
-    sums = grams.filter("n > 0").groupBy("gram").agg(F.sum("n").alias("n"))
+    sums = grams.filter("n > 0")
     for j in range(order, -1, -1):
         mates = Window.partitionBy(F.shiftrightunsigned("gram", 8))  # at most 256 rows
         levels.insert(0, stored(sums.select("gram", "n", F.sum("n").over(mates).alias("whole"), F.count("n").over(mates).alias("symbols"))))
@@ -205,11 +293,46 @@ def escaped_costs(grams: DataFrame, levels: list[DataFrame]) -> DataFrame:
 
 
 def gram_costs(grams: DataFrame, order: int = ORDER) -> DataFrame:
-    """(gram, cost) of all distinct grams of block_grams()."""
+    """(gram, cost) of the distinct grams (gram, n) of count_grams()."""
     levels = level_tables(grams, order)
     known = levels[order].select("gram", (F.log10("n") - F.log10(F.col("whole") + F.col("symbols"))).alias("cost"))
-    new = stored(grams.groupBy("gram").agg(F.max("n").alias("n")).filter("n = 0").select("gram"))
-    return known.unionByName(escaped_costs(new, levels))
+    return known.unionByName(escaped_costs(grams.filter("n = 0").select("gram"), levels))
+
+
+def _cost_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Each bucket's rows (gram, cost) and after them its runs, to the costs of each run's grams, in their order."""
+    now, new, gram, cost = None, [], np.zeros(0, np.uint64), np.zeros(0, np.float32)
+    for batch in batches:
+        buckets, blocks = batch.column("bucket").to_numpy(), batch.column("block").fill_null(-1).to_numpy()
+        edges = np.flatnonzero(np.concatenate([[True], (buckets[1:] != buckets[:-1]) | (blocks[1:] != blocks[:-1]), [True]])) if len(buckets) else []
+        rows = []
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            if buckets[a] != now:
+                now, new, gram, cost = buckets[a], [], np.zeros(0, np.uint64), np.zeros(0, np.float32)
+            if blocks[a] < 0:
+                new.append((batch.column("gram").slice(a, b - a).to_numpy().view(np.uint64), batch.column("cost").slice(a, b - a).to_numpy()))
+                continue
+            if new:
+                gram, cost = (np.concatenate(x) for x in zip((gram, cost), *new, strict=True))
+                by = np.argsort(gram)
+                new, gram, cost = [], gram[by], cost[by]
+            for i in range(a, b):
+                run = unpack(batch.column("grams")[i].as_py(), np.uint64, True)
+                rows.append((int(blocks[a]), int(now), pack(cost[np.searchsorted(gram, run)])))
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary())],
+            names=["block", "bucket", "costs"],
+        )
+
+
+def cost_runs(blocks: DataFrame, costs: DataFrame, buckets: int) -> DataFrame:
+    """(block, bucket, costs): of each run's grams in ascending order."""
+    runs = blocks.filter("bucket >= 0").select("bucket", "block", "grams", F.lit(None).cast("long").alias("gram"), F.lit(None).cast("float").alias("cost"))
+    rows = costs.select(
+        _bucket(F.col("gram"), buckets).alias("bucket"), F.lit(None).cast("long").alias("block"), F.lit(None).cast("binary").alias("grams"), "gram", F.col("cost").cast("float").alias("cost")
+    )
+    both = runs.unionByName(rows).repartition("bucket").sortWithinPartitions("bucket", F.col("block").asc_nulls_first())
+    return both.mapInArrow(_cost_runs, "block long, bucket int, costs binary")
 
 
 def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
@@ -228,16 +351,23 @@ def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
     return counts.filter(kind >= least)
 
 
-def score_texts(grams: np.ndarray, costs: np.ndarray, texts: pa.Array, order: int, size: int = 1 << 20) -> np.ndarray:
-    """log10 probability of each text and its end; grams are distinct and hold all that the texts have."""
-    slots, rows = hash_table(grams)
+def score_texts(texts: pa.Array, costs: list[tuple[int, np.ndarray]], order: int, buckets: int, size: int = 1 << 20) -> np.ndarray:
+    """log10 probability of each text of a block and its end; costs are those of the block's runs by bucket."""
+    tally = Tally()
+    for _, _, data, at in chunks(texts, size):
+        for keys, _ in _text_keys(data, at, order, size):
+            keys.sort()
+            keys = keys[np.concatenate([[True], keys[1:] != keys[:-1]])]
+            tally.add(keys, np.ones(len(keys), np.int64))
+    grams, _ = tally.sums()
+    by, _ = _by_bucket(grams, buckets)
+    slots, rows = hash_table(grams[by])
+    cost = np.concatenate([np.zeros(0, np.float32), *[c for _, c in sorted(costs, key=lambda x: x[0])]])
     parts = []
     for _, _, data, at in chunks(texts, size):
-        seq, place, text = _sequence(data, at, order)
         total = np.zeros(len(at) - 1)
-        for k in range(0, len(place), size):
-            found = rows[find_slot(slots, _keys(seq, place[k : k + size], order))]
-            total += np.bincount(text[k : k + size], weights=costs[found], minlength=len(total))
+        for keys, text in _text_keys(data, at, order, size):
+            total += np.bincount(text, weights=cost[rows[find_slot(slots, keys)]], minlength=len(total))
         parts.append(total)
     return np.concatenate(parts) if parts else np.zeros(0)
 
@@ -287,13 +417,16 @@ def _word_counts(flush: int = 1 << 18):
     return run
 
 
-def _scorer(context, costs: dict[bytes, float], order: int):
-    """A function of a block's texts and the costs of its grams, one row for each text."""
-    held = context.broadcast(costs)
+def _scorer(context, word_costs: dict[bytes, float], order: int, buckets: int):
+    """A function of a block's rows: its texts, and the costs of its runs."""
+    held = context.broadcast(word_costs)
 
-    def run(texts: pa.Table, grams: pa.Table) -> pa.Table:
+    def run(rows: pa.Table) -> pa.Table:
         cost = held.value
-        column = texts.column("text").combine_chunks()
+        runs = [(r["bucket"], unpack(r["costs"], np.float32)) for r in rows.select(["bucket", "costs"]).to_pylist() if r["bucket"] >= 0]
+        whole = next(x for x in rows.column("docs").to_pylist() if x is not None)
+        docs = pa.ipc.open_stream(whole).read_all()
+        column = docs.column("text").combine_chunks()
         data, at = buffers(column)
         n_tokens, n_known, base, words, times, rare_at = [], [], [], [], [], [0]
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
@@ -308,13 +441,13 @@ def _scorer(context, costs: dict[bytes, float], order: int):
                 times += rare.values()
             rare_at.append(len(words))
         rare = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(times, pa.int32())], names=["word", "m"])
-        gram, first = np.unique(grams.column("gram").to_numpy().view(np.uint64), return_index=True)  # a block read by two tasks has some twice
-        score = score_texts(gram, grams.column("cost").to_numpy()[first], column, order)
+        block = rows.column("block")[0].as_py()
         return pa.table(
             {
-                "rid": texts.column("rid"), "id": texts.column("id"), "held_out": texts.column("held_out"), "n_tokens": pa.array(n_tokens, pa.int64()),
-                "n_known": pa.array(n_known, pa.int64()), "base": pa.array(base, pa.float64()),
-                "rare": pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare), "score": pa.array(score),
+                "block": pa.array([block] * len(docs), pa.int64()), "row": pa.array(np.arange(len(docs), dtype=np.int32)), "id": docs.column("id"),
+                "held_out": docs.column("held_out"), "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()),
+                "base": pa.array(base, pa.float64()), "rare": pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare),
+                "score": pa.array(score_texts(column, runs, order, buckets)),
             }
         )
 
@@ -322,11 +455,11 @@ def _scorer(context, costs: dict[bytes, float], order: int):
 
 
 def score_documents(
-    docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, max_words: int = MAX_WORDS, block: int = BLOCK
-) -> DataFrame:
+    docs: DataFrame, held_out: Column, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, max_words: int = MAX_WORDS, block: int = BLOCK,
+    bytes_a_bucket: int = BYTES_A_BUCKET,
+) -> DataFrame:
     """(id, held_out, n_tokens, n_known, train_tokens, base_score, score) for each row; learns from rows not held out."""
     rows = docs.select(F.col(id_col).alias("id"), held_out.alias("held_out"), F.col(text_col).alias("text"))
-    rows = in_blocks(rows.withColumn("rid", F.monotonically_increasing_id()), size=block)
     train = rows.filter(~F.col("held_out"))
     counts = stored(train.select("text").mapInArrow(_word_counts(), "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
     sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
@@ -335,19 +468,22 @@ def score_documents(
     below = math.log10(tokens + SMOOTH * (kinds + 1))
     cost = lambda n: math.log10(n + SMOOTH) - below
     common = frequent(counts, max_words)
-    costs = {bytes(r["word"]): cost(r["n"]) for r in common.collect()}  # at most max_words rows
-    grams = block_grams(rows, order)
-    met = grams.select("block", "gram").join(gram_costs(grams, order), "gram").select("block", "gram", F.col("cost").cast("float").alias("cost"))
+    word_costs = {bytes(r["word"]): cost(r["n"]) for r in common.collect()}  # at most max_words rows
+    blocks, buckets = in_blocks(rows, order, block, bytes_a_bucket)
+    runs = cost_runs(blocks, gram_costs(count_grams(blocks), order), buckets)
+    both = runs.select("block", "bucket", "costs", F.lit(None).cast("binary").alias("docs")).unionByName(
+        blocks.filter("bucket < 0").select("block", "bucket", F.lit(None).cast("binary").alias("costs"), "docs")
+    )
     kind = rows.schema["id"].dataType.simpleString()
-    schema = f"rid long, id {kind}, held_out boolean, n_tokens long, n_known long, base double, rare array<struct<word: binary, m: int>>, score double"
-    scored = stored(rows.groupBy("block").cogroup(met.groupBy("block")).applyInArrow(_scorer(docs.sparkSession.sparkContext, costs, order), schema))
-    rare = scored.select("rid", F.explode("rare").alias("r")).select("rid", "r.word", "r.m")
+    schema = f"block long, row int, id {kind}, held_out boolean, n_tokens long, n_known long, base double, rare array<struct<word: binary, m: int>>, score double"
+    scored = stored(both.groupBy("block").applyInArrow(_scorer(docs.sparkSession.sparkContext, word_costs, order, buckets), schema))
+    rare = scored.select("block", "row", F.explode("rare").alias("r")).select("block", "row", "r.word", "r.m")
     met = rare.join(counts, "word", "left").select(
-        "rid", F.when(F.col("n").isNotNull(), F.col("m")).otherwise(0).cast("long").alias("known"),
+        "block", "row", F.when(F.col("n").isNotNull(), F.col("m")).otherwise(0).cast("long").alias("known"),
         (F.col("m") * (F.log10(F.coalesce("n", F.lit(0)) + F.lit(SMOOTH)) - F.lit(below))).alias("part"),
     )
-    tail = met.groupBy("rid").agg(F.sum("known").alias("known"), F.sum("part").alias("part"))
-    return scored.drop("rare").join(tail, "rid", "left").select(
+    tail = met.groupBy("block", "row").agg(F.sum("known").alias("known"), F.sum("part").alias("part"))
+    return scored.drop("rare").join(tail, ["block", "row"], "left").select(
         F.col("id").alias(id_col), "held_out", "n_tokens",
         (F.col("n_known") + F.coalesce("known", F.lit(0)) + F.lit(int(ends > 0))).alias("n_known"),
         F.lit(tokens).cast("long").alias("train_tokens"),
