@@ -6,8 +6,9 @@ fitted on them and on the probabilities of the earlier categories. In training t
 comes from a model, features selected anew, that has not seen the row. The threshold of each category is the one
 with the best F1 out of fold.
 
-The chain is fitted on a bounded sample of labelled rows: about MAX_ROWS, chosen by a hash of the id. Scoring reads
-whole texts.
+The chain is fitted on a bounded sample of labelled rows: about MAX_ROWS, chosen by a hash of the id. Spark counts each
+feature's rows by fold and class and selects the features; the driver gets the selected ones and the rows that have them.
+Scoring reads whole texts.
 
 Defined results: a null or empty text has no features, so it gets the models' intercepts; labels that repeat an id
 count as their maximum; labels with a null in a category teach that chain nothing; a category with one class in
@@ -20,10 +21,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from densereps.llm.textbytes import chunks, words
+from densereps.plans.lineage import stored
 
 #: Bound of the labelled sample, of the selected features, and the folds.
 MAX_ROWS, MAX_FEATURES, FOLDS = 6000, 384, 5
@@ -57,61 +59,61 @@ def _distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def encode(lengths: np.ndarray, feature: list[np.ndarray], least: int = MIN_ROWS, parts: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(rows, codes, features by code) of the features that at least so many rows have; in parts, to spare memory."""
-    row = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)
-    rows, codes, kinds, n = [np.zeros(0, np.int32)], [np.zeros(0, np.int32)], [np.zeros(0, np.int64)], 0
-    for part in range(parts):
-        at, places, values = 0, [], []
-        for piece in feature:  # as they came, without a copy of all
-            here = np.flatnonzero((piece & (parts - 1)) == part)
-            places.append(here + at)
-            values.append(piece[here])
-            at += len(piece)
-        here = np.concatenate([np.zeros(0, np.int64), *places])
-        found, own, df = np.unique(np.concatenate([np.zeros(0, np.int64), *values]), return_inverse=True, return_counts=True)
-        often = df >= least
-        code = (np.cumsum(often) - 1 + n).astype(np.int32)
-        held = often[own]
-        rows.append(row[here[held]])
-        codes.append(code[own[held]])
-        kinds.append(found[often])
-        n += int(often.sum())
-    return np.concatenate(rows), np.concatenate(codes), np.concatenate(kinds)
-
-
-def select(rows: np.ndarray, codes: np.ndarray, n_codes: int, y: np.ndarray, use: np.ndarray, most: int = MAX_FEATURES) -> np.ndarray:
-    """The codes whose presence among the used rows' positives differs most from chance, in units of its deviation."""
-    n, positive = int(use.sum()), y[use].mean()
-    df = np.bincount(codes, weights=use[rows], minlength=n_codes)
-    hits = np.bincount(codes, weights=(use * y)[rows], minlength=n_codes)
-    score = np.abs(hits - df * positive) / np.sqrt(np.maximum(df * positive * (1 - positive) * (1 - df / (n + 1)), 1e-9))
-    ok = np.flatnonzero((df >= MIN_ROWS) & (score >= MIN_SCORE))
-    return np.sort(ok[np.argsort(-score[ok], kind="stable")[:most]])
-
-
-def design(rows: np.ndarray, codes: np.ndarray, n_codes: int, chosen: np.ndarray, earlier: np.ndarray) -> np.ndarray:
-    """Presence of the chosen codes in every row, then the earlier categories' probabilities, then one."""
+def select(rows: DataFrame, names: list[str], folds: int = FOLDS, most: int = MAX_FEATURES) -> DataFrame:
+    """(category, fold, feature) of rows(fold, features, a boolean for each category): what the models of fold may use.
+
+    Fold k's come from the rows of the other folds, fold `folds`' from all. A feature counts if its presence among the
+    positives differs enough from chance, in units of its deviation; the most telling ones are kept.
+    """
+    counted = ["true", *[f"`{name}`" for name in names]]
+    spread = lambda: [F.sum(F.expr(f"int(fold = {k} AND {c})")).alias(f"n{j}_{k}") for j, c in enumerate(counted) for k in range(folds)]
+    whole = rows.agg(*spread())
+    each = rows.select("fold", *names, F.explode("features").alias("feature")).groupBy("feature").agg(*spread())
+    every = [f"n0_{k}" for k in range(folds)]
+    each = each.filter(F.expr("+".join(every)) >= MIN_ROWS)
+    total = whole.select([F.coalesce(c, F.lit(0)).alias(f"t{c}") for c in whole.columns])
+
+    def left(prefix: str, k: int) -> Column:
+        return F.expr(" + ".join(f"{prefix}_{f}" for f in range(folds) if f != k)).cast("double")
+
+    cases = []
+    for j, name in enumerate(names):
+        for k in range(folds + 1):
+            df, hits, n = left("n0", k), left(f"n{j + 1}", k), left("tn0", k)
+            positive = left(f"tn{j + 1}", k) / F.greatest(n, F.lit(1.0))
+            deviation = F.sqrt(F.greatest(df * positive * (1 - positive) * (1 - df / (n + 1)), F.lit(1e-9)))
+            cases.append(F.struct(F.lit(name).alias("category"), F.lit(k).alias("fold"), df.alias("df"), (F.abs(hits - df * positive) / deviation).alias("score")))
+    scored = each.crossJoin(F.broadcast(total)).select("feature", F.explode(F.array(*cases)).alias("c")).select("feature", "c.*")  # total is one row
+    rank = F.row_number().over(Window.partitionBy("category", "fold").orderBy(F.desc("score"), "feature"))
+    told = scored.filter((F.col("df") >= MIN_ROWS) & (F.col("score") >= MIN_SCORE))
+    return told.withColumn("rank", rank).filter(F.col("rank") <= most).select("category", "fold", "feature")
+
+
+def design(row: np.ndarray, feature: np.ndarray, chosen: np.ndarray, earlier: np.ndarray) -> np.ndarray:
+    """Presence of the chosen features, sorted, in every row, then the earlier categories' probabilities, then one."""
     x = np.zeros((len(earlier), len(chosen) + earlier.shape[1] + 1))
-    column = np.full(n_codes, -1, np.int32)
-    column[chosen] = np.arange(len(chosen))
-    at = column[codes]
-    hit = at >= 0
-    x[rows[hit], at[hit]] = 1
+    if len(chosen):
+        at = np.minimum(np.searchsorted(chosen, feature), len(chosen) - 1)
+        hit = chosen[at] == feature
+        x[row[hit], at[hit]] = 1
     x[:, len(chosen) : -1] = earlier
     x[:, -1] = 1
     return x
 
 
-def logistic(x: np.ndarray, y: np.ndarray, ridge: float = RIDGE, steps: int = 25) -> np.ndarray:
-    """Ridge logistic regression by Newton steps; the intercept is free."""
+def logistic(x: np.ndarray, y: np.ndarray, ridge: float = RIDGE, steps: int = 25, part: int = 1000) -> np.ndarray:
+    """Ridge logistic regression by Newton steps; the intercept is free. Sums go by parts of the rows, to spare memory."""
     w = np.zeros(x.shape[1])
     penalty = np.full(x.shape[1], ridge)
     penalty[-1] = 1e-6
     w[-1] = np.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + np.diag(penalty), x.T @ (y - p) - penalty * w)
+        p = sigmoid(x @ w)
+        curve = np.diag(penalty)
+        for at in range(0, len(y), part):
+            rows, q = x[at : at + part], p[at : at + part]
+            curve += (rows * (q * (1 - q))[:, None]).T @ rows
+        step = np.linalg.solve(curve, x.T @ (y - p) - penalty * w)
         w += step
         if np.abs(step).max() < 1e-4:
             break
@@ -122,14 +124,13 @@ def sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit_chain(lengths: np.ndarray, feature: list[np.ndarray], labels: np.ndarray, folds: int = FOLDS) -> list[dict]:
+def fit_chain(row: np.ndarray, feature: np.ndarray, labels: np.ndarray, fold: np.ndarray, chosen: list[list[np.ndarray]]) -> list[dict]:
     """One model for each column of labels: features, weights (earlier probabilities and one last), threshold.
 
-    lengths: distinct features of each row; feature: those of all rows, one row after another, in pieces.
+    (row, feature) are the selected features that the rows have; chosen[j][k] the sorted features of category j that
+    fold k may use, the last those of all rows.
     """
-    n = len(lengths)
-    rows, codes, kinds = encode(lengths, feature)
-    fold = np.arange(n) % folds
+    n, folds = len(labels), len(chosen[0]) - 1
     earlier, chain = np.zeros((n, 0)), []
     for j in range(labels.shape[1]):
         y = labels[:, j].astype(np.float64)
@@ -141,43 +142,47 @@ def fit_chain(lengths: np.ndarray, feature: list[np.ndarray], labels: np.ndarray
         out = np.zeros(n)
         for k in range(folds):
             fit, held = fold != k, fold == k
-            if not held.any() or y[fit].min() == y[fit].max():
+            if not held.any() or not fit.any() or y[fit].min() == y[fit].max():
                 out[held] = y[fit].mean() if fit.any() else 0.5
                 continue
-            chosen = select(rows, codes, len(kinds), y, fit)
-            x = design(rows, codes, len(kinds), chosen, earlier)
+            x = design(row, feature, chosen[j][k], earlier)
             out[held] = sigmoid(x[held] @ logistic(x[fit], y[fit]))
-        chosen = select(rows, codes, len(kinds), y, np.ones(n, bool))
-        w = logistic(design(rows, codes, len(kinds), chosen, earlier), y)
-        by = np.argsort(kinds[chosen])  # scoring searches sorted features
-        w = np.concatenate([w[: len(chosen)][by], w[len(chosen) :]])
-        chosen = kinds[chosen][by]
+        x = design(row, feature, chosen[j][folds], earlier)
+        w = logistic(x, y)
         by = np.argsort(-out, kind="stable")
         right = np.cumsum(y[by])
         f1 = 2 * right / (np.arange(1, n + 1) + y.sum())
         last = np.append(out[by][1:] < out[by][:-1], True)  # a threshold keeps ties together
         best = int(np.argmax(np.where(last, f1, -1)))
         threshold = (out[by][best] + (out[by][best + 1] if best + 1 < n else 0)) / 2
-        chain.append({"features": chosen, "weights": w, "constant": None, "threshold": float(np.clip(threshold, 0.05, 0.95))})
+        chain.append({"features": chosen[j][folds], "weights": w, "constant": None, "threshold": float(np.clip(threshold, 0.05, 0.95))})
         earlier = np.column_stack([earlier, out])
     return chain
 
 
-def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, id_col: str = "doc_id", text_col: str = "text", max_rows: int = MAX_ROWS) -> list[dict]:
+def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, id_col: str = "doc_id", text_col: str = "text", max_rows: int = MAX_ROWS, folds: int = FOLDS) -> list[dict]:
     """A chain fitted on about max_rows labelled texts."""
-    columns = [c for _, c, _ in categories]
+    columns, names = [c for _, c, _ in categories], [name for name, _, _ in categories]
     known = labels.groupBy(F.col(id_col).alias("i")).agg(*[F.max(c).alias(c) for c in columns]).na.drop()
     total = known.count()
     share = int((1 << 20) * min(1.0, max_rows / max(total, 1)))
     sample = known.filter(F.pmod(F.xxhash64(F.lit(6), F.col("i")), F.lit(1 << 20)) < share)  # bounded, so broadcast
     texts = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("text")).join(F.broadcast(sample), "i")
-    rows = texts.orderBy("i", F.xxhash64("text")).select("i", *[(F.col(c) == v).alias(name) for name, c, v in categories], "text")
-    schema = ", ".join(["i long", *[f"`{name}` boolean" for name, _, _ in categories], "features array<long>"])
-    found = rows.withColumn("i", F.col("i").cast("long")).mapInArrow(_distinct, schema).toArrow()
-    pieces = found.column("features").chunks
-    lengths = np.concatenate([np.zeros(0, np.int64), *[np.asarray(x.value_lengths()) for x in pieces]])
-    labels = np.column_stack([found.column(name).to_numpy() for name, _, _ in categories])
-    return fit_chain(lengths, [np.asarray(x.flatten()) for x in pieces], labels)
+    fold = F.pmod(F.xxhash64(F.lit(7), F.col("i")), F.lit(folds)).cast("int")  # rows of one id stay together
+    rows = texts.select(F.xxhash64("i", "text").alias("key"), fold.alias("fold"), *[(F.col(c) == v).alias(name) for name, c, v in categories], "text")
+    schema = ", ".join(["key long, fold int", *[f"`{name}` boolean" for name in names], "features array<long>"])
+    held = stored(rows.mapInArrow(_distinct, schema))
+    chosen = {}
+    for r in select(held, names, folds).collect():  # at most MAX_FEATURES for each category and fold
+        chosen.setdefault((r["category"], r["fold"]), []).append(r["feature"])
+    used = [[np.sort(np.array(chosen.get((name, k), []), np.int64)) for k in range(folds + 1)] for name in names]
+    wanted = np.unique(np.concatenate([x for per in used for x in per])).tolist()
+    own = F.array_intersect("features", F.lit(wanted)) if wanted else F.array().cast("array<long>")
+    found = held.select("key", "fold", *names, own.alias("features")).orderBy("key").toArrow()
+    lists = found.column("features").combine_chunks()
+    row = np.repeat(np.arange(len(found)), np.asarray(lists.value_lengths()) if len(found) else 0)
+    values = np.column_stack([found.column(name).to_numpy() for name in names])
+    return fit_chain(row, np.asarray(lists.flatten()), values, found.column("fold").to_numpy(), used)
 
 
 def probabilities(chain: list[dict], bitmap: np.ndarray, data: np.ndarray, at: np.ndarray) -> np.ndarray:

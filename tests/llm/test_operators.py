@@ -408,13 +408,29 @@ def test_toxicity_edges(spark, docs):
     assert kept.columns == docs.columns and kept.count() <= docs.count()
 
 
-def test_chain_feeds_out_of_fold_probabilities():
+def test_chain_feeds_out_of_fold_probabilities(spark):
     rng = np.random.default_rng(4)
     y0 = rng.random(400) < 0.5
     y1 = y0 ^ (rng.random(400) < 0.02)
     sets = [np.unique(np.append(rng.integers(1000, 1020, 5), 1 if a else 2)) for a in y0]
-    chain = toxicity.fit_chain(np.array([len(x) for x in sets]), sets, np.column_stack([y0, y1]))
+    fold = np.arange(400) % 5
+    rows = spark.createDataFrame([(int(k), bool(a), bool(b), s.tolist()) for k, a, b, s in zip(fold, y0, y1, sets)], "fold int, a boolean, b boolean, features array<long>")
+    found = [(r.category, r.fold, r.feature) for r in toxicity.select(rows, ["a", "b"]).collect()]
+    chosen = [[np.array(sorted(f for c, j, f in found if (c, j) == (name, k)), np.int64) for k in range(6)] for name in "ab"]
+    row = np.repeat(np.arange(400), [len(x) for x in sets])
+    chain = toxicity.fit_chain(row, np.concatenate(sets), np.column_stack([y0, y1]), fold, chosen)
     assert len(chain[1]["weights"]) == len(chain[1]["features"]) + 2  # one earlier probability, one intercept
+    # the selection by brute force
+    for j, y in enumerate((y0, y1)):
+        for k in range(6):
+            use = fold != k
+            want = set()
+            for f in np.unique(np.concatenate(sets)):
+                has = np.array([f in s for s in sets]) & use
+                df, hits, p = has.sum(), (has & y).sum(), y[use].mean()
+                if df >= toxicity.MIN_ROWS and abs(hits - df * p) / math.sqrt(max(df * p * (1 - p) * (1 - df / (use.sum() + 1)), 1e-9)) >= toxicity.MIN_SCORE:
+                    want.add(int(f))
+            assert set(chosen[j][k].tolist()) == want
 
 
 # ---- LM scoring
@@ -449,7 +465,7 @@ def brute_ppm(train, text, order):
 def test_lm_scores_against_brute_force(docs, max_words, block):
     small = docs.filter("doc_id IS NULL OR doc_id <> 7")
     held = F.coalesce(F.col("doc_id") % 2 == 0, F.lit(True))
-    got = ppm.score_documents(small, held, order=3, max_words=max_words, block=block).collect()
+    got = ppm.score_documents(small, held, order=3, max_words=max_words, block=block, bytes_a_bucket=100 * block).collect()
     rows = [(r.doc_id, r.text) for r in small.collect()]
     train = [t for i, t in rows if i is not None and i % 2]
     counts = collections.Counter(w for t in train for w in lowered(t).encode().split())
