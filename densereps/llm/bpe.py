@@ -1,11 +1,11 @@
 """Byte-level BPE: ranked merges folded over the byte arrays of distinct words; decoding joins the pieces.
 
-A text is cut into words by the pattern. The corpus's distinct words are counted over all texts, and the MAX_WORDS most
-frequent ones are merged by Spark higher-order functions: a word is an array of byte pieces, and each step of the
-fold joins the leftmost neighbours of least rank. The rank map is a literal: an array of buckets, by the pair's
-hash, of (piece, rank). The merged words, bounded by MAX_WORDS of at most MAX_FOLD bytes, are broadcast; any
-other word, longer or rarer, gets the same merges where it occurs: those of a stretch of texts together, one pair of
-each word in a step, and words of over MAX_TOGETHER bytes one by one with a heap. Decoding concatenates the pieces.
+A text is cut into words by the pattern. All merges are folds of Spark higher-order functions: a word is an array of byte
+pieces, and each step of the fold joins the leftmost neighbours of least rank. The rank map is a literal: an array of
+buckets, by the pair's hash, of (piece, rank). The corpus's words are counted over all texts, and the MAX_WORDS most
+frequent distinct ones are folded once; every text's other distinct words are folded with their text. Only words of over
+MAX_FOLD bytes, for which arrays that are copied in each step take time by the square of their length, get the same
+merges with a heap. Decoding looks up each id's piece and concatenates the binary pieces, in Spark as well.
 
 Defined results: a null or empty text has no ids and decodes to nothing; special tokens are ordinary text; texts
 are read whole; columns besides the text pass through.
@@ -26,17 +26,11 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densereps.llm.hashtable import find_slot, hash_table
 from densereps.plans.lineage import cut
 
-#: Distinct words whose merges are folded and broadcast, and the longest of them in bytes.
-MAX_WORDS, MAX_FOLD = 1 << 16, 24
-#: Rarer words that a task keeps at once.
-CACHE = 1 << 16
-#: Bytes of the longest rarer word that is merged together with others.
-MAX_TOGETHER = 64
+#: Frequent distinct words whose merges are folded once, and the longest word in bytes that is folded.
+MAX_WORDS, MAX_FOLD = 1 << 16, 256
 _BUCKETS = 1 << 16
-_NONE = 2**31 - 1
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -69,60 +63,6 @@ def merge(word: bytes, ranks: dict[bytes, int]) -> list[int]:
     return [ranks[word[i : end[i]]] for i in range(n) if alive[i]]
 
 
-def pair_table(ranks: dict[bytes, int]) -> dict:
-    """For merging many words at once: single bytes' ids, and the id that each pair of ids becomes, by hashed pair."""
-    pairs: dict[int, int] = {}
-    for piece, rank in ranks.items():
-        for k in range(1, len(piece)):
-            if (a := ranks.get(piece[:k])) is not None and (b := ranks.get(piece[k:])) is not None:
-                pairs[a << 32 | b] = rank
-    keys = np.fromiter(pairs, np.uint64, len(pairs))
-    slots, rows = hash_table(keys)
-    joined = np.append(np.fromiter(pairs.values(), np.int64, len(pairs)), _NONE).astype(np.int32)
-    single = np.array([ranks.get(bytes([b]), -1) for b in range(256)], np.int32)
-    return {"slots": slots, "joined": joined[rows], "single": single}
-
-
-def _rank_pairs(table: dict, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """What each pair of ids becomes, _NONE if nothing."""
-    at = find_slot(table["slots"], a.astype(np.uint64) << np.uint64(32) | b.astype(np.uint64))
-    return np.where(at >= 0, table["joined"][at], _NONE)
-
-
-def merge_many(words: list[bytes], table: dict) -> list[bytes]:
-    """merge() of many words of similar length at once, as little-endian 32-bit ids: a step joins one pair in each word."""
-    sizes = np.fromiter(map(len, words), np.int64, len(words))
-    width = int(sizes.max())
-    column = np.arange(width)
-    inside = column < sizes[:, None]
-    ids = np.full((len(words), width), -1, np.int32)
-    ids[inside] = table["single"][np.frombuffer(b"".join(words), np.uint8)]
-    ranks = np.full((len(words), width), _NONE, np.int32)
-    pair = inside[:, 1:]
-    ranks[:, :-1][pair] = _rank_pairs(table, ids[:, :-1][pair], ids[:, 1:][pair])
-    left = np.flatnonzero(ranks.min(axis=1) < _NONE)
-    live, rank = ids[left], ranks[left]
-    while len(left):
-        row = np.arange(len(left))
-        at = rank.argmin(axis=1)  # leftmost
-        live[row, at] = rank[row, at]
-        shifted = np.minimum(column + (column > at[:, None]), width - 1)
-        sizes[left] -= 1
-        n = sizes[left]
-        live = np.take_along_axis(live, shifted, axis=1)
-        rank = np.take_along_axis(rank, np.minimum(column + (column >= at[:, None]), width - 1), axis=1)
-        rank[row, n - 1] = _NONE
-        for place in (at - 1, at):
-            ok = np.flatnonzero((place >= 0) & (place + 1 < n))
-            rank[ok, place[ok]] = _rank_pairs(table, live[ok, place[ok]], live[ok, place[ok] + 1])
-        done = rank.min(axis=1) == _NONE
-        ids[left[done]] = live[done]
-        left, live, rank = left[~done], live[~done], rank[~done]
-    flat = ids[column < sizes[:, None]].astype("<u4").tobytes()
-    ends = (np.cumsum(sizes) * 4).tolist()
-    return [flat[b - 4 * k : b] for b, k in zip(ends, sizes.tolist(), strict=True)]
-
-
 def _bucket(piece: Column) -> Column:
     return F.pmod(F.crc32(piece), F.lit(_BUCKETS)).cast("int")
 
@@ -140,9 +80,8 @@ def _let(value: Column, then) -> Column:
     return F.get(F.transform(F.array(value), then), F.lit(0))
 
 
-def fold_words(words: DataFrame, ranks: dict[bytes, int], word: str = "word") -> DataFrame:
-    """words(word binary) with ids: merges of each word by higher-order functions over its bytes."""
-    table = rank_literal(ranks)
+def fold(word: Column, table: Column) -> Column:
+    """Ids of a word of bytes: its merges by higher-order functions; table is the literal rank map."""
     none, nothing = F.lit(2**31 - 1), F.array().cast("array<int>")
 
     def rank(piece: Column) -> Column:
@@ -172,12 +111,18 @@ def fold_words(words: DataFrame, ranks: dict[bytes, int], word: str = "word") ->
         merged = _let(F.array_min(rs), lambda low: F.when(low < none, _let(F.array_position(rs, low).cast("int") - 1, lambda at: join_at(ps, rs, at))))
         return F.coalesce(merged, state)
 
-    n = F.octet_length(word)
-    pieces = F.transform(F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(nothing), lambda i: F.substring(F.col(word), i, F.lit(1)))
-    steps = F.when(n > 1, F.sequence(F.lit(2), n)).otherwise(nothing)
-    folded = F.aggregate(steps, _let(pieces, start), step)
-    whole = rank(F.col(word))
-    return words.select(word, F.when(whole < none, F.array(whole)).otherwise(F.transform(folded["ps"], rank)).alias("ids"))
+    def folded(w: Column) -> Column:
+        n = F.octet_length(w)
+        pieces = F.transform(F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(nothing), lambda i: F.substring(w, i, F.lit(1)))
+        steps = F.when(n > 1, F.sequence(F.lit(2), n)).otherwise(nothing)
+        return F.transform(F.aggregate(steps, _let(pieces, start), step)["ps"], rank)
+
+    return _let(rank(word), lambda whole: F.when(whole < none, F.array(whole)).otherwise(folded(word)))
+
+
+def fold_words(words: DataFrame, ranks: dict[bytes, int], word: str = "word") -> DataFrame:
+    """words(word binary) with ids."""
+    return words.select(word, _let(rank_literal(ranks), lambda table: fold(F.col(word), table)).alias("ids"))
 
 
 def _counts(pattern: str, max_fold: int, flush: int = 1 << 18):
@@ -222,73 +167,104 @@ def frequent_words(docs: DataFrame, pattern: str, text_col: str = "text", max_wo
     return counts.filter(kind >= least).select("word")
 
 
-CODES = "ids binary, n_tokens long, decoded binary"
-
+def _cutter(spark: SparkSession, frequent: dict[str, int], ranks: dict[bytes, int], pattern: str, max_fold: int):
+    """A column function: text to codes of its words, in order, and the distinct words that the codes below zero stand for.
 
-def _coder(spark: SparkSession, folded: list, ranks: dict[bytes, int], pattern: str, size: int = 1 << 19):
-    held = spark.sparkContext.broadcast((dict(folded), ranks, pair_table(ranks)))
+    A code from zero on is a frequent word's place. The words over max_fold bytes come with their ids.
+    """
+    held = spark.sparkContext.broadcast((frequent, ranks))
 
-    @F.arrow_udf(CODES)
+    @F.arrow_udf("codes array<int>, words array<binary>, long array<array<int>>")
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         find = regex.compile(pattern).findall
-        packed, ranked, table = held.value
-        pieces = [b""] * (max(ranked.values(), default=-1) + 1)
-        for piece, rank in ranked.items():
-            pieces[rank] = piece
-        rare: dict[str, bytes] = {}
-
-        def learn(words: set[str]) -> None:
-            """Merges words in groups of similar length; long ones one by one."""
-            groups: dict[int, list[tuple[str, bytes]]] = {}
-            for word in words:
-                raw = word.encode()
-                whole = ranked.get(raw)
-                if whole is not None:
-                    rare[word] = whole.to_bytes(4, "little")
-                elif len(raw) > MAX_TOGETHER:
-                    rare[word] = b"".join([i.to_bytes(4, "little") for i in merge(raw, ranked)])
-                else:
-                    groups.setdefault(-(-len(raw) // 4), []).append((word, raw))
-            for group in groups.values():
-                for at in range(0, len(group), 1 << 14):
-                    part = group[at : at + (1 << 14)]
-                    rare.update(zip([w for w, _ in part], merge_many([r for _, r in part], table), strict=True))
+        place, ranked = held.value
+
+        class Codes(dict):
+            """Known words' codes; a new word gets the next one below zero."""
+
+            def __missing__(self, word: str) -> int:
+                code = place.get(word)
+                if code is None:
+                    code = -1 - len(new)
+                    new.append(word)
+                self[word] = code
+                return code
 
         for texts in batches:
-            ids, back, at, all_texts = [], [], 0, texts.to_pylist()
-            while at < len(all_texts):
-                end, held_size = at, 0
-                while end < len(all_texts) and (end == at or held_size < size):
-                    held_size += len(all_texts[end] or "")
-                    end += 1
-                found = [find(t) if t else [] for t in all_texts[at:end]]
-                needed = set().union(*found).difference(packed)
-                if len(rare) + len(needed) > CACHE:
-                    rare.clear()
-                learn(needed.difference(rare))
-                for words in found:
-                    raw = b"".join([packed.get(w) or rare[w] for w in words])
-                    ids.append(raw)
-                    back.append(decode_ids(raw, pieces))
-                at = end
+            codes, code_at, words, word_at, long, long_at = [], [0], [], [0], [], [0]
+            for text in texts.to_pylist():
+                new: list[str] = []
+                codes.append(np.fromiter(map(Codes().__getitem__, find(text) if text else ()), np.int32))
+                code_at.append(code_at[-1] + len(codes[-1]))
+                raw = [w.encode() for w in new]
+                # a long word's place among the words holds nothing, and its ids come in the second list
+                ids = [merge(w, ranked) if len(w) > max_fold else None for w in raw]
+                words += [w if i is None else None for w, i in zip(raw, ids, strict=True)]
+                word_at.append(len(words))
+                long += ids if any(i is not None for i in ids) else []
+                long_at.append(len(long))
+            flat = np.concatenate([np.zeros(0, np.int32), *codes])
             yield pa.StructArray.from_arrays(
-                [pa.array(ids, pa.binary()), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(back, pa.binary())],
-                names=["ids", "n_tokens", "decoded"],
+                [
+                    pa.ListArray.from_arrays(pa.array(code_at, pa.int32()), pa.array(flat)),
+                    pa.ListArray.from_arrays(pa.array(word_at, pa.int32()), pa.array(words, pa.binary())),
+                    pa.ListArray.from_arrays(pa.array(long_at, pa.int32()), pa.array(long, pa.list_(pa.int32()))),
+                ],
+                names=["codes", "words", "long"],
             )
 
     return run
 
 
-def decode_ids(raw: bytes, pieces: list[bytes]) -> bytes:
-    """The pieces of little-endian 32-bit ids, concatenated."""
-    return b"".join(map(pieces.__getitem__, np.frombuffer(raw, "<u4").tolist()))
+def _bytes_table(rows: list[bytes]) -> Column:
+    """A literal array of binary values, once the optimizer has folded it."""
+    return F.from_json(F.lit(json.dumps([base64.b64encode(x).decode() for x in rows])), "array<binary>")
+
+
+def _joined(parts: Column) -> Column:
+    """The binary values of an array, concatenated."""
+    return F.array_join(F.transform(parts, lambda x: x.cast("string")), "").cast("binary")
+
+
+def pack_ids(ids: Column, ranks: dict[bytes, int]) -> Column:
+    """An array of ids as little-endian unsigned 32-bit integers."""
+    table = _bytes_table([i.to_bytes(4, "little") for i in range(max(ranks.values(), default=-1) + 1)])
+    return _joined(F.transform(ids, lambda i: F.get(table, i)))
+
+
+def decode(ids: Column, ranks: dict[bytes, int]) -> Column:
+    """The pieces of an array of ids, concatenated."""
+    pieces = [b""] * (max(ranks.values(), default=-1) + 1)
+    for piece, i in ranks.items():
+        pieces[i] = piece
+    table = _bytes_table(pieces)
+    return _joined(F.transform(ids, lambda i: F.get(table, i)))
+
+
+def encode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", max_words: int = MAX_WORDS, max_fold: int = MAX_FOLD) -> DataFrame:
+    """docs with an array column into: the ids of each text."""
+    ranks = read_ranks(path)
+    words = frequent_words(docs, pattern, text_col, max_words, max_fold)
+    known = fold_words(words, ranks).collect()  # at most max_words short words
+    place = {bytes(r["word"]).decode(): k for k, r in enumerate(known)}
+    frequent = F.from_json(F.lit(json.dumps([r["ids"] for r in known])), "array<array<int>>")
+    cut_up = f"{into}__cut"
+    while cut_up in docs.columns:
+        cut_up += "_"
+    coded = docs.withColumn(cut_up, _cutter(docs.sparkSession, place, ranks, pattern, max_fold)(F.col(text_col)))
+    own = _let(
+        rank_literal(ranks), lambda table: F.transform(F.col(cut_up)["words"], lambda w, k: F.when(w.isNull(), F.get(F.col(cut_up)["long"], k)).otherwise(fold(w, table)))
+    )
+    ids = _let(own, lambda rare: F.flatten(F.transform(F.col(cut_up)["codes"], lambda c: F.when(c >= 0, F.get(frequent, c)).otherwise(F.get(rare, -1 - c)))))
+    return coded.withColumn(into, ids).drop(cut_up)
 
 
 def encode_and_decode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", **options) -> DataFrame:
     """docs with a struct column into: ids as little-endian unsigned 32-bit integers, n_tokens, and the decoded bytes."""
     ranks = read_ranks(path)
-    words = frequent_words(docs, pattern, text_col, **options)
-    folded = [
-        (bytes(r["word"]).decode(), b"".join(i.to_bytes(4, "little") for i in r["ids"])) for r in fold_words(words, ranks).collect()
-    ]  # at most MAX_WORDS short words
-    return docs.withColumn(into, _coder(docs.sparkSession, folded, ranks, pattern)(F.col(text_col)))
+    made = lambda ids: F.struct(pack_ids(ids, ranks).alias("ids"), F.size(ids).cast("long").alias("n_tokens"), decode(ids, ranks).alias("decoded"))
+    own = f"{into}__ids"
+    while own in docs.columns:
+        own += "_"
+    coded = encode(docs, own, path, pattern, text_col, **options)
+    return coded.withColumn(into, _let(F.col(own), made)).drop(own)
