@@ -9,10 +9,10 @@ has); its score is the log10 probability of all that follows the start.
 
 The texts are cut into blocks of about BLOCK bytes, in one pass that stores each block's texts and its distinct grams of
 ORDER + 1 bytes with their counts in training texts, the grams as packed sorted runs, one for each bucket of grams. A
-bucket's runs are summed one after another; the sums are the longest table, and shorter tables are sums of longer ones. A
-gram of some training text costs what its own context says. Any other gram meets all its shorter grams and contexts in
-one join and pays its escapes. Then each run meets the costs of its bucket, and each block's texts the costs of its runs.
-A task holds one bucket's distinct grams or one block, never the model; buckets grow in number with the texts.
+bucket has all grams of its contexts. Its runs are summed one after another; the sums are the longest table, and shorter
+tables are sums of longer ones. A gram of some training text costs what its own context says. Any other gram meets all its
+shorter grams and contexts in one join and pays its escapes. Then each run gets the costs of its bucket, and each block's
+texts the costs of its runs. A task holds one bucket or one block, never the model; buckets grow in number with the texts.
 
 Adaptive: code_length() starts from an empty trie and learns each byte after coding it; one text at a time.
 
@@ -83,13 +83,15 @@ def _distinct(keys: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
     if not parts:
         return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    if len(parts) == 1:
+        return parts[0]
     return _distinct(*[np.concatenate(x) for x in zip(*parts, strict=True)])
 
 
 class Tally:
     """Sums by key, of which only the distinct keys and a limited number of new ones are held."""
 
-    def __init__(self, spare: int = 1 << 21):
+    def __init__(self, spare: int = 1 << 20):
         self.parts, self.spare, self.new = [], spare, 0
 
     def add(self, keys: np.ndarray, n: np.ndarray) -> None:
@@ -118,11 +120,13 @@ def unpack(raw: bytes, kind, sort_of: bool = False) -> np.ndarray:
 
 
 def _bucket(gram, buckets: int):
-    """The bucket of a gram; the same for arrays and columns."""
+    """The bucket of a gram, by its context; the same for arrays and columns."""
     if isinstance(gram, Column):
-        mixed = gram.bitwiseXOR(F.shiftright(gram, 13)).bitwiseXOR(F.shiftright(gram, 29))
+        context = F.shiftright(gram, 8)
+        mixed = context.bitwiseXOR(F.shiftright(context, 13)).bitwiseXOR(F.shiftright(context, 29))
         return F.pmod(mixed, F.lit(buckets)).cast("int")
-    mixed = gram ^ (gram >> np.uint64(13)) ^ (gram >> np.uint64(29))
+    context = gram >> np.uint64(8)
+    mixed = context ^ (context >> np.uint64(13)) ^ (context >> np.uint64(29))
     return (mixed % np.uint64(buckets)).astype(np.int32)
 
 
@@ -151,7 +155,7 @@ def _ipc(parts: list[pa.RecordBatch]) -> bytes:
 BLOCKS = "block long, bucket int, grams binary, n binary, docs binary"
 
 
-def _cut_blocks(order: int, buckets: int, block: int, size: int = 1 << 20):
+def _cut_blocks(order: int, buckets: int, block: int, size: int = 1 << 19):
     """Rows (id, held_out, text) to blocks: a row with the block's rows, bucket -1, and one for each run of its grams."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,7 +164,9 @@ def _cut_blocks(order: int, buckets: int, block: int, size: int = 1 << 20):
 
         def out() -> pa.RecordBatch:
             keys, n = tally.sums()
+            tally.parts.clear()
             grams, n = _distinct(keys >> np.uint64(1), np.where(keys & np.uint64(1), 0, n))  # the lowest bit tells a held-out text
+            del keys
             by, at = _by_bucket(grams, buckets)
             runs = [(b, grams[by[i:j]], n[by[i:j]]) for b, (i, j) in enumerate(zip(at[:-1], at[1:], strict=True)) if i < j]
             return pa.RecordBatch.from_arrays(
@@ -198,14 +204,24 @@ def in_blocks(rows: DataFrame, order: int = ORDER, block: int = BLOCK, bytes_a_b
     return stored(rows.mapInArrow(_cut_blocks(order, buckets, block), BLOCKS)), buckets
 
 
+def _contexts(grams: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each of ascending grams: the sum of n over its context, how many have any, and whether some have none."""
+    context = grams >> np.uint64(8)
+    first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(grams) else np.zeros(0, np.int64)
+    size = np.diff(np.append(first, len(grams)))
+    over = lambda x: np.repeat(np.add.reduceat(x, first), size) if len(first) else np.zeros(0, np.int64)
+    return over(n), over((n > 0).astype(np.int64)), over((n == 0).astype(np.int64)) > 0
+
+
 def _sum_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Runs (bucket, grams, n) in the order of their buckets to distinct grams and sums."""
+    """Runs (bucket, grams, n) in the order of their buckets to distinct grams and what _contexts() tells of them."""
     now, tally = None, Tally()
 
     def out() -> Iterator[pa.RecordBatch]:
         grams, n = tally.sums()
-        for k in range(0, len(grams), 1 << 18):
-            yield pa.RecordBatch.from_arrays([pa.array(grams[k : k + (1 << 18)].view(np.int64)), pa.array(n[k : k + (1 << 18)])], names=["gram", "n"])
+        columns = [grams.view(np.int64), n, *_contexts(grams, n)]
+        for k in range(0, len(grams), 1 << 17):
+            yield pa.RecordBatch.from_arrays([pa.array(c[k : k + (1 << 17)]) for c in columns], names=["gram", "n", "whole", "symbols", "asked"])
 
     for batch in batches:
         for bucket, grams, n in zip(*[batch.column(c).to_pylist() for c in ("bucket", "grams", "n")], strict=True):
@@ -217,9 +233,13 @@ def _sum_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def count_grams(blocks: DataFrame) -> DataFrame:
-    """(gram, n): the distinct grams of all blocks; n leaves out held-out texts. Stored."""
+    """(gram, n, whole, symbols, asked): the distinct grams of all blocks; n leaves out held-out texts. Stored.
+
+    whole and symbols are the gram's context's; asked tells that the context has a gram without training text.
+    """
     runs = blocks.filter("bucket >= 0").select("bucket", "grams", "n")
-    return stored(runs.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_sum_runs, "gram long, n long"))
+    sums = runs.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_sum_runs, "gram long, n long, whole long, symbols long, asked boolean")
+    return stored(sums)
 
 
 def _low(x: Column, size: int) -> Column:
@@ -229,12 +249,11 @@ def _low(x: Column, size: int) -> Column:
 
 def level_tables(grams: DataFrame, order: int = ORDER) -> list[DataFrame]:
     """By context length: (gram, n, whole, symbols) of all grams in training texts, whole and symbols of the gram's context."""
-    levels: list[DataFrame] = []
-    sums = grams.filter("n > 0")
-    for j in range(order, -1, -1):
+    levels = [grams.filter("n > 0")]
+    for j in range(order, 0, -1):
+        sums = levels[0].groupBy(_low(F.col("gram"), j).alias("gram")).agg(F.sum("n").alias("n"))
         mates = Window.partitionBy(F.shiftrightunsigned("gram", 8))  # at most 256 rows
         levels.insert(0, stored(sums.select("gram", "n", F.sum("n").over(mates).alias("whole"), F.count("n").over(mates).alias("symbols"))))
-        sums = levels[0].groupBy(_low(F.col("gram"), j).alias("gram")).agg(F.sum("n").alias("n"))
     return levels
 
 
@@ -251,7 +270,8 @@ def _model(levels: list[DataFrame]) -> DataFrame:
             parts.append(table.select((F.col("gram") + F.lit(j << 56)).alias("key"), F.log10("n").alias("a"), *[F.lit(None).cast("double").alias(x) for x in "bcd"]))
         if j:
             up = levels[j - 1].select(F.col("gram").alias("shorter"), F.col("n").alias("m"), F.col("whole").alias("w"), F.col("symbols").alias("s"))
-            met = table.join(up, _low(F.col("gram"), j) == F.col("shorter"))
+            asked = table.filter("asked") if j == len(levels) - 1 else table
+            met = asked.join(up, _low(F.col("gram"), j) == F.col("shorter"))
             each = met.groupBy(F.shiftrightunsigned("gram", 8).alias("context")).agg(
                 F.first("whole").alias("whole"), F.first("symbols").alias("symbols"), F.sum("m").alias("gone"), F.first("w").alias("w"), F.first("s").alias("s")
             )
@@ -292,44 +312,50 @@ def escaped_costs(grams: DataFrame, levels: list[DataFrame]) -> DataFrame:
     return grams.select("gram").join(got, "gram", "left").select("gram", first.alias("cost"))
 
 
-def gram_costs(grams: DataFrame, order: int = ORDER) -> DataFrame:
-    """(gram, cost) of the distinct grams (gram, n) of count_grams()."""
-    levels = level_tables(grams, order)
-    known = levels[order].select("gram", (F.log10("n") - F.log10(F.col("whole") + F.col("symbols"))).alias("cost"))
-    return known.unionByName(escaped_costs(grams.filter("n = 0").select("gram"), levels))
+def _cost_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Each bucket's rows (gram, cost) of escaping grams and after them its runs, to the costs of each run's grams, in their order."""
+    now, new, runs = None, [], []
 
+    def out() -> Iterator[pa.RecordBatch]:
+        tally = Tally()
+        for _, grams, n in runs:
+            tally.add(unpack(grams, np.uint64, True), unpack(n, np.int64))
+        grams, n = tally.sums()
+        whole, symbols, _ = _contexts(grams, n)
+        with np.errstate(divide="ignore"):
+            cost = (np.log10(n) - np.log10(whole + symbols)).astype(np.float32)
+        if new:
+            gram, escaped = (np.concatenate(x) for x in zip(*new, strict=True))
+            cost[np.searchsorted(grams, gram)] = escaped
+        for k in range(0, len(runs), 64):
+            part = runs[k : k + 64]
+            costs = [pack(cost[np.searchsorted(grams, unpack(g, np.uint64, True))]) for _, g, _ in part]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([b for b, _, _ in part], pa.int64()), pa.array([now] * len(part), pa.int32()), pa.array(costs, pa.binary())],
+                names=["block", "bucket", "costs"],
+            )
 
-def _cost_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Each bucket's rows (gram, cost) and after them its runs, to the costs of each run's grams, in their order."""
-    now, new, gram, cost = None, [], np.zeros(0, np.uint64), np.zeros(0, np.float32)
     for batch in batches:
         buckets, blocks = batch.column("bucket").to_numpy(), batch.column("block").fill_null(-1).to_numpy()
-        edges = np.flatnonzero(np.concatenate([[True], (buckets[1:] != buckets[:-1]) | (blocks[1:] != blocks[:-1]), [True]])) if len(buckets) else []
-        rows = []
+        rows = blocks < 0
+        edges = np.flatnonzero(np.concatenate([[True], (buckets[1:] != buckets[:-1]) | (rows[1:] != rows[:-1]), [True]])) if len(buckets) else []
         for a, b in zip(edges[:-1], edges[1:], strict=True):
             if buckets[a] != now:
-                now, new, gram, cost = buckets[a], [], np.zeros(0, np.uint64), np.zeros(0, np.float32)
-            if blocks[a] < 0:
+                yield from out()
+                now, new, runs = int(buckets[a]), [], []
+            if rows[a]:
                 new.append((batch.column("gram").slice(a, b - a).to_numpy().view(np.uint64), batch.column("cost").slice(a, b - a).to_numpy()))
-                continue
-            if new:
-                gram, cost = (np.concatenate(x) for x in zip((gram, cost), *new, strict=True))
-                by = np.argsort(gram)
-                new, gram, cost = [], gram[by], cost[by]
-            for i in range(a, b):
-                run = unpack(batch.column("grams")[i].as_py(), np.uint64, True)
-                rows.append((int(blocks[a]), int(now), pack(cost[np.searchsorted(gram, run)])))
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary())],
-            names=["block", "bucket", "costs"],
-        )
-
-
-def cost_runs(blocks: DataFrame, costs: DataFrame, buckets: int) -> DataFrame:
-    """(block, bucket, costs): of each run's grams in ascending order."""
-    runs = blocks.filter("bucket >= 0").select("bucket", "block", "grams", F.lit(None).cast("long").alias("gram"), F.lit(None).cast("float").alias("cost"))
-    rows = costs.select(
-        _bucket(F.col("gram"), buckets).alias("bucket"), F.lit(None).cast("long").alias("block"), F.lit(None).cast("binary").alias("grams"), "gram", F.col("cost").cast("float").alias("cost")
+            else:
+                runs += zip(blocks[a:b].tolist(), *[batch.column(c).slice(a, b - a).to_pylist() for c in ("grams", "n")], strict=True)
+    yield from out()
+
+
+def cost_runs(blocks: DataFrame, escaped: DataFrame, buckets: int) -> DataFrame:
+    """(block, bucket, costs): of each run's grams in ascending order; escaped are the costs of grams without training text."""
+    none = lambda kind, name: F.lit(None).cast(kind).alias(name)
+    runs = blocks.filter("bucket >= 0").select("bucket", "block", "grams", "n", none("long", "gram"), none("float", "cost"))
+    rows = escaped.select(
+        _bucket(F.col("gram"), buckets).alias("bucket"), none("long", "block"), none("binary", "grams"), none("binary", "n"), "gram", F.col("cost").cast("float").alias("cost")
     )
     both = runs.unionByName(rows).repartition("bucket").sortWithinPartitions("bucket", F.col("block").asc_nulls_first())
     return both.mapInArrow(_cost_runs, "block long, bucket int, costs binary")
@@ -351,7 +377,7 @@ def frequent(counts: DataFrame, most: int, n: str = "n") -> DataFrame:
     return counts.filter(kind >= least)
 
 
-def score_texts(texts: pa.Array, costs: list[tuple[int, np.ndarray]], order: int, buckets: int, size: int = 1 << 20) -> np.ndarray:
+def score_texts(texts: pa.Array, costs: list[tuple[int, np.ndarray]], order: int, buckets: int, size: int = 1 << 19) -> np.ndarray:
     """log10 probability of each text of a block and its end; costs are those of the block's runs by bucket."""
     tally = Tally()
     for _, _, data, at in chunks(texts, size):
@@ -470,7 +496,8 @@ def score_documents(
     common = frequent(counts, max_words)
     word_costs = {bytes(r["word"]): cost(r["n"]) for r in common.collect()}  # at most max_words rows
     blocks, buckets = in_blocks(rows, order, block, bytes_a_bucket)
-    runs = cost_runs(blocks, gram_costs(count_grams(blocks), order), buckets)
+    grams = count_grams(blocks)
+    runs = cost_runs(blocks, escaped_costs(grams.filter("n = 0").select("gram"), level_tables(grams, order)), buckets)
     both = runs.select("block", "bucket", "costs", F.lit(None).cast("binary").alias("docs")).unionByName(
         blocks.filter("bucket < 0").select("block", "bucket", F.lit(None).cast("binary").alias("costs"), "docs")
     )
