@@ -40,7 +40,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from densereps.llm.hashtable import find_slot, hash_table
-from densereps.llm.textbytes import LOWER, buffers, chunks
+from densereps.llm.textbytes import LOWER, buffers, chunks, give_back
 from densereps.plans.lineage import stored
 
 ORDER, MAX_WORDS = 5, 1 << 17
@@ -191,8 +191,11 @@ def _cut_blocks(order: int, buckets: int, block: int, size: int = 1 << 19):
                 if filled >= block:
                     yield out()
                     tally, parts, filled, k = Tally(), [], 0, k + 1
+                    give_back()
         if parts:
             yield out()
+        tally, parts = Tally(), []
+        give_back()
 
     return run
 
@@ -230,6 +233,8 @@ def _sum_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 now, tally = bucket, Tally()
             tally.add(unpack(grams, np.uint64, True), unpack(n, np.int64))
     yield from out()
+    tally = Tally()
+    give_back()
 
 
 def count_grams(blocks: DataFrame) -> DataFrame:
@@ -348,6 +353,8 @@ def _cost_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             else:
                 runs += zip(blocks[a:b].tolist(), *[batch.column(c).slice(a, b - a).to_pylist() for c in ("grams", "n")], strict=True)
     yield from out()
+    new, runs = [], []
+    give_back()
 
 
 def cost_runs(blocks: DataFrame, escaped: DataFrame, buckets: int) -> DataFrame:
@@ -388,12 +395,14 @@ def score_texts(texts: pa.Array, costs: list[tuple[int, np.ndarray]], order: int
     grams, _ = tally.sums()
     by, _ = _by_bucket(grams, buckets)
     slots, rows = hash_table(grams[by])
-    cost = np.concatenate([np.zeros(0, np.float32), *[c for _, c in sorted(costs, key=lambda x: x[0])]])
+    del tally, grams, by
+    cost = np.concatenate([np.zeros(0, np.float32), *[c for _, c in sorted(costs, key=lambda x: x[0])], np.zeros(1, np.float32)])[rows]
+    del rows
     parts = []
     for _, _, data, at in chunks(texts, size):
         total = np.zeros(len(at) - 1)
         for keys, text in _text_keys(data, at, order, size):
-            total += np.bincount(text, weights=cost[rows[find_slot(slots, keys)]], minlength=len(total))
+            total += np.bincount(text, weights=cost[find_slot(slots, keys)], minlength=len(total))
         parts.append(total)
     return np.concatenate(parts) if parts else np.zeros(0)
 
@@ -439,6 +448,8 @@ def _word_counts(flush: int = 1 << 18):
                     seen.clear()
         if seen:
             yield out()
+            seen.clear()
+            give_back()
 
     return run
 
@@ -447,14 +458,10 @@ def _scorer(context, word_costs: dict[bytes, float], order: int, buckets: int):
     """A function of a block's rows: its texts, and the costs of its runs."""
     held = context.broadcast(word_costs)
 
-    def run(rows: pa.Table) -> pa.Table:
+    def words(texts: pa.Array) -> pa.Table:
         cost = held.value
-        runs = [(r["bucket"], unpack(r["costs"], np.float32)) for r in rows.select(["bucket", "costs"]).to_pylist() if r["bucket"] >= 0]
-        whole = next(x for x in rows.column("docs").to_pylist() if x is not None)
-        docs = pa.ipc.open_stream(whole).read_all()
-        column = docs.column("text").combine_chunks()
-        data, at = buffers(column)
-        n_tokens, n_known, base, words, times, rare_at = [], [], [], [], [], [0]
+        data, at = buffers(texts)
+        n_tokens, n_known, base, found, times, rare_at = [], [], [], [], [], [0]
         for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
             ws = data[a:b].tobytes().lower().split()
             known = [x for x in map(cost.get, ws) if x is not None]
@@ -463,17 +470,30 @@ def _scorer(context, word_costs: dict[bytes, float], order: int, buckets: int):
             base.append(math.fsum(known))
             if len(known) < len(ws):
                 rare = Counter([w for w in ws if w not in cost])
-                words += rare.keys()
+                found += rare.keys()
                 times += rare.values()
-            rare_at.append(len(words))
-        rare = pa.StructArray.from_arrays([pa.array(words, pa.binary()), pa.array(times, pa.int32())], names=["word", "m"])
-        block = rows.column("block")[0].as_py()
+            rare_at.append(len(found))
+        rare = pa.StructArray.from_arrays([pa.array(found, pa.binary()), pa.array(times, pa.int32())], names=["word", "m"])
+        return pa.table(
+            {
+                "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "base": pa.array(base, pa.float64()),
+                "rare": pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare),
+            }
+        )
+
+    def run(rows: pa.Table) -> pa.Table:
+        runs = [(r["bucket"], unpack(r["costs"], np.float32)) for r in rows.select(["bucket", "costs"]).to_pylist() if r["bucket"] >= 0]
+        docs = pa.ipc.open_stream(next(x for x in rows.column("docs") if x.is_valid).as_buffer()).read_all()
+        block, n = rows.column("block")[0].as_py(), len(docs)
+        del rows
+        text = docs.column("text").combine_chunks()
+        score = score_texts(text, runs, order, buckets)
+        told = pa.concat_tables([words(text.slice(a, b - a)) for a, b, _, _ in chunks(text)])
+        give_back()
         return pa.table(
             {
-                "block": pa.array([block] * len(docs), pa.int64()), "row": pa.array(np.arange(len(docs), dtype=np.int32)), "id": docs.column("id"),
-                "held_out": docs.column("held_out"), "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()),
-                "base": pa.array(base, pa.float64()), "rare": pa.ListArray.from_arrays(pa.array(rare_at, pa.int32()), rare),
-                "score": pa.array(score_texts(column, runs, order, buckets)),
+                "block": pa.array([block] * n, pa.int64()), "row": pa.array(np.arange(n, dtype=np.int32)), "id": docs.column("id"),
+                "held_out": docs.column("held_out"), **{c: told.column(c) for c in told.column_names}, "score": pa.array(score),
             }
         )
 
