@@ -97,7 +97,13 @@ BODIES = {
 }
 
 
+#: Tags of files: with this opening, the licence by its identifier. Those of GPL kinds may go on with "-only" or "-or-later".
+TAG = "SPDX-License-Identifier: {}"
+SUFFIXED = ("GPL-2.0", "GPL-3.0", "LGPL-3.0", "AGPL-3.0")
+
+
 def templates() -> list[tuple[str, str]]:
     """(licence, text) of every template."""
     short = [(k, opening.format(name)) for k, names in NAMES.items() for name in names for opening in OPENINGS]
+    short += [(k, TAG.format(k)) for k in NAMES] + [(k, TAG.format(f"{k}-{end}")) for k in SUFFIXED for end in ("only", "or-later")]
     return short + [(k, text) for k, texts in BODIES.items() for text in texts]

@@ -2,10 +2,12 @@
 
 A candidate block is a paragraph, up to the empty lines around it, that has a cue word. Each template is a raw
 zstandard dictionary; the text around a cue is compressed alone and with each, and templates rank by how much the
-dictionary takes off the size. The best few are then compared with the block word by word: the template that
-leaves the fewest words different wins, and it is confirmed when the block holds all but a small share of the
-template's words, in order, with every number and every name-like word of the template exact. A confirmed
-span may go over several blocks, as whole licences do; what is left before and after it is searched at each cue.
+dictionary takes off the size. Down that ranking, the templates are compared with the block word by word: the template
+that leaves the fewest words different wins, and it is confirmed when the block holds all but a small share of the
+template's words, in order, with every number and every name-like word of the template exact. The RANKED best are compared
+in any case, and below them each template that could still be confirmed: one is left out only where the block, in whatever
+order, lacks too many of its words or one that must be exact. A confirmed span may go over several blocks, as whole licences
+do; what is left before and after it is searched at each cue.
 
 Defined results: a null or empty text has no blocks; of equal templates the one named first wins; a block without a
 confirmed span gives its best template; a text's licences are listed once each, in the order of their first blocks. Texts are
@@ -16,6 +18,7 @@ from __future__ import annotations
 
 import re
 from bisect import bisect_left, bisect_right
+from collections import Counter
 from collections.abc import Iterator
 from difflib import SequenceMatcher
 
@@ -28,7 +31,7 @@ from densereps.llm.license_templates import templates
 
 #: Words that make a line a candidate. Fixed values.
 CUES = rb"licen[sc]e|copyright|permission is|permission to use|redistribut|free software|spdx|cc by|cc0|creative commons"
-#: Templates that the ranking passes on, and the share of a template's words that may differ.
+#: Templates that are compared in any case, and the share of a template's words that may differ.
 RANKED, MAX_DIFFERENT = 5, 0.15
 #: Words of a template that must be there exactly: numbers, and what tells the licences apart.
 EXACT = re.compile(r"^[0-9.]+$|^(mit|apache|bsd|isc|mozilla|gnu|lesser|affero|general|by|sa|nc|cc0|creative|attribution|sharealike|noncommercial|neither|endorse|promote)$")
@@ -69,7 +72,8 @@ def prepare(rows: list[tuple[str, str]], level: int = LEVEL) -> list[dict]:
     for name, text in rows:
         held = zstandard.ZstdCompressionDict(text.lower().encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
         packer = zstandard.ZstdCompressor(level=level, dict_data=held, write_content_size=False, write_checksum=False)
-        made.append({"license": name, "packer": packer, "words": tokens(text), "exact": {w for w in tokens(text) if EXACT.match(w)}})
+        words = tokens(text)
+        made.append({"license": name, "packer": packer, "words": words, "counts": Counter(words), "exact": {w for w in words if EXACT.match(w)}})
     return made
 
 
@@ -96,15 +100,23 @@ def wording(template: list[str], block: list[str]) -> tuple[list[str], list[str]
     return [w for i, w in enumerate(template) if i not in kept], [block[i] for i in range(first, last) if i not in used], (first, last)
 
 
+def may_confirm(template: dict, held: Counter[str]) -> bool:
+    """Whether a block with these words, in whatever order, may hold the template: no confirmed one fails this."""
+    lacking = (template["counts"] - held).total()
+    return lacking <= MAX_DIFFERENT * len(template["words"]) and all(w in held for w in template["exact"])
+
+
 def judge(block: str, prepared: list[dict], plain: zstandard.ZstdCompressor, near: str | None = None) -> dict | None:
     """The winning template of one block, ranked by the text near a cue, with what the wording says of it."""
     low = (block if near is None else near).lower().encode()
     words = tokens(block)
     alone = len(plain.compress(low))
     ranked = sorted(((alone - len(t["packer"].compress(low))) / alone, -i) for i, t in enumerate(prepared))[::-1]
-    best = None
-    for saved, i in ranked[:RANKED]:
+    held, best = Counter(words), None
+    for place, (saved, i) in enumerate(ranked):
         t = prepared[-i]
+        if place >= RANKED and not may_confirm(t, held):
+            continue
         missing, added, span = wording(t["words"], words)
         different = len(missing) + len(added)
         sure = different <= MAX_DIFFERENT * len(t["words"]) and not t["exact"] & set(missing) and not any(EXACT.match(w) for w in added)

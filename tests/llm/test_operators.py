@@ -522,6 +522,40 @@ def test_license_notices_over_lines_and_several_in_a_block(spark):
     assert got == {0: ["Apache-2.0"], 1: ["Apache-2.0"], 2: ["Apache-2.0"], 3: ["MIT", "CC-BY-4.0", "ISC"], 4: ["MIT"]}
 
 
+def test_license_tags(spark):
+    ids = ["MIT", "Apache-2.0", "BSD-2-Clause", "BSD-3-Clause", "ISC", "GPL-2.0-only", "GPL-3.0-or-later", "LGPL-3.0-only", "AGPL-3.0-or-later", "MPL-2.0", "CC-BY-SA-4.0", "CC0-1.0"]
+    rows = [(k, f"# SPDX-License-Identifier: {i}\nimport os\n") for k, i in enumerate(ids)]
+    got = {r.doc_id: r.licenses for r in licenses.scan_licenses(table(spark, rows), "mine").select("doc_id", "mine.licenses").collect()}
+    assert got == {k: [i.removesuffix("-only").removesuffix("-or-later")] for k, i in enumerate(ids)}
+
+
+def test_no_template_is_left_out_that_wording_confirms():
+    # every template against blocks made of it by chance changes, with all templates compared
+    import random
+    import zstandard
+
+    rng = random.Random(5)
+    prepared = licenses.prepare(licenses.templates())
+    plain = zstandard.ZstdCompressor(level=licenses.LEVEL, write_content_size=False, write_checksum=False)
+    filler = [f"w{i}" for i in range(50)]
+    for t in prepared:
+        for share in (0.0, 0.05, 0.12, 0.3):
+            words = [w for w in t["words"] if rng.random() >= share]
+            block = " ".join([*rng.sample(filler, 9), *words, *rng.sample(filler, 9)])
+            ranks = [(r, o["license"]) for o in prepared if (r := _rank_of(o, block)) is not None]
+            got = licenses.judge(block, prepared, plain)
+            assert got["confirmed"] == bool(ranks)
+            if ranks:
+                assert got["license"] in {name for r, name in ranks if r == min(ranks)[0]}
+
+
+def _rank_of(template, block):
+    missing, added, _ = licenses.wording(template["words"], licenses.tokens(block))
+    different = len(missing) + len(added)
+    sure = different <= licenses.MAX_DIFFERENT * len(template["words"]) and not template["exact"] & set(missing) and not any(licenses.EXACT.match(w) for w in added)
+    return different - len(template["words"]) if sure else None
+
+
 def test_whole_licenses_over_paragraphs(spark):
     from densereps.llm import license_templates as texts
 
@@ -565,7 +599,7 @@ def test_pipeline_against_brute_force(spark, sf_dir):
     bench = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     rows = [(r.doc_id, r.text) for r in toxicity.remove_toxic(docs, labels).collect()]
     rows = [(i, t) for i, _, _, t in brute_lines(rows)]
-    component = brute_components({i: brute_fingerprint(t) for i, t in rows})
+    component = brute_near_copies(rows)
     rows = [(i, t) for i, t in rows if component[i] == i]
     import re
 
