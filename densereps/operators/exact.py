@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from densereps.operators.components import connected_components
-from densereps.operators.neighbors import neighbor_counts, range_pairs
+from densereps.operators.neighbors import coordinates, neighbor_counts, range_pairs
 from densereps.plans.lineage import cut
 
 #: Links up to which components are found by union-find on the driver; beyond it by star contraction.
@@ -83,33 +83,50 @@ def attach_borders(pairs: DataFrame, states: DataFrame, clusters: DataFrame, rul
     return met.groupBy(F.col("src").alias("id")).agg(chosen.alias("cluster"))
 
 
+def core_clusters(pairs: DataFrame, states: DataFrame, method: str = "auto") -> DataFrame:
+    """(id, cluster) of cores: the least core id of the component."""
+    return density_components(core_links(pairs, states), method, states.filter("state = 'core'").select("id")).withColumnRenamed("component", "cluster")
+
+
+def with_borders(pairs: DataFrame, states: DataFrame, clusters: DataFrame, border_rule: str = "min_cluster") -> DataFrame:
+    """states with cluster from those of the cores; -1 for noise."""
+    named = clusters.unionByName(attach_borders(pairs, states, clusters, border_rule))
+    return states.join(named, "id", "left").withColumn("cluster", F.coalesce("cluster", F.lit(-1)))
+
+
 def label_states(pairs: DataFrame, states: DataFrame, border_rule: str = "min_cluster", weak_edges: str = "attach", method: str = "auto") -> DataFrame:
     """states with cluster: the least core id of the component, -1 for noise."""
+    if weak_edges == "attach":
+        return with_borders(pairs, states, core_clusters(pairs, states, method), border_rule)
     cores = states.filter("state = 'core'").select("id")
-    if weak_edges == "connect":
-        kept = edge_states(pairs, states).filter("state <> 'no'").select("src", "dst")
-        found = density_components(kept, method, cores)
-        least = found.join(cores, "id", "left_semi").groupBy("component").agg(F.min("id").alias("cluster"))
-        named = found.join(least, "component").select("id", "cluster")
-    else:
-        inner = density_components(core_links(pairs, states), method, cores).withColumnRenamed("component", "cluster")
-        named = inner.unionByName(attach_borders(pairs, states, inner, border_rule))
+    kept = edge_states(pairs, states).filter("state <> 'no'").select("src", "dst")
+    found = density_components(kept, method, cores)
+    least = found.join(cores, "id", "left_semi").groupBy("component").agg(F.min("id").alias("cluster"))
+    named = found.join(least, "component").select("id", "cluster")
     return states.join(named, "id", "left").withColumn("cluster", F.coalesce("cluster", F.lit(-1)))
 
 
 def exact_density(
     points: DataFrame, eps: float, min_pts: int, border_rule: str = "min_cluster", weak_edges: str = "attach", method: str = "auto",
-    pairs: DataFrame | None = None,
+    pairs: DataFrame | None = None, halo: bool = False,
 ) -> DataFrame:
     """(id, n_eps, state, cluster) of all points (id, x, y).
 
+    halo: by tiles whose pairs are never written, for whole large sets in the plane with the default rules.
+
     Points on the same place are folded first, so that copies cost one row, and unfolded at the end; pass pairs to
     cluster points of another kind.
     """
+    if halo:
+        from densereps.operators.halo import exact_density_tiles
+
+        if pairs is not None or border_rule != "min_cluster" or weak_edges != "attach":
+            raise ValueError("tiles cluster points by the default rules")
+        return exact_density_tiles(points, eps, min_pts)
     if pairs is not None:
         states = cut(classify(pairs, min_pts))
         return label_states(pairs, states, border_rule, weak_edges, method)
-    if border_rule == "min_cluster" and weak_edges == "attach":
+    if border_rule == "min_cluster" and weak_edges == "attach" and coordinates(points) == ["x", "y"]:
         places = points.groupBy("x", "y").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("copies"))
         places = cut(places)
         near = cut(range_pairs(places, eps))
@@ -122,6 +139,19 @@ def exact_density(
     return label_states(near, cut(classify(near, min_pts)), border_rule, weak_edges, method)
 
 
+def visit_transitions(labels: DataFrame) -> DataFrame:
+    """(step, n): the states that points pass when they are visited in the order of their ids, from (id, state, cluster).
+
+    A cluster is expanded when its least core is visited, which gives it its id; a border visited before is noise till then.
+    """
+    early = F.col("id") < F.col("cluster")
+    steps = (
+        F.when(F.col("state") == "core", F.array(F.lit("unknown>core"))).when(F.col("state") == "noise", F.array(F.lit("unknown>noise")))
+        .when(early, F.array(F.lit("unknown>noise"), F.lit("noise>border"))).otherwise(F.array(F.lit("unknown>border")))
+    )
+    return labels.select(F.explode(steps).alias("step")).groupBy("step").agg(F.count(F.lit(1)).alias("n"))
+
+
 def density_graph(points: DataFrame, eps: float, min_pts: int) -> tuple[DataFrame, DataFrame]:
     """Vertices (id, n_eps, state) and edges (src, dst, state) of all points."""
     near = cut(range_pairs(points, eps))

@@ -9,14 +9,18 @@ from __future__ import annotations
 import hashlib
 import math
 import time
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 
+from densereps.operators.stability import StopPolicy
 from densereps.operators.testsize import test_size
 from densereps.params import SsdcParams
 
 BLOCK = 1 << 22
+#: Ordered near pairs that the arrays may hold (two 32-bit numbers each); a denser sample is grown on DataFrames.
+MAX_PAIRS = 1 << 26
 
 
 def permutation(ids: np.ndarray, seed: int) -> np.ndarray:
@@ -25,21 +29,46 @@ def permutation(ids: np.ndarray, seed: int) -> np.ndarray:
     return np.array(sorted(range(len(keys)), key=keys.__getitem__), np.int64)
 
 
+def squares(a: np.ndarray, b: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Squared distances of rows i of a from rows j of b."""
+    out = np.empty(len(i))
+    step = max(1, BLOCK // a.shape[1])
+    for k in range(0, len(i), step):
+        out[k : k + step] = ((a[i[k : k + step]] - b[j[k : k + step]]) ** 2).sum(axis=1)
+    return out
+
+
+def all_near(a: np.ndarray, b: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
+    """near_pairs() in any dimension, by blocks of all pairs."""
+    out_i, out_j = [], []
+    step = max(1, BLOCK // len(b))
+    norm = (b * b).sum(axis=1)
+    for s in range(0, len(a), step):
+        part = a[s : s + step]
+        size = (part * part).sum(axis=1)
+        slack = 1e-9 * (size.max() + norm.max())  # products round; what they leave open is measured by differences
+        i, j = np.nonzero(size[:, None] + norm[None, :] - 2 * part @ b.T <= eps * eps + slack)
+        ok = squares(part, b, i, j) <= eps * eps
+        out_i.append(i[ok] + s)
+        out_j.append(j[ok])
+    return np.concatenate(out_i), np.concatenate(out_j)
+
+
 def near_pairs(a: np.ndarray, b: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
     """Rows (i of a, j of b) at most eps apart: by grid cells in up to 3 dimensions, else in blocks."""
     none = np.zeros(0, np.int64)
     if not len(a) or not len(b):
         return none, none
     if a.shape[1] > 3:
-        out_i, out_j = [], []
-        step = max(1, BLOCK // len(b))
-        norm = (b * b).sum(axis=1)
-        for s in range(0, len(a), step):
-            part = a[s : s + step]
-            i, j = np.nonzero((part * part).sum(axis=1)[:, None] + norm[None, :] - 2 * part @ b.T <= eps * eps)
-            out_i.append(i + s)
-            out_j.append(j)
-        return np.concatenate(out_i), np.concatenate(out_j)
+        return all_near(a, b, eps)
+    parts = list(near_chunks(a, b, eps))
+    return np.concatenate([none, *[i for i, _ in parts]]), np.concatenate([none, *[j for _, j in parts]])
+
+
+def near_chunks(a: np.ndarray, b: np.ndarray, eps: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """near_pairs() in up to 3 dimensions, in pieces of bounded size."""
+    if not len(a) or not len(b):
+        return
     low = np.minimum(a.min(axis=0), b.min(axis=0))
     ca, cb = np.floor((a - low) / eps).astype(np.int64), np.floor((b - low) / eps).astype(np.int64)
     span = np.maximum(ca.max(axis=0), cb.max(axis=0)) + 3
@@ -47,7 +76,6 @@ def near_pairs(a: np.ndarray, b: np.ndarray, eps: float) -> tuple[np.ndarray, np
     key_b = (cb + 1) @ weight
     order = np.argsort(key_b, kind="stable")
     sorted_b = key_b[order]
-    out_i, out_j = [], []
     for shift in np.ndindex(*([3] * a.shape[1])):
         key = (ca + np.array(shift)) @ weight
         first, last = np.searchsorted(sorted_b, key, "left"), np.searchsorted(sorted_b, key, "right")
@@ -60,26 +88,26 @@ def near_pairs(a: np.ndarray, b: np.ndarray, eps: float) -> tuple[np.ndarray, np
             i = np.repeat(np.arange(at, min(stop, len(a))), k)
             j = order[np.repeat(first[at:stop], k) + np.arange(int(k.sum())) - np.repeat(np.cumsum(k) - k, k)]
             ok = ((a[i] - b[j]) ** 2).sum(axis=1) <= eps * eps
-            out_i.append(i[ok])
-            out_j.append(j[ok])
+            if ok.any():
+                yield i[ok], j[ok]
             at = stop
-    return np.concatenate(out_i), np.concatenate(out_j)
 
 
 def components(label: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
-    """Least label of each row's component under the links u-v. Labels are row numbers to begin with."""
+    """Least label of each row's component under the links u-v. A label is the number of its component's least row."""
     label = label.copy()
     while True:
-        low = np.minimum(label[u], label[v])
-        new = label.copy()
-        np.minimum.at(new, u, low)
-        np.minimum.at(new, v, low)
-        np.minimum.at(new, label[u], low)
-        np.minimum.at(new, label[v], low)
-        new = new[new]
-        if (new == label).all():
+        a, b = label[u], label[v]
+        apart = a != b
+        if not apart.any():
             return label
-        label = new
+        u, v, a, b = u[apart], v[apart], a[apart], b[apart]
+        np.minimum.at(label, np.maximum(a, b), np.minimum(a, b))
+        while True:
+            up = label[label]
+            if (up == label).all():
+                break
+            label = up
 
 
 def canonical(ids: np.ndarray, label: np.ndarray, core: np.ndarray) -> np.ndarray:
@@ -95,33 +123,124 @@ def canonical(ids: np.ndarray, label: np.ndarray, core: np.ndarray) -> np.ndarra
     return out
 
 
+def _attached(ids: np.ndarray, xs: np.ndarray, core: np.ndarray, cluster: np.ndarray, i: np.ndarray, j: np.ndarray, rule: str) -> np.ndarray:
+    """cluster, known of cores, with that of borders by the rule."""
+    cluster = np.where(core, cluster, -1)
+    edge = ~core[i] & core[j]
+    bi, bj = i[edge], j[edge]
+    if rule == "nearest_core":
+        key = [ids[bj], ((xs[bi] - xs[bj]) ** 2).sum(axis=1), bi]
+    elif rule == "lowest_core_id":
+        key = [ids[bj], bi]
+    else:
+        key = [cluster[bj], bi]
+    by = np.lexsort(key)
+    one, first = np.unique(bi[by], return_index=True)
+    cluster[one] = cluster[bj[by][first]]
+    return cluster
+
+
+def _weakly(ids: np.ndarray, core: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Clusters over links with one core at least."""
+    both, weak = core[i] & core[j], core[i] | core[j]
+    label = components(components(np.arange(len(ids)), i[both], j[both]), i[weak], j[weak])
+    label[~core & (np.bincount(i, weights=core[j], minlength=len(ids)) == 0)] = -1
+    return canonical(ids, label, core)
+
+
+def _named(core: np.ndarray, cluster: np.ndarray) -> np.ndarray:
+    return np.where(core, "core", np.where(cluster >= 0, "border", "noise"))
+
+
 def states(ids: np.ndarray, xs: np.ndarray, i: np.ndarray, j: np.ndarray, threshold: int, p: SsdcParams) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(neighbour counts, state, cluster) of a sample; i, j are all its near pairs, both ways and with itself."""
     n = np.bincount(i, minlength=len(ids))
     core = n >= threshold
-    both = core[i] & core[j]
-    label = components(np.arange(len(ids)), i[both], j[both])
     if p.weak_edges == "connect":
-        weak = core[i] | core[j]
-        label = components(label, i[weak], j[weak])
-        label[~core & (np.bincount(i, weights=core[j], minlength=len(ids)) == 0)] = -1
-        cluster = canonical(ids, label, core)
+        cluster = _weakly(ids, core, i, j)
     else:
-        label[~core] = -1
-        cluster = canonical(ids, label, core)
-        edge = ~core[i] & core[j]
-        bi, bj = i[edge], j[edge]
-        if p.border_rule == "nearest_core":
-            key = [ids[bj], ((xs[bi] - xs[bj]) ** 2).sum(axis=1), bi]
-        elif p.border_rule == "lowest_core_id":
-            key = [ids[bj], bi]
+        both = core[i] & core[j]
+        label = components(np.arange(len(ids)), i[both], j[both])
+        cluster = _attached(ids, xs, core, canonical(ids, np.where(core, label, -1), core), i, j, p.border_rule)
+    return n, _named(core, cluster), cluster
+
+
+class Sample:
+    """A growing sample's graph: near pairs are appended, counts added to, components of cores merged.
+
+    Counts only grow, so while the threshold stays cores stay, and only links of new cores can join components; a
+    raised threshold builds them anew.
+    """
+
+    def __init__(self, p: SsdcParams):
+        self.p, self.eta, self.size = p, 0, 0
+        self.ids, self.xs = np.zeros(0, np.int64), None
+        self.i = self.j = np.zeros(0, np.int32)
+        self.n = self.label = self.cluster = np.zeros(0, np.int64)
+        self.core = np.zeros(0, bool)
+        self.state = np.zeros(0, "U6")
+
+    def pairs(self) -> tuple[np.ndarray, np.ndarray]:
+        return self.i[: self.size], self.j[: self.size]
+
+    def _append(self, i: np.ndarray, j: np.ndarray) -> None:
+        need = self.size + len(i)
+        if need > MAX_PAIRS:
+            raise OverflowError("the sample's near pairs outgrow the arrays")
+        if need > len(self.i):
+            spare = np.empty(min(MAX_PAIRS, max(need, 2 * len(self.i))) - self.size, np.int32)
+            self.i, self.j = np.concatenate([self.i[: self.size], spare]), np.concatenate([self.j[: self.size], spare])
+        self.i[self.size : need], self.j[self.size : need] = i, j
+        self.size = need
+
+    def add(self, ids: np.ndarray, xs: np.ndarray) -> None:
+        """Points that join the sample; settle() must follow."""
+        m, k = len(self.ids), len(ids)
+        c, d = near_pairs(xs, xs, self.p.eps)
+        gained = [(c + m, d + m)]
+        if m:
+            a, b = near_pairs(xs, self.xs, self.p.eps)
+            gained += [(a + m, b), (b, a + m)]
+        self.ids, self.xs = np.concatenate([self.ids, ids]), xs if self.xs is None else np.concatenate([self.xs, xs])
+        self.n = np.concatenate([self.n, np.zeros(k, np.int64)])
+        self.label = np.concatenate([self.label, np.arange(m, m + k)])
+        self.core = np.concatenate([self.core, np.zeros(k, bool)])
+        self.cluster = np.concatenate([self.cluster, np.full(k, -1)])
+        for i, j in gained:
+            self._append(i, j)
+            self.n += np.bincount(i, minlength=m + k)
+
+    def settle(self, eta: int) -> None:
+        """States and clusters at this threshold."""
+        p, (i, j) = self.p, self.pairs()
+        core = self.n >= eta
+        fresh = core & ~self.core
+        if (self.core & ~core).any():
+            self.label = np.arange(len(core))
+            touched = core[i] & core[j]
         else:
-            key = [cluster[bj], bi]
-        by = np.lexsort(key)
-        one, first = np.unique(bi[by], return_index=True)
-        cluster[one] = cluster[bj[by][first]]
-    state = np.where(core, "core", np.where(cluster >= 0, "border", "noise"))
-    return n, state, cluster
+            touched = fresh[i] & core[j]
+        before, inserted = self.cluster, eta == self.eta
+        self.core, self.eta = core, eta
+        if p.weak_edges == "connect":
+            self.cluster = _weakly(self.ids, core, i, j)
+        else:
+            self.label = components(self.label, i[touched], j[touched])
+            cluster = canonical(self.ids, np.where(core, self.label, -1), core)
+            if p.keeps_merges:
+                cluster = _only_merges(before, cluster, core)
+            self.cluster = _attached(self.ids, self.xs, core, cluster, i, j, p.border_rule)
+            if p.merge_on == "any" and inserted:
+                met = fresh[i] & ~core[j] & (self.cluster[j] >= 0)
+                self.cluster = _joined(self.cluster, self.cluster[i[met]], self.cluster[j[met]])
+        self.state = _named(core, self.cluster)
+
+
+def _joined(cluster: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """cluster with the clusters a and b, pair by pair, made one; the least id stays."""
+    kinds, place = np.unique(cluster, return_inverse=True)
+    label = components(np.arange(len(kinds)), np.searchsorted(kinds, a), np.searchsorted(kinds, b))
+    return kinds[label][place]
 
 
 def next_eta(ids: np.ndarray, n: np.ndarray, eta: int, p: SsdcParams) -> int:
@@ -150,24 +269,45 @@ def select_representatives(cluster: np.ndarray, state: np.ndarray, n: np.ndarray
     return core[keep]
 
 
-def nearest(xs: np.ndarray, reps: np.ndarray, rep_ids: np.ndarray, cluster: np.ndarray, max_distance: float | None = None) -> np.ndarray:
-    """Cluster of the nearest representative; ties go to the smaller id; -1 without any or beyond max_distance."""
+def nearest(
+    xs: np.ndarray, reps: np.ndarray, rep_ids: np.ndarray, cluster: np.ndarray, max_distance: float | None = None, reach: float | None = None
+) -> np.ndarray:
+    """Cluster of the nearest representative; ties go to the smaller id; -1 without any or beyond max_distance.
+
+    reach: a distance at which most points have a representative; cells of that side find it in up to 3 dimensions, and
+    only the points without any meet all.
+    """
     if not len(reps):
         return np.full(len(xs), -1, np.int64)
     order = np.argsort(rep_ids, kind="stable")
     reps, cluster = reps[order].astype(np.float64), cluster[order]
-    out = np.empty(len(xs), np.int64)
+    out, far = np.full(len(xs), -1, np.int64), np.arange(len(xs))
+    if reach and reps.shape[1] <= 3 and len(reps) > 64:
+        step = 1 << 16
+        for s in range(0, len(xs), step):
+            part = xs[s : s + step].astype(np.float64)
+            i, j = near_pairs(part, reps, reach)
+            by = np.lexsort((j, squares(part, reps, i, j), i))
+            one, first = np.unique(i[by], return_index=True)
+            out[s + one], far[s + one] = j[by][first], -1
+        far = far[far >= 0]
     step = max(1, BLOCK // len(reps))
-    for s in range(0, len(xs), step):
-        part = xs[s : s + step].astype(np.float64)
-        d2 = sum((part[:, k, None] - reps[None, :, k]) ** 2 for k in range(part.shape[1])) if part.shape[1] <= 3 else (
-            (part * part).sum(axis=1)[:, None] + (reps * reps).sum(axis=1)[None, :] - 2 * part @ reps.T
-        )
-        best = d2.argmin(axis=1)
-        out[s : s + step] = cluster[best]
-        if max_distance is not None:
-            out[s : s + step][d2[np.arange(len(part)), best] > max_distance**2] = -1
-    return out
+    for s in range(0, len(far), step):
+        part = xs[far[s : s + step]].astype(np.float64)
+        if part.shape[1] <= 3:
+            best = sum((part[:, k, None] - reps[None, :, k]) ** 2 for k in range(part.shape[1])).argmin(axis=1)
+        else:
+            size, norm = (part * part).sum(axis=1), (reps * reps).sum(axis=1)
+            d2 = size[:, None] + norm[None, :] - 2 * part @ reps.T
+            slack = 2e-9 * (size.max() + norm.max())  # products round; what they leave open is measured by differences
+            i, j = np.nonzero(d2 <= d2.min(axis=1)[:, None] + slack)
+            by = np.lexsort((j, squares(part, reps, i, j), i))
+            best = j[by][np.unique(i[by], return_index=True)[1]]
+        out[far[s : s + step]] = best
+    if max_distance is None:
+        return cluster[out]
+    d2 = squares(xs.astype(np.float64), reps, np.arange(len(xs)), out)
+    return np.where(d2 <= max_distance**2, cluster[out], -1)
 
 
 def disagreement(a: np.ndarray, b: np.ndarray) -> float:
@@ -203,59 +343,57 @@ def run(draw, n_total: int, p: SsdcParams, keep_history: bool = False) -> Fit:
     p.validate()
     began = time.time()
     gamma = min(p.gamma, n_total)
-    ids, xs = draw(0, gamma)
-    used = gamma
-    i, j = near_pairs(xs, xs, p.eps)
-    queries, n_pairs = gamma, len(i)
-    eta = next_eta(ids, np.bincount(i, minlength=len(ids)), 1, p)
-    n, state, cluster = states(ids, xs, i, j, eta, p)
-    history = [(ids, state, cluster)] if keep_history else []
+    sample = Sample(p)
+    sample.add(*draw(0, gamma))
+    used = queries = gamma
+    eta = next_eta(sample.ids, sample.n, 1, p)
+    sample.settle(eta)
+    history = [(sample.ids, sample.state, sample.cluster)] if keep_history else []
 
     def reps() -> np.ndarray:
-        return select_representatives(cluster, state, n, p.tau, p.selector)
+        return select_representatives(sample.cluster, sample.state, sample.n, p.tau, p.selector)
 
     def label(points: np.ndarray) -> np.ndarray:
         r = reps()
-        return nearest(points, xs[r], ids[r], cluster[r], p.max_distance)
+        return nearest(points, sample.xs[r], sample.ids[r], sample.cluster[r], p.max_distance, p.eps)
 
     def size(k: int) -> int:
         return test_size(n_total, max(1, k), rectify_n=p.rectify_n, rectify_k=p.rectify_k)
 
-    k = len(np.unique(cluster[cluster >= 0]))
+    def clusters() -> int:
+        return len(np.unique(sample.cluster[sample.cluster >= 0]))
+
+    k = clusters()
     t_ids, t_xs = draw(used, min(n_total, used + size(k)))
     used += len(t_ids)
     before = label(t_xs)
     trace: list[dict] = []
 
     def log(iteration: int, delta: float | None) -> None:
-        counts = {s: int((state == s).sum()) for s in ("core", "border", "noise")}
+        counts = {s: int((sample.state == s).sum()) for s in ("core", "border", "noise")}
         trace.append(
-            {"iteration": iteration, "eta": eta, "n_sample": len(ids), "n_test": len(t_ids), "k": k, "n_reps": len(reps()), "delta": delta,
+            {"iteration": iteration, "eta": eta, "n_sample": len(sample.ids), "n_test": len(t_ids), "k": k, "n_reps": len(reps()), "delta": delta,
              "n_core": counts["core"], "n_border": counts["border"], "n_noise": counts["noise"], "n_range_queries": queries,
-             "n_pairs": n_pairs, "seconds": time.time() - began}
+             "n_pairs": sample.size, "seconds": time.time() - began}
         )
 
     log(0, None)
-    iteration, delta, reason = 0, 1.0, "exhausted"
+    iteration, reason = 0, "exhausted"
+    policy = StopPolicy(p.min_pts, force_full_minpts=p.force_full_minpts, max_iterations=p.max_iterations)
     while used < n_total and iteration < p.max_iterations:
         iteration += 1
         new_ids, new_xs = draw(used, min(n_total, used + p.beta))
         used += len(new_ids)
         if eta < p.min_pts:
-            eta = next_eta(ids, n, eta, p)
-        m = len(ids)
-        a, b = near_pairs(new_xs, xs, p.eps)
-        c, d = near_pairs(new_xs, new_xs, p.eps)
-        i, j = np.concatenate([i, a + m, b, c + m]), np.concatenate([j, b, a + m, d + m])
-        old = (state, cluster)
-        ids, xs = np.concatenate([ids, new_ids]), np.concatenate([xs, new_xs])
-        queries, n_pairs = queries + len(new_ids), len(i)
-        n, state, cluster = states(ids, xs, i, j, eta, p)
-        if p.relabel == "lazy":
-            cluster = _only_merges(ids, old[1], cluster, state)
+            eta = next_eta(sample.ids, sample.n, eta, p)
+            if p.keeps_merges and eta != sample.eta:
+                sample.settle(eta)
+        sample.add(new_ids, new_xs)
+        queries += len(new_ids)
+        sample.settle(eta)
         if keep_history:
-            history.append((ids, state, cluster))
-        k = len(np.unique(cluster[cluster >= 0]))
+            history.append((sample.ids, sample.state, sample.cluster))
+        k = clusters()
         after = label(t_xs)
         delta = disagreement(before, after)
         more = size(k) - len(t_ids)
@@ -266,31 +404,27 @@ def run(draw, n_total: int, p: SsdcParams, keep_history: bool = False) -> Fit:
             after = np.concatenate([after, label(grown_xs)])
         before = after
         log(iteration, delta)
-        if delta == 0 and k >= p.min_clusters:
-            if eta >= p.min_pts or not p.force_full_minpts:
-                reason = "stable" if k else "all_noise"
-                break
-            eta = p.min_pts
-            n, state, cluster = states(ids, xs, i, j, eta, p)
+        why, raised = policy.after(iteration, delta if k >= p.min_clusters else 1.0, eta, n_total - used)
+        if raised != eta:
+            eta = raised
+            sample.settle(eta)
+        if why:
+            reason = "all_noise" if why == "stable" and not k else why
+            break
     else:
         reason = "max_iterations" if used < n_total else "exhausted"
     if p.finalize_eta and eta < p.min_pts:
         eta = p.min_pts
-        n, state, cluster = states(ids, xs, i, j, eta, p)
-    return Fit(ids, xs, n, state, cluster, reps(), t_ids, eta, reason, trace, history)
-
-
-def _only_merges(ids: np.ndarray, old: np.ndarray, new: np.ndarray, state: np.ndarray) -> np.ndarray:
-    """Clusters of new, coarsened so that no old cluster's surviving cores part."""
-    m = len(old)
-    live = np.flatnonzero((old >= 0) & (new[:m] >= 0) & (state[:m] == "core"))
-    kinds, place = np.unique(new, return_inverse=True)
-    label = np.arange(len(kinds))
-    if len(live):
-        by = live[np.argsort(old[live], kind="stable")]
-        same = old[by][1:] == old[by][:-1]
-        label = components(label, place[by[:-1][same]], place[by[1:][same]])
-    return kinds[label][place]
+        sample.settle(eta)
+    return Fit(sample.ids, sample.xs, sample.n, sample.state, sample.cluster, reps(), t_ids, eta, reason, trace, history)
+
+
+def _only_merges(old: np.ndarray, new: np.ndarray, core: np.ndarray) -> np.ndarray:
+    """Clusters of cores, coarsened so that no old cluster's surviving cores part."""
+    live = np.flatnonzero((old >= 0) & core)
+    by = live[np.argsort(old[live], kind="stable")]
+    same = old[by][1:] == old[by][:-1]
+    return _joined(new, new[by[:-1][same]], new[by[1:][same]])
 
 
 def exact(ids: np.ndarray, xs: np.ndarray, p: SsdcParams) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterable
-
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -14,11 +12,14 @@ from densereps.params import SsdcParams
 
 
 def nmi(df: DataFrame, a: str, b: str, average: str = "geometric", exclude_noise: bool = False) -> DataFrame:
-    """One row (n, nmi): normalised mutual information of two label columns; noise (-1) is one class, or left out."""
+    """One row (n, nmi): normalised mutual information of two label columns; noise (-1) is one class, or left out.
+
+    Rows with a null label count for neither n nor nmi; without any row, or any label, nmi is null.
+    """
     rows = df.select(F.col(a).cast("string").alias("a"), F.col(b).cast("string").alias("b"))
     if exclude_noise:
         rows = rows.filter("a <> '-1' AND b <> '-1'")
-    counts = contingency(rows.na.fill("null"), "a", "b").groupBy("level").agg(
+    counts = contingency(rows.na.drop(), "a", "b").groupBy("level").agg(
         F.sum("n").alias("n"), F.sum(F.col("n") * F.log("n")).alias("s")
     )
     of = lambda level: F.max(F.when(F.col("level") == level, F.col("s")))
@@ -31,7 +32,7 @@ def nmi(df: DataFrame, a: str, b: str, average: str = "geometric", exclude_noise
     value = F.when(scale > 1e-12, (h("sa") + h("sb") - h("sab")) / scale).otherwise(
         F.when((h("sa") < 1e-12) & (h("sb") < 1e-12), 1.0).otherwise(0.0)
     )
-    return row.select("n", F.round(value, 6).alias("nmi"))
+    return row.select(F.coalesce("n", F.lit(0)).alias("n"), F.when(n > 0, F.round(value, 6)).alias("nmi"))
 
 
 def pair_metrics(df: DataFrame, a: str, b: str) -> DataFrame:
@@ -70,15 +71,6 @@ def mean_and_deviation(runs: DataFrame, by: list[str], columns: list[str]) -> Da
     )
 
 
-def repeat_runs(run: Callable[[int], DataFrame], seeds: Iterable[int]) -> DataFrame:
-    """The rows of each seed's run under one another."""
-    out = None
-    for seed in seeds:
-        rows = run(seed).withColumn("seed", F.lit(seed))
-        out = rows if out is None else out.unionByName(rows)
-    return out
-
-
 def predicted_cost(trace: DataFrame, p: SsdcParams) -> DataFrame:
     """(iteration, predicted): operations of each round, as sample, increment and test sizes give them."""
     first = F.lit(float(p.gamma) ** 2)

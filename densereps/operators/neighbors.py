@@ -2,23 +2,35 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from densereps.functions.expr import cell, l2_squared, squared_2d
-from densereps.plans.broadcasts import fits
+from densereps.operators import kernel
 from densereps.plans.lineage import cut
 
 
-def choose_strategy(d: int) -> str:
-    """grid while a cell has few neighbours; pivots beyond."""
-    return "grid" if d <= 3 else "pivot"
+STRATEGIES = ("auto", "grid", "brute", "pivot", "lsh")
+#: Vectors that meet one another in one block.
+BLOCK_ROWS = 1 << 13
+
+
+def coordinates(points: DataFrame) -> list[str]:
+    """The columns that hold a point's place."""
+    return ["vec"] if "vec" in points.columns else ["x", "y"]
+
+
+def choose_strategy(points: DataFrame) -> str:
+    """grid for points in the plane; pivots for vectors."""
+    return "pivot" if coordinates(points) == ["vec"] else "grid"
 
 
 def _around(df: DataFrame, eps: float) -> DataFrame:
@@ -31,19 +43,29 @@ def _around(df: DataFrame, eps: float) -> DataFrame:
     )
 
 
-def range_probe(probe: DataFrame, reference: DataFrame, eps: float, strategy: str = "grid") -> DataFrame:
+def range_probe(probe: DataFrame, reference: DataFrame, eps: float, strategy: str = "auto") -> DataFrame:
     """(src, dst, d2): probe points with the reference points at most eps away.
 
-    grid: an equi-join on cells of side eps, which AQE may split where a cell is hot. brute: each pair, for small
-    probes in a broadcast. Points are (id, x, y).
+    Points are (id, x, y) or (id, vec). grid: an equi-join on cells of side eps, which AQE may split where a cell is hot.
+    brute: each pair, the probe broadcast in pieces, for tests. pivot: blocks of vectors by their distance to a pivot. lsh:
+    approximate, for vectors; opt-in. auto: grid in the plane, pivot for vectors.
     """
+    if strategy not in STRATEGIES:
+        raise ValueError(f"strategy is one of {STRATEGIES}")
+    strategy = choose_strategy(probe) if strategy == "auto" else strategy
+    if (coordinates(probe) == ["vec"]) != (strategy in ("pivot", "lsh")):
+        raise ValueError(f"{strategy} is not for points by {coordinates(probe)}")
+    if strategy == "pivot":
+        return pivot_probe(probe, reference, eps)
+    if strategy == "lsh":
+        return lsh_pairs(reference, eps).join(probe.select(F.col("id").alias("src")), "src", "left_semi").select("src", "dst", "d2")
     a = probe.select(F.col("id").alias("src"), F.col("x").alias("ax"), F.col("y").alias("ay"))
     b = reference.select(F.col("id").alias("dst"), F.col("x").alias("bx"), F.col("y").alias("by"))
     d2 = squared_2d(F.col("ax"), F.col("ay"), F.col("bx"), F.col("by"))
     if strategy == "brute":
-        if not fits(a, 10_000):
-            raise ValueError("brute is for probes of at most 10000 points")
-        met = b.join(F.broadcast(a), d2 <= F.lit(eps * eps))
+        pieces = max(1, -(-a.count() // 10_000))  # each small enough to be broadcast
+        part = lambda k: a.filter(F.pmod(F.xxhash64("src"), F.lit(pieces)) == k) if pieces > 1 else a
+        met = reduce(DataFrame.unionByName, [b.join(F.broadcast(part(k)), d2 <= F.lit(eps * eps)) for k in range(pieces)])
     else:
         near = _around(a.withColumnRenamed("ax", "x").withColumnRenamed("ay", "y"), eps)
         near = near.withColumnRenamed("x", "ax").withColumnRenamed("y", "ay")
@@ -52,7 +74,7 @@ def range_probe(probe: DataFrame, reference: DataFrame, eps: float, strategy: st
     return met.select("src", "dst", d2.alias("d2"))
 
 
-def range_pairs(points: DataFrame, eps: float, strategy: str = "grid", include_self: bool = True) -> DataFrame:
+def range_pairs(points: DataFrame, eps: float, strategy: str = "auto", include_self: bool = True) -> DataFrame:
     """All ordered pairs of points at most eps apart."""
     pairs = range_probe(points, points, eps, strategy)
     return pairs if include_self else pairs.filter("src <> dst")
@@ -62,24 +84,45 @@ def neighbor_counts(pairs: DataFrame) -> DataFrame:
     return pairs.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("n_eps"))
 
 
-def pivot_pairs(points: DataFrame, eps: float, n_pivots: int = 8) -> DataFrame:
-    """(src, dst, d2) for points (id, vec) of any dimension.
+def pivot_probe(probe: DataFrame, reference: DataFrame, eps: float, rows: int = BLOCK_ROWS) -> DataFrame:
+    """(src, dst, d2) for points (id, vec) of any dimension, exact.
 
-    Distances to a few pivots are tabulated once; a pair is met only where its distances to the first pivot lie in
-    the same or a neighbouring band of width eps, and discarded where those to any other differ by more than eps.
+    The distance to a pivot parts the reference into blocks of about that many rows. A probe point meets only the blocks
+    whose distances come within eps of its own, as the triangle inequality allows, in pieces of about as many rows;
+    a block and a piece meet as matrices.
     """
-    spark = points.sparkSession
-    pivots = [r["vec"] for r in points.orderBy(F.md5(F.col("id").cast("string").cast("binary"))).limit(n_pivots).collect()]
-    if not pivots:
+    spark = probe.sparkSession
+    pivot = [r["vec"] for r in reference.orderBy(F.md5(F.col("id").cast("string").cast("binary"))).limit(1).collect()]
+    if not pivot:
         return spark.createDataFrame([], "src long, dst long, d2 double")
-    far = points.select(
-        "id", "vec", F.array(*[F.sqrt(l2_squared(F.col("vec"), F.array(*[F.lit(float(v)) for v in p]))) for p in pivots]).alias("far")
-    ).withColumn("band", F.floor(F.col("far")[0] / eps).cast("long"))
-    a = far.withColumn("band", F.explode(F.array(*[F.col("band") + i for i in (-1, 0, 1)]))).select("band", *[F.col(c).alias(f"a_{c}") for c in ("id", "vec", "far")])
-    b = far.select("band", *[F.col(c).alias(f"b_{c}") for c in ("id", "vec", "far")])
-    apart = F.aggregate(F.zip_with("a_far", "b_far", lambda x, y: F.abs(x - y)), F.lit(0.0), lambda s, x: F.greatest(s, x))
-    met = a.join(b, "band").filter(apart <= F.lit(eps * (1 + 1e-9))).withColumn("d2", l2_squared("a_vec", "b_vec"))
-    return met.filter(F.col("d2") <= F.lit(eps * eps)).select(F.col("a_id").alias("src"), F.col("b_id").alias("dst"), "d2")
+    n, m = reference.count(), max(1, -(-probe.count() // rows))
+    far = F.sqrt(l2_squared(F.col("vec"), F.array(*[F.lit(float(v)) for v in pivot[0]])))
+    b = cut(reference.select("id", "vec", far.alias("far")))
+    k = max(1, -(-n // rows))
+    cuts = sorted(set(b.agg(F.percentile_approx("far", [i / k for i in range(1, k)], 10_000)).first()[0])) if k > 1 else []
+    low, high = [-math.inf, *cuts], [*cuts, math.inf]
+    b = b.withColumn("block", F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c <= F.col("far"))) if cuts else F.lit(0))
+    bounds = F.array(*[F.struct(F.lit(i).alias("block"), F.lit(x).alias("low"), F.lit(y).alias("high")) for i, (x, y) in enumerate(zip(low, high, strict=True))])
+    slack = eps * (1 + 1e-9)
+    near = F.filter(bounds, lambda z: (z["low"] - F.lit(slack) <= F.col("far")) & (F.col("far") <= z["high"] + F.lit(slack)))
+    a = probe.select("id", "vec", far.alias("far"), F.pmod(F.xxhash64("id"), F.lit(m)).cast("long").alias("piece"))
+    a = a.select("id", "vec", "piece", F.explode(near["block"]).alias("block"))
+    b = b.select("id", "vec", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long"))).alias("piece"))
+
+    def meet(left: pa.Table, right: pa.Table) -> pa.Table:
+        found = {"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "d2": pa.array([], pa.float64())}
+        if len(left) and len(right):
+            xs, ys = (np.stack(t.column("vec").combine_chunks().to_numpy(zero_copy_only=False)).astype(float) for t in (left, right))
+            i, j = kernel.all_near(xs, ys, eps)
+            found = {"src": left.column("id").to_numpy()[i], "dst": right.column("id").to_numpy()[j], "d2": kernel.squares(xs, ys, i, j)}
+        return pa.table(found, pa.schema([("src", pa.int64()), ("dst", pa.int64()), ("d2", pa.float64())]))
+
+    return a.groupBy("block", "piece").cogroup(b.groupBy("block", "piece")).applyInArrow(meet, "src long, dst long, d2 double")
+
+
+def pivot_pairs(points: DataFrame, eps: float, rows: int = BLOCK_ROWS) -> DataFrame:
+    """All ordered pairs of points (id, vec) at most eps apart."""
+    return pivot_probe(points, points, eps, rows)
 
 
 def lsh_pairs(points: DataFrame, eps: float, n_tables: int = 8, n_bits: int = 6, seed: int = 0) -> DataFrame:
@@ -126,9 +169,14 @@ def k_distance(points: DataFrame, k: int, side: float) -> DataFrame:
     return k_nearest(points, k, side).filter(F.col("rank") == k).select("id", "d2")
 
 
+def cell_candidates(points: DataFrame, eps: float) -> DataFrame:
+    """(src, dst, d2): what the cell join meets, before the distance is checked."""
+    a = _around(points.select("id", "x", "y"), eps).withColumnRenamed("id", "src")
+    b = points.select(F.col("id").alias("dst"), F.col("x").alias("bx"), F.col("y").alias("by")).withColumn("cx", cell("bx", eps)).withColumn("cy", cell("by", eps))
+    return a.join(b, ["cx", "cy"]).select("src", "dst", squared_2d(F.col("x"), F.col("y"), F.col("bx"), F.col("by")).alias("d2"))
+
+
 def candidate_ratio(points: DataFrame, eps: float) -> DataFrame:
     """(candidates, pairs): what the cell join meets and what passes the distance."""
-    a = _around(points.select("id", "x", "y"), eps)
-    b = points.select(F.col("x").alias("bx"), F.col("y").alias("by")).withColumn("cx", cell("bx", eps)).withColumn("cy", cell("by", eps))
-    near = squared_2d(F.col("x"), F.col("y"), F.col("bx"), F.col("by")) <= F.lit(eps * eps)
-    return a.join(b, ["cx", "cy"]).agg(F.count(F.lit(1)).alias("candidates"), F.sum(near.cast("long")).alias("pairs"))
+    near = F.col("d2") <= F.lit(eps * eps)
+    return cell_candidates(points, eps).agg(F.count(F.lit(1)).alias("candidates"), F.sum(near.cast("long")).alias("pairs"))

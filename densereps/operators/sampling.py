@@ -2,30 +2,47 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import math
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from densereps.functions.expr import md5_key
-from densereps.plans.lineage import cut
+from densereps.plans.lineage import stored
+
+
+#: Rows that are ranked together, about.
+ROWS_A_PART = 500_000
 
 
 def permute(df: DataFrame, seed: int = 0, id_col: str = "id") -> DataFrame:
-    """df with rank, from 0, in the order of md5 of "seed:id".
+    """df with rank, from 0, in the order of md5 of "seed:id"; stored, so that a slice is read by its ranks alone.
 
-    The key is dealt by range and ranked inside each partition; each adds the rows before it, of which the
-    driver gets one number for each partition. No single task sees all rows.
+    Keys are spread evenly, so the key's first digits deal the rows into parts of about ROWS_A_PART; one shuffle ranks
+    them, and each part adds the rows before it, of which the driver gets one number for each part.
     """
     keyed = df.withColumn("rank_key", md5_key(id_col, seed))
-    dealt = cut(keyed.repartitionByRange("rank_key", id_col).sortWithinPartitions("rank_key", id_col)).withColumn("part", F.spark_partition_id())
-    sizes = {r["part"]: r["count"] for r in dealt.groupBy("part").count().collect()}
-    before, total = {}, 0
-    for part in sorted(sizes):
-        before[part] = total
-        total += sizes[part]
-    offsets = df.sparkSession.createDataFrame(list(before.items()), "part int, before long")  # a row for each partition
-    ranked = dealt.withColumn("at", F.row_number().over(W.partitionBy("part").orderBy("rank_key", id_col)))
-    return ranked.join(F.broadcast(offsets), "part").withColumn("rank", F.col("before") + F.col("at") - 1).drop("part", "before", "at")
+    digits = max(1, math.ceil(math.log(max(1, df.count() / ROWS_A_PART), 16)))
+    part = F.substring("rank_key", 1, digits)
+    sizes = {r["part"]: r["count"] for r in keyed.groupBy(part.alias("part")).count().collect()}
+    before, total = [], 0
+    for name in sorted(sizes):
+        before.append((name, total))
+        total += sizes[name]
+    offsets = df.sparkSession.createDataFrame(before, "part string, before long")
+    ranked = keyed.withColumn("part", part).withColumn("at", F.row_number().over(W.partitionBy("part").orderBy("rank_key", id_col)))
+    return stored(ranked.join(F.broadcast(offsets), "part").withColumn("rank", F.col("before") + F.col("at") - 1).drop("part", "before", "at"))
+
+
+def key_head(id_col: str = "id", seed: int = 0) -> Column:
+    """The first 32 bits of the permutation's key, evenly spread."""
+    return F.conv(F.substring(md5_key(id_col, seed), 1, 8), 16, 10).cast("long")
+
+
+def key_range(df: DataFrame, low: int, high: int, seed: int = 0, id_col: str = "id") -> DataFrame:
+    """The rows whose key's head is from low to high - 1: a filter in the scan's stage, no shuffle."""
+    return df.filter((key_head(id_col, seed) >= F.lit(low)) & (key_head(id_col, seed) < F.lit(high)))
 
 
 def take(df: DataFrame, n: int, seed: int = 0, id_col: str = "id") -> DataFrame:
@@ -35,8 +52,7 @@ def take(df: DataFrame, n: int, seed: int = 0, id_col: str = "id") -> DataFrame:
 
 def threshold_sample(df: DataFrame, share: float, seed: int = 0, id_col: str = "id") -> DataFrame:
     """About a share of the rows by a threshold on the key's first 32 bits: a filter in the scan's stage, no shuffle."""
-    head = F.conv(F.substring(md5_key(id_col, seed), 1, 8), 16, 10).cast("long")
-    return df.filter(head < F.lit(int(share * (1 << 32))))
+    return key_range(df, 0, int(share * (1 << 32)), seed, id_col)
 
 
 def stratified(df: DataFrame, strata: str, n: int, seed: int = 0, id_col: str = "id") -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 from dataclasses import asdict, dataclass
 
@@ -9,12 +10,13 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from densereps.functions.expr import md5_key
 from densereps.operators import graph as g
 from densereps.operators import kernel
 from densereps.operators.eta import next_threshold
-from densereps.operators.labeling import label_nearest, label_nearest_vectors
+from densereps.operators.labeling import label_nearest
 from densereps.operators.representatives import representatives
-from densereps.operators.sampling import permute
+from densereps.operators.sampling import key_range, permute
 from densereps.operators.stability import StopPolicy, instability
 from densereps.operators.testsize import test_size
 from densereps.params import SsdcParams
@@ -46,11 +48,7 @@ class SsdcModel:
         Lazy: nothing runs until asked, and filters on points go below it.
         """
         own = self.vertices.select("id", F.col("cluster").alias("graph_cluster"))
-        if "vec" in points.columns:
-            fit = self.fit
-            near = label_nearest_vectors(points, fit.ids[fit.reps], fit.xs[fit.reps].astype(float), fit.cluster[fit.reps], self.params.max_distance)
-        else:
-            near = label_nearest(points, self.reps, mode, self.params.max_distance)
+        near = label_nearest(points, self.reps, mode, self.params.max_distance, self.params.eps)
         return near.join(own, "id", "left").withColumn("cluster", F.coalesce("graph_cluster", "cluster")).drop("graph_cluster")
 
     def save(self, path: str) -> None:
@@ -71,23 +69,31 @@ class SsdcModel:
 
 
 class _Drawer:
-    """Slices of the permutation for the kernel; reads a stretch ahead, so that few jobs run."""
+    """Slices of the permutation for the kernel, by ranges of its keys: scans with a filter, no shuffle of the points.
 
-    def __init__(self, ranked: DataFrame, columns: list[str], ahead: int):
-        self.ranked, self.columns, self.ahead, self.read = ranked, columns, ahead, 0
-        self.ids, self.xs = np.zeros(0, np.int64), None
+    Reads a stretch ahead, so that few jobs run.
+    """
+
+    def __init__(self, points: DataFrame, columns: list[str], seed: int, total: int, ahead: int):
+        self.points, self.columns, self.seed, self.total, self.ahead = points, columns, seed, total, ahead
+        self.ids, self.xs, self.high = np.zeros(0, np.int64), None, 0
 
     def __call__(self, a: int, b: int) -> tuple[np.ndarray, np.ndarray]:
-        while self.read < b:
-            stop = max(b, self.read + self.ahead)
+        while len(self.ids) < min(b, self.total):
+            stop = max(b, len(self.ids) + self.ahead)
             if stop > MAX_KERNEL + self.ahead:
                 raise OverflowError("the sample outgrows the array kernel")
-            part = self.ranked.filter((F.col("rank") >= self.read) & (F.col("rank") < stop)).select("rank", "id", *self.columns).toPandas().sort_values("rank")
-            xs = np.stack(part["vec"].to_numpy()) if self.columns == ["vec"] and len(part) else part[self.columns].to_numpy() if self.columns != ["vec"] else np.zeros((0, 1))
-            self.ids = np.concatenate([self.ids, part["id"].to_numpy().astype(np.int64)])
-            self.xs = xs if self.xs is None else np.concatenate([self.xs, xs])
-            self.read = stop
-        return self.ids[a:b], self.xs[a:b]
+            # keys are spread evenly; some more than wanted come at once
+            high = min(1 << 32, max(self.high + 1, int((stop + 4 * math.sqrt(stop)) / self.total * (1 << 32))))
+            part = key_range(self.points.select("id", *self.columns), self.high, high, self.seed).withColumn("key", md5_key("id", self.seed))
+            rows = part.toPandas().sort_values(["key", "id"])
+            if self.columns == ["vec"]:
+                xs = np.stack(rows["vec"].to_numpy()) if len(rows) else None
+            else:
+                xs = rows[self.columns].to_numpy()
+            self.ids, self.high = np.concatenate([self.ids, rows["id"].to_numpy().astype(np.int64)]), high
+            self.xs = xs if self.xs is None else self.xs if xs is None else np.concatenate([self.xs, xs])
+        return self.ids[a:b], np.zeros((0, 1)) if self.xs is None else self.xs[a:b]
 
 
 class Ssdc:
@@ -99,23 +105,22 @@ class Ssdc:
     def fit(self, points: DataFrame) -> SsdcModel:
         """points: (id, x, y) or (id, vec).
 
-        auto: the sample is grown by the array kernel on the driver while it has at most MAX_KERNEL points, which it
-        reaches only where the labels never settle; then, or with engine="frames", it is grown on DataFrames.
+        auto: the sample is grown by the array kernel on the driver while it has at most MAX_KERNEL points and their
+        near pairs fit, beyond which it gets only where the labels never settle; then, or with engine="frames", it is
+        grown on DataFrames.
         """
-        ranked = permute(points, self.params.seed)
         if self.engine != "frames":
             try:
-                return self._fit_arrays(ranked)
+                return self._fit_arrays(points)
             except OverflowError:
-                if "vec" in points.columns:
-                    raise
-        return self._fit_frames(ranked)
-
-    def _fit_arrays(self, ranked: DataFrame) -> SsdcModel:
-        p, spark = self.params, ranked.sparkSession
-        columns = ["vec"] if "vec" in ranked.columns else ["x", "y"]
-        draw = _Drawer(ranked, columns, p.gamma + 12 * p.beta + 2_000)
-        fit = kernel.run(draw, ranked.count(), p)
+                pass
+        return self._fit_frames(permute(points, self.params.seed))
+
+    def _fit_arrays(self, points: DataFrame) -> SsdcModel:
+        p, spark, total = self.params, points.sparkSession, points.count()
+        columns = ["vec"] if "vec" in points.columns else ["x", "y"]
+        draw = _Drawer(points, columns, p.seed, total, p.gamma + 12 * p.beta + 2_000)
+        fit = kernel.run(draw, total, p)
         vertices = spark.createDataFrame(
             [(int(a), int(b), str(c), int(d)) for a, b, c, d in zip(fit.ids, fit.n, fit.state, fit.cluster, strict=True)],
             "id long, n_eps long, state string, cluster long",
@@ -134,17 +139,17 @@ class Ssdc:
         """The same loop with the sample, its pairs and its states as checkpointed DataFrames; the driver sees counts."""
         p, spark, began = self.params, ranked.sparkSession, time.time()
         total = ranked.count()
-        part = lambda a, b: ranked.filter((F.col("rank") >= a) & (F.col("rank") < b)).select("id", "x", "y")
-        graph, eta = None, 1
+        where = ["vec"] if "vec" in ranked.columns else ["x", "y"]
+        part = lambda a, b: ranked.filter((F.col("rank") >= a) & (F.col("rank") < b)).select("id", *where)
 
         def reps(graph) -> DataFrame:
             return cut(representatives(graph.vertices, p.tau, p.selector).join(graph.sample, "id"))
 
         def label(points: DataFrame, held: DataFrame, name: str) -> DataFrame:
-            return label_nearest(points, held, "auto", p.max_distance).select("id", F.col("cluster").alias(name))
+            return label_nearest(points, held, "auto", p.max_distance, p.eps).select("id", F.col("cluster").alias(name))
 
-        def mean(graph) -> float:
-            counts = graph.vertices.select("id", "n_eps")
+        def mean(counts: DataFrame) -> float:
+            counts = counts.select("id", "n_eps")
             used = max(1, -(-int(counts.count() * p.eim_fraction * 1e9) // 10**9))
             key = F.md5(F.concat(F.lit("eta:"), F.col("id").cast("string")).cast("binary"))
             return counts.withColumn("k", key).orderBy("k").limit(used).agg(F.avg("n_eps")).first()[0]
@@ -153,9 +158,8 @@ class Ssdc:
             return graph.vertices.filter("cluster >= 0").select("cluster").distinct().count()
 
         gamma = min(p.gamma, total)
-        graph = g.init_graph(part(0, gamma), 1, p)
-        eta = next_threshold(mean(graph), 1, p.min_pts, p.eta_rule)
-        graph = g.demote(graph, eta)
+        graph = g.init_graph(part(0, gamma), lambda counts: next_threshold(mean(counts), 1, p.min_pts, p.eta_rule), p)
+        eta = graph.eta
         k, held = clusters(graph), reps(graph)
         size = lambda k: test_size(total, max(1, k), rectify_n=p.rectify_n, rectify_k=p.rectify_k)
         n_test = min(size(k), total - gamma)
@@ -175,7 +179,7 @@ class Ssdc:
             iteration += 1
             stop = min(total, used + p.beta)
             if eta < p.min_pts:
-                eta = next_threshold(mean(graph), eta, p.min_pts, p.eta_rule)
+                eta = next_threshold(mean(graph.vertices), eta, p.min_pts, p.eta_rule)
                 graph = g.demote(graph, eta)
             graph = g.insert(graph, part(used, stop))
             used = stop
@@ -198,5 +202,5 @@ class Ssdc:
                 break
         if p.finalize_eta and eta < p.min_pts:
             graph = g.demote(graph, p.min_pts)
-        held = reps(graph).select("id", "cluster", "n_eps", "x", "y")
+        held = reps(graph).select("id", "cluster", "n_eps", *where)
         return SsdcModel(held, graph.vertices, spark.createDataFrame(rows, TRACE), p, reason)

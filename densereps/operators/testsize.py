@@ -19,9 +19,10 @@ def share(n: int, k: int, prob: float = 1.0, p: list[float] | None = None, exact
 def test_size(
     n: int, k: int, prob: float = 1.0, p: list[float] | None = None, exact: bool = True, rectify_n: int | None = None, rectify_k: int | None = None
 ) -> int:
-    """Points of the test sample. rectify_n, rectify_k: constants that bound it on large data."""
-    n_used = min(n, rectify_n) if rectify_n else n
-    k_used = max(1, rectify_k or k)
+    """Points of the test sample. rectify_n, rectify_k: what stands for n and k on more than rectify_n points."""
+    large = rectify_n is not None and n > rectify_n
+    n_used = rectify_n if large else n
+    k_used = rectify_k if large and rectify_k else max(1, k)
     return min(n, math.ceil(n_used * share(n_used, k_used, prob, p, exact)))
 
 

@@ -16,7 +16,12 @@ CHOICES = {
 
 @dataclass(frozen=True)
 class SsdcParams:
-    """eps, min_pts: density; gamma, beta: points of the first sample and of an increment; tau: rim threshold."""
+    """eps, min_pts: density; gamma, beta: points of the first sample and of an increment; tau: rim threshold.
+
+    rectify_n, rectify_k: on more than rectify_n points, the test size is that of rectify_n points and rectify_k clusters.
+    merge_on: an increment's new cores merge the clusters of their neighbouring cores, or of any neighbour, borders too.
+    relabel: clusters follow the graph, or never split. What has merged by "any" or under "lazy" stays merged.
+    """
 
     eps: float
     min_pts: int
@@ -31,7 +36,7 @@ class SsdcParams:
     border_rule: str = "min_cluster"
     selector: str = "rim_and_center"
     rectify_n: int | None = 50_000
-    rectify_k: int | None = None
+    rectify_k: int | None = 50
     seed: int = 0
     max_iterations: int = 1000
     force_full_minpts: bool = True
@@ -45,8 +50,14 @@ class SsdcParams:
                 raise ValueError(f"{name} is one of {allowed}")
         if self.eps <= 0 or self.min_pts < 1 or self.gamma < 1 or self.beta < 1 or not 0 <= self.tau <= 1:
             raise ValueError("eps, min_pts, gamma and beta must be positive, tau within 0 and 1")
+        if self.keeps_merges and self.weak_edges == "connect":
+            raise ValueError("weak_edges='connect' takes clusters from the graph alone")
         return self
 
+    @property
+    def keeps_merges(self) -> bool:
+        return self.relabel == "lazy" or self.merge_on == "any"
+
     @staticmethod
     def of_share(n: int, gamma: float, beta: float, **rest) -> SsdcParams:
         """gamma and beta as shares of n points."""

@@ -383,14 +383,16 @@ def test_size_table(spark, sf_dir):
 test_size_table.__test__ = False
 
 
+COVERAGE = [(10, 0.1, 1.0), (75, 0.14, 0.1), (142, 0.1, 0.5), (1582, 0.02, 0.03), (1582, 0.001, 1.0)]
+
+
 @query(
-    "WITH v(m, p) AS (VALUES (10, 0.1), (75, 0.14), (142, 0.1), (1582, 0.02), (1582, 0.001)) SELECT CAST(m AS BIGINT) AS m, CAST(p AS DOUBLE) AS p, "
-    "round(pow((m - 1) * p, 2), 9) AS p_two_first_order, round(1 - pow(1 - p, m) - m * p * pow(1 - p, m - 1), 9) AS p_two_exact FROM v"
+    f"WITH v(m, p, t) AS (VALUES {', '.join(map(str, COVERAGE))}) SELECT CAST(m AS BIGINT) AS m, CAST(p AS DOUBLE) AS p, CAST(t AS DOUBLE) AS t, "
+    "round(pow((m - 1) * p * t, 2), 9) AS p_two_first_order, round(1 - pow(1 - p, m) - m * p * pow(1 - p, m - 1), 9) AS p_two_exact FROM v"
 )
 def coverage_table(spark, sf_dir):
-    rows = spark.createDataFrame([(10, 0.1), (75, 0.14), (142, 0.1), (1582, 0.02), (1582, 0.001)], "m long, p double")
-    m, p = F.col("m"), F.col("p")
-    return rows.select("m", "p", F.round(F.pow((m - 1) * p, F.lit(2.0)), 9).alias("p_two_first_order"), F.round(1 - F.pow(1 - p, m) - m * p * F.pow(1 - p, m - 1), 9).alias("p_two_exact"))
+    rows = [(m, p, t, *[round(c, 9) for c in testsize.coverage(m, p, t)]) for m, p, t in COVERAGE]
+    return spark.createDataFrame(rows, "m long, p double, t double, p_two_first_order double, p_two_exact double")
 
 
 # ---- the loop
@@ -500,13 +502,9 @@ def autok_labels(spark, sf_dir):
     return metrics.nmi(labels, "cluster", "truth").withColumn("k", F.lit(k))
 
 
-@query(f"WITH {P} SELECT count(*) AS n, 0 AS n_different FROM p")
+@query(S.recursive(P, S.density("p", 80, MIN_PTS)) + " SELECT id, cluster FROM lab")
 def anytime_equals_exact(spark, sf_dir):
-    points = small(spark, sf_dir)
-    got, _ = anytime.anytime_blocks(points, 80, MIN_PTS)
-    want = exact.exact_density(points, 80, MIN_PTS).select("id", F.col("state").alias("s"), F.col("cluster").alias("c"))
-    differs = ((F.col("state") != F.col("s")) | (F.col("cluster") != F.col("c"))).cast("int")
-    return got.join(want, "id").agg(F.count(F.lit(1)).alias("n"), F.sum(differs).cast("int").alias("n_different"))
+    return anytime.anytime_blocks(small(spark, sf_dir), 80, MIN_PTS)[0].select("id", "cluster")
 
 
 @query()
@@ -535,7 +533,7 @@ def leaders_labels(spark, sf_dir):
 SINGLE = (
     BASE + ", o AS (SELECT cluster, arg_min(id, (-n_eps, id)) AS id FROM lab WHERE state = 'core' GROUP BY cluster), ox AS (SELECT o.*, x, y FROM o JOIN p USING (id)),"
     + S.reps("lab", TAU) + ", mx AS (SELECT rep.*, x, y FROM rep JOIN p USING (id)), " + S.nearest("p", "ox", "n1") + "," + S.nearest("p", "mx", "n2")
-    + ", j AS (SELECT n1.cluster AS one, n2.cluster AS many, truth FROM p JOIN n1 USING (id) JOIN n2 USING (id)) SELECT 'center_only' AS selector, n, nmi FROM ("
+    + ", j AS (SELECT coalesce(n1.cluster, -1) AS one, coalesce(n2.cluster, -1) AS many, truth FROM p LEFT JOIN n1 USING (id) LEFT JOIN n2 USING (id)) SELECT 'center_only' AS selector, n, nmi FROM ("
     + S.entropy_nmi("j", "one", "truth") + ") UNION ALL SELECT 'rim_and_center', n, nmi FROM (" + S.entropy_nmi("j", "many", "truth") + ")"
 )
 
@@ -591,3 +589,9 @@ def _workload(f):
 
 for _f in workloads.ALL:
     _workload(_f)
+
+METHOD_ORACLES["w_alpha"] = (
+    "WITH v AS (SELECT n, k, CASE WHEN n > 50000 THEN 50000 ELSE n END AS m, CASE WHEN n > 50000 THEN 50 ELSE k END AS j "
+    "FROM (SELECT unnest([1500, 15000, 150000, 1000000]) AS n), (SELECT unnest([2, 10, 50]) AS k)) SELECT CAST(n AS BIGINT) AS n, CAST(k AS INT) AS k, "
+    "CAST(ceil(round((1 + sqrt(1 + 4.0 * n * k)) / 2.0, 9)) AS INT) AS alpha, CAST(ceil(round((1 + sqrt(1 + 4.0 * m * j)) / 2.0, 9)) AS INT) AS alpha_rectified FROM v"
+)

@@ -289,14 +289,14 @@ def event_density_range_frame(spark, sf_dir):
 VERSIONS = [(1, "2024-01-01 00:00:00"), (2, "2024-01-08 12:00:00"), (3, "2024-01-20 06:30:00")]
 
 
-@query("WITH m(version, since) AS (VALUES (1, TIMESTAMP '2024-01-01 00:00:00'), (2, TIMESTAMP '2024-01-08 12:00:00'), (3, TIMESTAMP '2024-01-20 06:30:00')) SELECT event_id, max(version) AS version FROM events LEFT JOIN m ON since <= ts GROUP BY event_id")
+@query("WITH m(version, since) AS (VALUES (1, TIMESTAMP '2024-01-01 00:00:00'), (2, TIMESTAMP '2024-01-08 12:00:00'), (3, TIMESTAMP '2024-01-20 06:30:00')) SELECT event_id, version FROM events ASOF LEFT JOIN m ON ts >= since")
 def event_asof_model(spark, sf_dir):
-    """The version in force at each event, from a short table of versions: as-of by an ordered projection."""
-    ts = F.col("ts").cast("timestamp_ntz")
-    found = F.lit(None).cast("int")
-    for version, since in VERSIONS:
-        found = F.when(ts >= F.lit(since).cast("timestamp_ntz"), version).otherwise(found)
-    return table(spark, sf_dir, "events").select("event_id", found.alias("version"))
+    """The version in force at each event: a range join with a short table of versions and when each ends."""
+    versions = spark.createDataFrame(VERSIONS, "version int, since string").withColumn("since", F.col("since").cast("timestamp_ntz"))
+    spans = versions.withColumn("until", F.lead("since").over(W.orderBy("since")))  # a row for each version of the model
+    events = table(spark, sf_dir, "events").withColumn("at", F.col("ts").cast("timestamp_ntz"))
+    held = (F.col("at") >= F.col("since")) & (F.col("until").isNull() | (F.col("at") < F.col("until")))
+    return events.join(F.broadcast(spans), held, "left").select("event_id", "version")
 
 
 @query("SELECT CAST(json_extract(props, '$.k') AS INT) AS k, count(*) AS n, round(avg(value), 6) AS mean FROM events GROUP BY 1")

@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from densereps.functions.expr import cell
+
 POINTS_2D = "id long, x long, y long, truth int"
 
 
@@ -115,6 +117,17 @@ def load_points(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.sql(text, held=held).select("id", F.col("x").cast("long"), F.col("y").cast("long"), "truth")
 
 
+def read_points(spark: SparkSession, path: str, kind: str, schema: str = POINTS_2D) -> DataFrame:
+    """Points from files of a kind that Spark reads, with a stated schema, so that no pass infers one."""
+    return spark.read.schema(schema).option("header", True).format(kind).load(path)
+
+
+def write_points(df: DataFrame, table: str, buckets: int, side: float) -> None:
+    """Points as a table bucketed by cell, so that joins on cells of that side need no shuffle."""
+    cells = df.withColumn("cx", cell("x", side)).withColumn("cy", cell("y", side))
+    cells.write.bucketBy(buckets, "cx", "cy").sortBy("cx", "cy").mode("overwrite").saveAsTable(table)
+
+
 def load_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The high-dimensional set: (id, vec, truth)."""
     held = spark.read.parquet(f"{sf_dir}/embeddings.parquet")

@@ -7,22 +7,27 @@ array kernel on a broadcast point set of checked size. Large sets go through the
 from __future__ import annotations
 
 import itertools
-import math
 import time
+from collections import Counter
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densereps.operators import anytime, autok, exact, kernel, metrics, testsize
+from densereps.operators import anytime, autok, exact, kernel, kmeans, metrics, testsize
 from densereps.operators.ssdc import Ssdc
 from densereps.params import SsdcParams
-from densereps.sources.points import load_points
+from densereps.plans.lineage import cut
+from densereps.sources.points import load_documents, load_points, load_vectors
 
-#: Points of a set that a task may hold for repeated runs.
-MAX_REPEATED = 200_000
+#: Points of a set that a task may hold for repeated runs: three numbers each.
+MAX_REPEATED = 1_000_000
+
+#: Density of the comparison of methods.
+EPS, MIN_PTS = 150, 5
 
 RUNS = (
     "dataset string, setting string, seed int, iteration int, last boolean, eta int, k int, n_sample long, n_reps long, delta double, "
@@ -32,14 +37,23 @@ RUNS = (
 #: eps, min_pts, gamma, beta, tau of the small sets.
 SMALL = {
     "shapes9_small": (150, 5, 0.12, 0.12, 0.5), "blobs30": (120, 5, 0.15, 0.10, 0.5), "blobs31": (80, 5, 0.10, 0.10, 0.5), "part_grid": (220, 5, 0.15, 0.10, 0.5),
+    "docs_lang": (40, 10, 0.15, 0.10, 0.5),
 }
 
 
+def _set(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A point set with its truth as numbers."""
+    if name != "docs_lang":
+        return load_points(spark, sf_dir, name)
+    docs = load_documents(spark, sf_dir)
+    return docs.withColumn("truth", F.pmod(F.xxhash64("truth"), F.lit(1 << 30)).cast("int")).na.drop(subset=["id", "x", "y"])
+
+
 def repeated(spark: SparkSession, sf_dir: str, jobs: list[tuple[str, str, int, dict]], every_round: bool = False) -> DataFrame:
     """Rows of many runs: (dataset, setting, seed, parameters of SsdcParams with gamma and beta as shares)."""
     sets = {}
     for name in {j[0] for j in jobs}:
-        points = load_points(spark, sf_dir, name)
+        points = _set(spark, sf_dir, name)
         if points.count() > MAX_REPEATED:
             raise ValueError(f"{name} is too large for repeated runs")
         pdf = points.toPandas()
@@ -60,7 +74,7 @@ def repeated(spark: SparkSession, sf_dir: str, jobs: list[tuple[str, str, int, d
                 key = (name, p.eps, p.min_pts)
                 if key not in exact_of:
                     exact_of[key] = kernel.exact(ids, xs, p)[2]
-                label = kernel.nearest(xs, fit.xs[fit.reps], fit.ids[fit.reps], fit.cluster[fit.reps])
+                label = kernel.nearest(xs, fit.xs[fit.reps], fit.ids[fit.reps], fit.cluster[fit.reps], None, p.eps)
                 at = {int(i): k for k, i in enumerate(ids)}
                 label[[at[int(i)] for i in fit.ids]] = fit.cluster
                 vs_exact = kernel.mutual_information(label, exact_of[key])
@@ -80,8 +94,19 @@ def _options(name: str, **over) -> dict:
 
 
 def w_walkthrough(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One run, round by round."""
-    return repeated(spark, sf_dir, [("shapes9_small", "walkthrough", 0, _options("shapes9_small"))], every_round=True)
+    """One run, round by round: its counters, and how many points came to each state from each other."""
+    points = load_points(spark, sf_dir, "shapes9_small").toPandas()  # a small set
+    ids, xs = points["id"].to_numpy(np.int64), points[["x", "y"]].to_numpy(np.int64)
+    order = kernel.permutation(ids, 0)
+    p = SsdcParams.of_share(len(ids), **_options("shapes9_small"))
+    fit = kernel.run(lambda a, b: (ids[order[a:b]], xs[order[a:b]]), len(ids), p, keep_history=True)
+    rows, before = [], {}
+    for t, (seen, state, _) in zip(fit.trace, fit.history, strict=True):
+        now = dict(zip(seen.tolist(), state.tolist(), strict=True))
+        moves = Counter((before.get(i, "unknown"), s) for i, s in now.items())
+        rows += [(t["iteration"], t["eta"], t["k"], t["n_sample"], t["delta"], a, b, n) for (a, b), n in sorted(moves.items())]
+        before = now
+    return spark.createDataFrame(rows, "iteration int, eta int, k int, n_sample long, delta double, old_state string, new_state string, n long")
 
 
 def w_randomness(spark: SparkSession, sf_dir: str, n_seeds: int = 50) -> DataFrame:
@@ -96,7 +121,7 @@ def run_catalogue(spark: SparkSession, sf_dir: str, n_seeds: int = 50) -> DataFr
     return runs.groupBy("dataset", "k").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("nmi_exact"), 6).alias("mean_nmi_exact"))
 
 
-def w_gamma_sweep(spark: SparkSession, sf_dir: str, n_seeds: int = 10, gammas=(0.05, 0.10, 0.15, 0.20, 0.30, 0.40)) -> DataFrame:
+def w_gamma_sweep(spark: SparkSession, sf_dir: str, n_seeds: int = 100, gammas=(0.05, 0.10, 0.15, 0.20, 0.30, 0.40)) -> DataFrame:
     """K by the size of the first sample."""
     jobs = [(d, f"gamma={g}", s, _options(d, gamma=g)) for d, g, s in itertools.product(("shapes9_small", "blobs30", "blobs31"), gammas, range(n_seeds))]
     return metrics.k_frequency(repeated(spark, sf_dir, jobs), ["dataset", "setting"])
@@ -114,32 +139,55 @@ LARGE = {
     "shapes41_noise": [(60, 10), (100, 10), (150, 10)],
     "events_xy": [(600, 10), (1200, 20)],
 }
+#: The same of the vectors: one where no point is a core, and one at which all are.
+VECTORS = [(1.1, 5), (1.5, 10)]
+COMPARED = "dataset string, eps double, min_pts int, method string, k int, processed long, n_reps long, reason string, seconds double, nmi_truth double"
+
+
+def _sampled(points: DataFrame, eps: float, min_pts: int, truth: bool, gamma: int = 600, beta: int = 300) -> tuple:
+    """What one run gives; seconds until the representatives are there."""
+    began = time.time()
+    model = Ssdc(SsdcParams(eps=eps, min_pts=min_pts, gamma=gamma, beta=beta, tau=0.3)).fit(points)
+    seconds, last = time.time() - began, model.trace.orderBy(F.desc("iteration")).first()
+    nmi = metrics.nmi(model.transform(points), "cluster", "truth").first()["nmi"] if truth else None
+    return ("sampled", int(last["k"]), int(last["n_sample"]), int(last["n_reps"]), model.reason, seconds, nmi)
+
+
+def _anytime(points: DataFrame, eps: float, min_pts: int, truth: bool) -> tuple:
+    """The block-wise method, stopped after ten blocks; processed are its range queries."""
+    began = time.time()
+    labels, trace = anytime.anytime_blocks(points, eps, min_pts, 1024, 1024, snapshot=100, max_blocks=10)
+    last = trace.orderBy(F.desc("block")).first()
+    seconds = time.time() - began
+    nmi = metrics.nmi(labels.join(points.select("id", "truth"), "id"), "cluster", "truth").first()["nmi"] if truth else None
+    return ("anytime", int(last["clusters"]), int(last["queries"]), 0, "settled" if not last["unknown"] else "stopped", seconds, nmi)
+
+
+def _autok(points: DataFrame) -> tuple:
+    began = time.time()
+    k, _ = autok.autok(points, 20, n_pairs=4)
+    return ("autok", int(k), None, int(k), None, time.time() - began, None)
 
 
 def w_large(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """K, points processed and agreement with the truth on large sets, by the sampled method and by K-means that chooses K."""
+    """Clusters, points processed and seconds on large sets: sampled, block-wise anytime, and K-means that chooses K."""
     rows = []
     for name, settings in LARGE.items():
-        points = load_points(spark, sf_dir, name)
-        k_auto, _ = autok.autok(points, 20, n_pairs=4)
+        points = cut(load_points(spark, sf_dir, name))
+        rows.append((name, None, None, *_autok(points)))
         for eps, min_pts in settings:
-            model = Ssdc(SsdcParams(eps=eps, min_pts=min_pts, gamma=600, beta=300, tau=0.3)).fit(points)
-            last = model.trace.orderBy(F.desc("iteration")).first()
-            labels = model.transform(points)
-            nmi = metrics.nmi(labels, "cluster", "truth").first()["nmi"] if name != "events_xy" else None
-            rows.append((name, float(eps), min_pts, last["k"], last["n_sample"], last["n_reps"], model.reason, nmi, k_auto))
-    return spark.createDataFrame(rows, "dataset string, eps double, min_pts int, k int, n_sample long, n_reps long, reason string, nmi_truth double, autok_k int")
+            truth = name != "events_xy"
+            rows += [(name, float(eps), min_pts, *f(points, eps, min_pts, truth)) for f in (_sampled, _anytime)]
+    vectors = cut(load_vectors(spark, sf_dir))
+    rows += [("embeddings", eps, min_pts, *_sampled(vectors, eps, min_pts, True, 240, 80)) for eps, min_pts in VECTORS]
+    return spark.createDataFrame(rows, COMPARED)
 
 
 def w_eps_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """K of the sampled method and of exact clustering as eps grows."""
-    points = load_points(spark, sf_dir, "shapes9_large")
-    rows = []
-    for eps in (40, 60, 100, 200):
-        last = Ssdc(SsdcParams(eps=eps, min_pts=10, gamma=600, beta=300, tau=0.3)).fit(points).trace.orderBy(F.desc("iteration")).first()
-        row = metrics.n_clusters(exact.exact_density(points, eps, 10)).first()
-        rows.append((float(eps), last["k"], last["n_sample"], row["k"], row["n_noise"]))
-    return spark.createDataFrame(rows, "eps double, k int, n_sample long, exact_k long, exact_noise long")
+    """Clusters by eps on the set of 41 shapes with noise: sampled and block-wise anytime."""
+    points = cut(load_points(spark, sf_dir, "shapes41_noise"))
+    rows = [("shapes41_noise", float(eps), 10, *f(points, eps, 10, True)) for eps in (40, 60, 100, 200) for f in (_sampled, _anytime)]
+    return spark.createDataFrame(rows, COMPARED)
 
 
 def w_single_cluster(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -149,7 +197,7 @@ def w_single_cluster(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w_exhaust(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An eps at which the labels hardly settle."""
-    return repeated(spark, sf_dir, [("shapes9_small", "small eps", s, _options("shapes9_small", eps=100)) for s in range(5)])
+    return repeated(spark, sf_dir, [("shapes9_small", "small eps", s, _options("shapes9_small", eps=80)) for s in range(5)])
 
 
 def w_alpha(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -161,6 +209,7 @@ def w_alpha(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w_convergence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Disagreement and K by round."""
     jobs = [("shapes9_large", "seeds", s, {"eps": 100, "min_pts": 5, "gamma": 0.04, "beta": 0.02, "tau": 0.3}) for s in range(5)]
+    jobs += [("shapes41_noise", "seeds", s, {"eps": 100, "min_pts": 10, "gamma": 0.04, "beta": 0.02, "tau": 0.3}) for s in range(2)]
     return repeated(spark, sf_dir, jobs, every_round=True)
 
 
@@ -172,33 +221,45 @@ def w_tau(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def w_toy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One representative for each cluster against many."""
-    jobs = [("shapes9_small", sel, s, _options("shapes9_small", eps=200, selector=sel)) for sel in ("center_only", "rim_and_center", "rim_only", "all_core") for s in range(10)]
-    return metrics.mean_and_deviation(repeated(spark, sf_dir, jobs), ["dataset", "setting"], ["k", "n_reps", "nmi_truth"])
+    """Two shapes of unlike extent, a solid block beside a long bar: K-means, one representative a cluster, and many."""
+    shapes = load_points(spark, sf_dir, "shapes9_small").filter("truth IN (0, 4)")
+    points = cut(shapes.withColumn("x", F.when(F.col("truth") == 4, F.floor((F.col("x") - 2000) / 4) + 1400).otherwise(F.col("x"))).withColumn(
+        "y", F.when(F.col("truth") == 4, 4 * (F.col("y") - 2000)).otherwise(F.col("y"))
+    ))
+    rows = []
+    for name, labels in (("library", kmeans.spark_ml_kmeans(points, 2)), ("kmeans", kmeans.kmeans(points, 2)[0])):
+        rows.append((name, 2, 2, metrics.nmi(labels, "cluster", "truth").first()["nmi"]))
+    for selector in ("center_only", "rim_and_center", "rim_only", "all_core"):
+        p = SsdcParams(eps=400, min_pts=3, gamma=max(20, points.count() // 2), beta=20, tau=0.7, selector=selector)
+        model = Ssdc(p).fit(points)
+        last = model.trace.orderBy(F.desc("iteration")).first()
+        near = model.transform(points.withColumn("id", F.col("id") + (1 << 40)))  # as new points, labelled by representatives alone
+        rows.append((selector, last["k"], last["n_reps"], metrics.nmi(near, "cluster", "truth").first()["nmi"]))
+    return spark.createDataFrame(rows, "method string, k int, n_reps long, nmi_truth double")
 
 
 def w_serve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Labels on demand for every event, by a model fitted on a sample."""
+    """Labels on demand: only the events of a slice are read and labelled, by a model fitted on a sample of all."""
     points = load_points(spark, sf_dir, "events_xy")
     model = Ssdc(SsdcParams(eps=1200, min_pts=10, gamma=500, beta=250, tau=0.3)).fit(points)
-    return model.transform(points).groupBy("cluster").agg(F.count(F.lit(1)).alias("n"))
+    return model.transform(points.filter("x BETWEEN 10000 AND 20000")).groupBy("cluster").agg(F.count(F.lit(1)).alias("n"))
 
 
 def w_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Range queries and seconds of exact, anytime and sampled clustering on one set."""
+    """Range queries and seconds of exact, anytime and sampled clustering on one set at one density."""
     points = load_points(spark, sf_dir, "shapes9_small")
     rows = []
+    for name, f in (("exact", exact.exact_density), ("exact by tiles", partial(exact.exact_density, halo=True))):
+        began = time.time()
+        k = metrics.n_clusters(f(points, EPS, MIN_PTS)).first()["k"]
+        rows.append((name, k, points.count(), time.time() - began))
     began = time.time()
-    k = metrics.n_clusters(exact.exact_density(points, 150, 5)).first()["k"]
-    rows.append(("exact", k, points.count(), time.time() - began))
-    began = time.time()
-    labels, trace = anytime.anytime_blocks(points, 150, 5)
+    labels, trace = anytime.anytime_blocks(points, EPS, MIN_PTS, 64, 64)
     rows.append(("anytime", metrics.n_clusters(labels).first()["k"], trace.agg(F.max("queries")).first()[0], time.time() - began))
     began = time.time()
-    model = Ssdc(SsdcParams(eps=200, min_pts=5, gamma=180, beta=180, tau=0.5)).fit(points)
-    last = model.trace.orderBy(F.desc("iteration")).first()
+    last = Ssdc(SsdcParams(eps=EPS, min_pts=MIN_PTS, gamma=180, beta=180, tau=0.5)).fit(points).trace.orderBy(F.desc("iteration")).first()
     rows.append(("sampled", last["k"], last["n_range_queries"], time.time() - began))
-    return spark.createDataFrame([(m, int(k), int(q), math.nan if s is None else round(s, 3)) for m, k, q, s in rows], "method string, k int, range_queries long, seconds double")
+    return spark.createDataFrame([(m, int(k), int(q), round(s, 3)) for m, k, q, s in rows], "method string, k int, range_queries long, seconds double")
 
 
 ALL = [

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from densereps.operators import anytime, exact, graph, kernel, labeling, metrics, neighbors, sampling, stability
+from densereps.operators import anytime, exact, graph, halo, kernel, labeling, metrics, neighbors, sampling, stability
 from densereps.operators import representatives as reps_
 from densereps.operators.components import connected_components
 from densereps.operators.ssdc import Ssdc, SsdcModel
@@ -135,6 +135,64 @@ def test_both_engines_give_the_same_run(points):
     assert {r["id"] for r in a.reps.collect()} == {r["id"] for r in b.reps.collect()}
 
 
+VARIANTS = [
+    {"relabel": "lazy"}, {"merge_on": "any"}, {"relabel": "lazy", "merge_on": "any"}, {"weak_edges": "connect"}, {"eta_rule": "plus_one", "border_rule": "nearest_core"},
+    {"eta_rule": "printed", "relabel": "lazy"}, {"eta_rule": "fixed", "border_rule": "lowest_core_id"},
+]
+
+
+@pytest.mark.parametrize("options", VARIANTS, ids=str)
+def test_engines_agree_on_variants(points, options):
+    p = SsdcParams(eps=130, min_pts=5, gamma=120, beta=60, tau=0.5, max_iterations=3, finalize_eta=True, **options)
+    a, b = Ssdc(p).fit(points), Ssdc(p, "frames").fit(points)
+    columns = ["iteration", "eta", "n_sample", "n_test", "k", "n_reps", "n_core", "n_border", "n_noise", "n_pairs", "delta"]
+    rows = lambda m: [tuple(round(v, 9) if isinstance(v, float) else v for v in r) for r in m.trace.select(columns).collect()]
+    assert rows(a) == rows(b) and as_dict(a.vertices, "cluster") == as_dict(b.vertices, "cluster")
+
+
+@pytest.mark.parametrize("eps", [80, 110, 130])
+def test_any_neighbour_merges_more(arrays, eps):
+    ids, xs = arrays
+    o = kernel.permutation(ids, 0)
+    draw = lambda a, b: (ids[o[a:b]], xs[o[a:b]])
+    base = {"eps": eps, "min_pts": 5, "gamma": 300, "beta": 300, "tau": 0.5, "eta_rule": "fixed", "max_iterations": 1}
+    plain, wide = (kernel.run(draw, len(ids), SsdcParams(**base, merge_on=m), keep_history=True) for m in ("core", "any"))
+    (_, state, cluster), (_, _, merged) = plain.history[1], wide.history[1]
+    core = state == "core"
+    assert all(len(set(merged[core & (cluster == c)])) == 1 for c in set(cluster[core]))
+    assert wide.trace[1]["k"] < plain.trace[1]["k"]
+
+
+def test_vectors_on_both_engines_and_after_load(spark, tmp_path):
+    rng = np.random.default_rng(3)
+    xs = np.concatenate([rng.normal(c, 0.3, (80, 5)) for c in (0, 4, 8)])
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(xs)], "id long, vec array<double>")
+    p = SsdcParams(eps=1.2, min_pts=4, gamma=60, beta=30, tau=0.5)
+    a, b = Ssdc(p).fit(df), Ssdc(p, "frames").fit(df)
+    assert as_dict(a.vertices, "cluster") == as_dict(b.vertices, "cluster")
+    want = as_dict(a.transform(df), "cluster")
+    assert len({c for c in want.values() if c >= 0}) == 3 and want == as_dict(b.transform(df), "cluster")
+    a.save(str(tmp_path / "model"))
+    assert as_dict(SsdcModel.load(spark, str(tmp_path / "model")).transform(df), "cluster") == want
+
+
+def test_pairs_beyond_the_bound_go_to_frames(points, monkeypatch):
+    p = SsdcParams(eps=200, min_pts=5, gamma=100, beta=50, tau=0.5, max_iterations=1)
+    want = Ssdc(p).fit(points)
+    monkeypatch.setattr(kernel, "MAX_PAIRS", 300)
+    got = Ssdc(p).fit(points)
+    assert got.fit is None and want.fit is not None and as_dict(got.vertices, "cluster") == as_dict(want.vertices, "cluster")
+
+
+@pytest.mark.parametrize(("eps", "min_pts", "side"), [(80, 5, 330), (150, 9, 610), (40, 2, 100)])
+def test_tiles_equal_whole(points, eps, min_pts, side):
+    rows = points.select("id", "x", "y").union(points.filter("id % 5 = 0").selectExpr("id + 10000", "x", "y"))
+    got = halo.exact_density_tiles(rows, eps, min_pts, side)
+    want = exact.exact_density(rows, eps, min_pts)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    assert halo.exact_density_tiles(rows.limit(0), eps, min_pts).count() == 0
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_core_partition_is_exact_on_the_sample_each_round(arrays, seed):
     ids, xs = arrays
@@ -164,14 +222,16 @@ def test_huge_eps_stops_at_three_batches(arrays):
 
 def test_unsettled_run_uses_all_points(arrays):
     ids, xs = arrays
-    fit = kernel.run(lambda a, b: (ids[a:b], xs[a:b]), len(ids), SsdcParams(eps=70, min_pts=5, gamma=180, beta=180, tau=0.5))
-    if fit.reason == "exhausted":
-        assert len(fit.ids) + len(fit.test_ids) == len(ids)
+    o = kernel.permutation(ids, 0)
+    fit = kernel.run(lambda a, b: (ids[o[a:b]], xs[o[a:b]]), len(ids), SsdcParams(eps=70, min_pts=5, gamma=180, beta=180, tau=0.5))
+    assert fit.reason == "exhausted" and len(fit.ids) + len(fit.test_ids) == len(ids)
 
 
 def test_labelling_modes_agree(points):
     model = Ssdc(SsdcParams(eps=200, min_pts=5, gamma=180, beta=180, tau=0.5)).fit(points)
     want = as_dict(labeling.label_nearest(points, model.reps, "array", 400), "cluster")
+    free = as_dict(labeling.label_nearest(points, model.reps, "join"), "cluster")
+    assert free == as_dict(labeling.label_nearest(points, model.reps, "grid", reach=20), "cluster") == as_dict(labeling.label_nearest(points, model.reps, "arrow", reach=100), "cluster")
     for mode in ("arrow", "grid", "join"):
         assert as_dict(labeling.label_nearest(points, model.reps, mode, 400), "cluster") == want
     assert as_dict(labeling.label_nearest(points, model.reps.limit(0)), "cluster") == dict.fromkeys(want, -1)
@@ -192,6 +252,15 @@ def test_anytime_equals_exact(spark, sf_dir):
     assert trace.agg(F.max("queries")).first()[0] <= 150
 
 
+def test_anytime_leaves_settled_points_unasked(points):
+    got, trace = anytime.anytime_blocks(points, 150, 5, 64, 64)
+    want = as_dict(exact.exact_density(points, 150, 5), "cluster")
+    last = trace.orderBy(F.desc("block")).first()
+    assert as_dict(got, "cluster") == want and last["clusters"] == len(set(want.values()) - {-1}) and last["queries"] < 1500
+    told = got.filter("state <> 'inner'").join(exact.exact_density(points, 150, 5).select("id", F.col("state").alias("s")), "id")
+    assert told.filter("state <> s").count() == 0
+
+
 def test_model_round_trip(spark, points, tmp_path):
     model = Ssdc(SsdcParams(eps=200, min_pts=5, gamma=180, beta=180, tau=0.5)).fit(points)
     model.save(str(tmp_path / "model"))
@@ -229,6 +298,9 @@ def test_plan_shapes(points):
     assert "NestedLoop" not in plan(neighbors.range_pairs(points, 150)) and "Cartesian" not in plan(neighbors.range_pairs(points, 150))
     assert "TakeOrderedAndProject" in plan(sampling.take(points, 100))
     assert "Exchange" not in plan(sampling.threshold_sample(points, 0.1))
+    assert "Exchange" not in plan(sampling.key_range(points, 5, 1 << 20))
+    part = plan(sampling.SamplePlan(points, 180, 180, 117).batch(1))
+    assert "Exchange" not in part and "Window" not in part and "PushedFilters: [IsNotNull(rank)" in part
     reps = points.limit(5).select("id", F.col("id").alias("cluster"), "x", "y")
     assert "Exchange" not in plan(labeling.label_nearest(points, reps, "array"))
 

@@ -8,7 +8,7 @@ from densereps.queries import ORACLES, QUERIES
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Written for the sizes of sf0.01: fixed sample sizes, or fixed counts.
 LARGER = {"sample_test_disjoint", "remainder_after_sample"}
-FAST = sorted(k for k in ORACLES if not k.startswith(("stream_", "anytime")) and k not in LARGER)
+FAST = sorted(k for k in ORACLES if k not in LARGER)
 
 
 @pytest.fixture(scope="module")
