@@ -1,8 +1,8 @@
 """Exact top-k by inner product: term-at-a-time accumulation over postings, block by block.
 
 Candidates are packed, where they are read, into blocks of at most ROWS vectors; so are queries. Candidate blocks
-are dealt to as many groups as there are shuffle partitions; each group meets a copy of the query blocks. For each pair of blocks, a dense score array
-is filled one term (dimension) at a time: the weights of the queries that have the term are scattered over its
+are dealt to as many groups as there are shuffle partitions, query blocks to PARTS parts, and each group and part meet, so
+that few blocks too spread over the tasks. For each pair of blocks, a dense score array is filled one term (dimension) at a time: the weights of the queries that have the term are scattered over its
 postings. The k best of each block are selected and merged over all blocks by a window that ranks in each task first.
 
 Defined results: vectors that are null, empty of non-zero terms, or hold null or non-finite components: the first
@@ -22,7 +22,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 SCALE, K = 256, 5
-ROWS, QUERY_ROWS = 2048, 256
+ROWS, QUERY_ROWS, PARTS = 2048, 256, 4
 _PACKED = "block long, rows array<long>, ids array<long>, at array<int>, terms array<int>, weights array<long>"
 
 
@@ -120,10 +120,12 @@ def top_k(
     """(query_id, rank, vec_id, score): for each query its k best of all vectors but itself."""
     groups = int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     packed = sparse_rows(vectors, id_col, vec_col, scale).mapInArrow(_pack(ROWS), _PACKED)
-    packed = packed.withColumn("g", F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int"))
+    up_to = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    packed = packed.select("*", F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int").alias("g"), up_to(PARTS).alias("part"))
     asked = sparse_rows(queries, id_col, vec_col, scale).mapInArrow(_pack(QUERY_ROWS), _PACKED)
-    asked = asked.select(*[F.col(c).alias(f"q_{c}") for c in asked.columns], F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"))
-    pairs = packed.repartition(groups, "g").join(asked.repartition(groups, "g"), "g").drop("g", "q_block")
+    part = F.pmod(F.xxhash64("block"), F.lit(PARTS)).cast("int").alias("part")
+    asked = asked.select(*[F.col(c).alias(f"q_{c}") for c in asked.columns], part, up_to(groups).alias("g"))
+    pairs = packed.repartition(groups, "g", "part").join(asked.repartition(groups, "g", "part"), ["g", "part"]).drop("g", "part", "q_block")
     best = pairs.mapInArrow(_search(k), "q_row long, query_id long, vec_id long, score long")
     ranked = best.withColumn("rank", F.row_number().over(W.partitionBy("q_row").orderBy(F.desc("score"), "vec_id")))
     return ranked.filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
