@@ -107,14 +107,14 @@ def pivot_probe(probe: DataFrame, reference: DataFrame, eps: float, rows: int =
     near = F.filter(bounds, lambda z: (z["low"] - F.lit(slack) <= F.col("far")) & (F.col("far") <= z["high"] + F.lit(slack)))
     a = probe.select("id", "vec", far.alias("far"), F.pmod(F.xxhash64("id"), F.lit(m)).cast("long").alias("piece"))
     a = a.select("id", "vec", "piece", F.explode(near["block"]).alias("block"))
-    b = b.select("id", "vec", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long"))).alias("piece"))
+    b = b.select(F.col("id").alias("to"), F.col("vec").alias("at"), "block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long"))).alias("piece"))
 
     def meet(left: pa.Table, right: pa.Table) -> pa.Table:
         found = {"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "d2": pa.array([], pa.float64())}
         if len(left) and len(right):
-            xs, ys = (np.stack(t.column("vec").combine_chunks().to_numpy(zero_copy_only=False)).astype(float) for t in (left, right))
+            xs, ys = (np.stack(c.combine_chunks().to_numpy(zero_copy_only=False)).astype(float) for c in (left.column("vec"), right.column("at")))
             i, j = kernel.all_near(xs, ys, eps)
-            found = {"src": left.column("id").to_numpy()[i], "dst": right.column("id").to_numpy()[j], "d2": kernel.squares(xs, ys, i, j)}
+            found = {"src": left.column("id").to_numpy()[i], "dst": right.column("to").to_numpy()[j], "d2": kernel.squares(xs, ys, i, j)}
         return pa.table(found, pa.schema([("src", pa.int64()), ("dst", pa.int64()), ("d2", pa.float64())]))
 
     return a.groupBy("block", "piece").cogroup(b.groupBy("block", "piece")).applyInArrow(meet, "src long, dst long, d2 double")

@@ -12,30 +12,39 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder for reliable checkpoints: spark.checkpoint.dir of the session where it is set."""
+    """The folder for reliable checkpoints: spark.checkpoint.dir of the session; a temporary one only in local mode."""
     set_by_cluster = spark.conf.get("spark.checkpoint.dir", None)
-    return set_by_cluster or os.path.join(tempfile.gettempdir(), "densereps-checkpoints")
+    if set_by_cluster:
+        return set_by_cluster
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return os.path.join(tempfile.gettempdir(), "densereps-checkpoints")
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Compute df once and continue from reliable files in the shared folder."""
+    """Compute df once and continue from reliable files in the shared folder; they go at the end of the session."""
     spark = df.sparkSession
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
         context.setCheckpointDir(shared_dir(spark))
+        remove_at_end(spark, context.getCheckpointDir())
     return df.checkpoint()
 
 
-def _remove(spark: SparkSession, path: str) -> None:
+def remove(spark: SparkSession, path: str) -> None:
     with contextlib.suppress(Exception):  # the context may be gone
         hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
         hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+def remove_at_end(spark: SparkSession, path: str) -> None:
+    atexit.register(remove, spark, path)
+
+
 def stored(df: DataFrame) -> DataFrame:
     """Like cut(), as a compressed columnar table in the shared folder, for wide or many rows; kept to the end."""
     spark = df.sparkSession
     path = os.path.join(shared_dir(spark), "densereps-tables", f"{spark.sparkContext.applicationId}-{uuid.uuid4().hex}")
     df.write.parquet(path)
-    atexit.register(_remove, spark, path)
+    remove_at_end(spark, path)
     return spark.read.parquet(path)
