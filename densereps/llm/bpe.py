@@ -1,11 +1,12 @@
 """Byte-level BPE: ranked merges folded over the byte arrays of distinct words; decoding joins the pieces.
 
-A text is cut into words by the pattern. All merges are folds of Spark higher-order functions: a word is an array of byte
-pieces, and each step of the fold joins the leftmost neighbours of least rank. The rank map is a literal: an array of
-buckets, by the pair's hash, of (piece, rank). The corpus's words are counted over all texts, and the MAX_WORDS most
-frequent distinct ones are folded once; every text's other distinct words are folded with their text. Only words of over
-MAX_FOLD bytes, for which arrays that are copied in each step take time by the square of their length, get the same
-merges with a heap. Decoding looks up each id's piece and concatenates the binary pieces, in Spark as well.
+A text is cut into words by the pattern; a word that is itself a piece has that piece's id. All merges of other words are
+folds of Spark higher-order functions: a word is an array of bytes, then of ids, and each step of the fold joins the
+leftmost neighbours of least rank. The rank map is a literal: an array of buckets, by the pair of ids, of what the pair
+becomes. The corpus's words are counted over all texts, and the MAX_WORDS most frequent distinct ones are folded once; every
+text's other distinct words are folded with their text. Only words of over MAX_FOLD bytes, for which arrays that are copied
+in each step take time by the square of their length, get the same merges with a heap. Decoding looks up each id's piece
+and concatenates the binary pieces, in Spark as well.
 
 Defined results: a null or empty text has no ids and decodes to nothing; special tokens are ordinary text; texts
 are read whole; columns besides the text pass through.
@@ -14,11 +15,11 @@ are read whole; columns besides the text pass through.
 from __future__ import annotations
 
 import base64
+import contextlib
 import heapq
 import json
 from collections import Counter
 from collections.abc import Iterator
-from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +31,10 @@ from densereps.plans.lineage import cut
 
 #: Frequent distinct words whose merges are folded once, and the longest word in bytes that is folded.
 MAX_WORDS, MAX_FOLD = 1 << 16, 256
-_BUCKETS = 1 << 16
+#: Codes from here on are ids of pieces; below, places of frequent words.
+_PIECES = 1 << 30
+#: Buckets of pairs: a prime. No rank.
+_BUCKETS, _NONE = 262_139, 2**62
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -63,75 +67,106 @@ def merge(word: bytes, ranks: dict[bytes, int]) -> list[int]:
     return [ranks[word[i : end[i]]] for i in range(n) if alive[i]]
 
 
-def _bucket(piece: Column) -> Column:
-    return F.pmod(F.crc32(piece), F.lit(_BUCKETS)).cast("int")
-
-
-def rank_literal(ranks: dict[bytes, int]) -> Column:
-    """The rank map as a literal, once the optimizer has folded it: an array of buckets of (piece, rank)."""
-    buckets: list[list] = [[] for _ in range(_BUCKETS)]
-    for piece, rank in ranks.items():
-        buckets[crc32(piece) % _BUCKETS].append({"p": base64.b64encode(piece).decode(), "r": rank})
-    return F.from_json(F.lit(json.dumps(buckets, separators=(",", ":"))), "array<array<struct<p: binary, r: int>>>")
+def _literal(rows: list, kind: str) -> Column:
+    """A literal, once the optimizer has folded it."""
+    return F.from_json(F.lit(json.dumps(rows, separators=(",", ":"))), kind)
 
 
 def _let(value: Column, then) -> Column:
-    """then(value), with value worked out once."""
-    return F.get(F.transform(F.array(value), then), F.lit(0))
-
-
-def fold(word: Column, table: Column) -> Column:
-    """Ids of a word of bytes: its merges by higher-order functions; table is the literal rank map."""
-    none, nothing = F.lit(2**31 - 1), F.array().cast("array<int>")
-
-    def rank(piece: Column) -> Column:
-        found = F.filter(F.get(table, _bucket(piece)), lambda x: x["p"] == piece)
-        return F.coalesce(F.get(found, F.lit(0))["r"], none)
-
-    def start(ps: Column) -> Column:
-        """Pieces, and the rank of each with its right neighbour."""
-        pairs = F.when(F.size(ps) > 1, F.sequence(F.lit(0), F.size(ps) - 2)).otherwise(nothing)
-        return F.struct(ps.alias("ps"), F.transform(pairs, lambda i: rank(F.concat(F.get(ps, i), F.get(ps, i + 1)))).alias("rs"))
-
-    def join_at(ps: Column, rs: Column, at: Column) -> Column:
-        """The pieces at and after at become one; only its two pairs get new ranks."""
-
-        def put(joined: Column) -> Column:
-            left = F.when(at > 0, F.array(rank(F.concat(F.get(ps, at - 1), joined)))).otherwise(nothing)
-            right = F.when(at + 2 < F.size(ps), F.array(rank(F.concat(joined, F.get(ps, at + 2))))).otherwise(nothing)
-            return F.struct(
-                F.concat(F.slice(ps, F.lit(1), at), F.array(joined), F.slice(ps, at + 3, F.size(ps))).alias("ps"),
-                F.concat(F.slice(rs, F.lit(1), F.greatest(at - 1, F.lit(0))), left, right, F.slice(rs, at + 3, F.size(ps))).alias("rs"),
-            )
-
-        return _let(F.concat(F.get(ps, at), F.get(ps, at + 1)), put)
-
-    def step(state: Column, _: Column) -> Column:
-        ps, rs = state["ps"], state["rs"]
-        merged = _let(F.array_min(rs), lambda low: F.when(low < none, _let(F.array_position(rs, low).cast("int") - 1, lambda at: join_at(ps, rs, at))))
-        return F.coalesce(merged, state)
-
-    def folded(w: Column) -> Column:
-        n = F.octet_length(w)
-        pieces = F.transform(F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(nothing), lambda i: F.substring(w, i, F.lit(1)))
-        steps = F.when(n > 1, F.sequence(F.lit(2), n)).otherwise(nothing)
-        return F.transform(F.aggregate(steps, _let(pieces, start), step)["ps"], rank)
-
-    return _let(rank(word), lambda whole: F.when(whole < none, F.array(whole)).otherwise(folded(word)))
+    """then(value), with value worked out once and not copied."""
+    return F.aggregate(F.array().cast("array<int>"), value, lambda held, _: held, then)
+
+
+class RankMap:
+    """Literals for folding: what two ids become, the same for two bytes, and the ids of single bytes."""
+
+    def __init__(self, ranks: dict[bytes, int]):
+        self.bits = max(1, max(ranks.values(), default=0).bit_length())
+        if self.bits > 20:
+            raise ValueError("a pair and what it becomes must fit into 62 bits")
+        buckets: list[list[int]] = [[] for _ in range(_BUCKETS)]
+        first = [_NONE] * 65_536
+        for piece, rank in ranks.items():
+            if len(piece) == 2:
+                first[piece[0] * 256 + piece[1]] = rank
+            for k in range(1, len(piece)):
+                if (x := ranks.get(piece[:k])) is not None and (y := ranks.get(piece[k:])) is not None:
+                    pair = x << self.bits | y
+                    buckets[pair % _BUCKETS].append(pair << self.bits | rank)
+        self.pairs, self.first = _literal(buckets, "array<array<long>>"), _literal(first, "array<long>")
+        self.single = _literal([ranks.get(bytes([i]), -1) for i in range(256)], "array<long>")
+
+    def folder(self, then) -> Column:
+        """then(f), where f(bytes) are the ids of an array of bytes, merged by higher-order functions."""
+        bits, long = self.bits, lambda n: F.lit(n).cast("long")
+        empty = F.array().cast("array<long>")
+
+        def with_tables(pairs: Column, first: Column, single: Column) -> Column:
+            def rank(x: Column, y: Column) -> Column:
+                def find(pair: Column) -> Column:
+                    met = F.filter(F.get(pairs, (pair % long(_BUCKETS)).cast("int")), lambda e: F.shiftright(e, bits) == pair)
+                    return F.coalesce(F.get(met, F.lit(0)).bitwiseAND(long((1 << bits) - 1)), long(_NONE))
+
+                return _let(x * long(1 << bits) + y, find)
+
+            def step(state: Column, _: Column) -> Column:
+                """ids, and the rank of each with its right neighbour; the rank of a pair is the id that it becomes."""
+                ids, rs = state["ids"], state["rs"]
+
+                def join(low: Column) -> Column:
+                    def put(at: Column) -> Column:  # from 1
+                        n = F.size(ids)
+                        left = F.when(at > 1, F.array(rank(F.get(ids, at - 2), low))).otherwise(empty)
+                        right = F.when(at + 1 < n, rank(low, F.get(ids, at + 1))).otherwise(long(_NONE))
+                        return F.struct(
+                            F.concat(F.slice(ids, F.lit(1), at - 1), F.array(low), F.slice(ids, at + 2, n)).alias("ids"),
+                            F.concat(F.slice(rs, F.lit(1), F.greatest(at - 2, F.lit(0))), left, F.array(right), F.slice(rs, at + 2, n)).alias("rs"),
+                        )
+
+                    return F.when(low < long(_NONE), _let(F.array_position(rs, low).cast("int"), put))
+
+                return F.coalesce(_let(F.array_min(rs), join), state)
+
+            def fold(word: Column) -> Column:
+                n = F.size(word)
+                pair = lambda x, i: (x * long(256) + F.get(word, i + 1)).cast("int")
+                rs = F.transform(word, lambda x, i: F.when(i < n - 1, F.get(first, pair(x, i))).otherwise(long(_NONE)))
+                ids = F.transform(word, lambda x: F.get(single, x.cast("int")))
+                return F.aggregate(F.slice(word, F.lit(2), n), F.struct(ids.alias("ids"), rs.alias("rs")), step)["ids"]
+
+            return then(fold)
+
+        return _let(self.pairs, lambda p: _let(self.first, lambda f: _let(self.single, lambda s: with_tables(p, f, s))))
+
+
+def bytes_of(word: Column) -> Column:
+    """A binary as an array of its bytes."""
+    n = F.octet_length(word)
+    places = F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(F.array().cast("array<int>"))
+    return F.transform(places, lambda i: F.conv(F.hex(F.substring(word, i, F.lit(1))), 16, 10).cast("long"))
 
 
 def fold_words(words: DataFrame, ranks: dict[bytes, int], word: str = "word") -> DataFrame:
     """words(word binary) with ids."""
-    return words.select(word, _let(rank_literal(ranks), lambda table: fold(F.col(word), table)).alias("ids"))
+    return words.select(word, RankMap(ranks).folder(lambda fold: fold(bytes_of(F.col(word)))).cast("array<int>").alias("ids"))
+
+
+def _texts_of(ranks: dict[bytes, int]) -> dict[str, int]:
+    """The pieces that are whole words of text."""
+    out = {}
+    for piece, rank in ranks.items():
+        with contextlib.suppress(UnicodeDecodeError):
+            out[piece.decode()] = rank
+    return out
 
 
-def _counts(pattern: str, max_fold: int, flush: int = 1 << 18):
+def _counts(held, pattern: str, max_fold: int, flush: int = 1 << 18):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        find = regex.compile(pattern).findall
+        find, pieces = regex.compile(pattern).findall, held.value
         seen: Counter[str] = Counter()
 
         def out() -> pa.RecordBatch:
-            kept = [(k, n) for w, n in seen.items() if len(k := w.encode()) <= max_fold]
+            kept = [(k, n) for w, n in seen.items() if w not in pieces and len(k := w.encode()) <= max_fold]
             return pa.RecordBatch.from_arrays(
                 [pa.array([k for k, _ in kept], pa.binary()), pa.array([n for _, n in kept], pa.int64())], names=["word", "n"]
             )
@@ -149,12 +184,15 @@ def _counts(pattern: str, max_fold: int, flush: int = 1 << 18):
     return run
 
 
-def frequent_words(docs: DataFrame, pattern: str, text_col: str = "text", max_words: int = MAX_WORDS, max_fold: int = MAX_FOLD) -> DataFrame:
-    """(word): those of at least so high a count over all texts that there are max_words at most; none that occurs once.
+def frequent_words(
+    docs: DataFrame, pattern: str, ranks: dict[bytes, int], text_col: str = "text", max_words: int = MAX_WORDS, max_fold: int = MAX_FOLD
+) -> DataFrame:
+    """(word): those of at least so high a count over all texts that there are max_words at most; no pieces, none that occurs once.
 
     Counted in each task before the shuffle. Counts fall into classes of equal ratio, of which the driver gets the sizes.
     """
-    partial = docs.select(text_col).mapInArrow(_counts(pattern, max_fold), "word binary, n long")
+    held = docs.sparkSession.sparkContext.broadcast(_texts_of(ranks))
+    partial = docs.select(text_col).mapInArrow(_counts(held, pattern, max_fold), "word binary, n long")
     counts = cut(partial.groupBy("word").agg(F.sum("n").alias("n")).filter("n > 1"))
     kind = F.floor(F.log2("n") * 8)
     sizes = {r["k"]: r["m"] for r in counts.groupBy(kind.alias("k")).agg(F.count(F.lit(1)).alias("m")).collect()}
@@ -167,20 +205,21 @@ def frequent_words(docs: DataFrame, pattern: str, text_col: str = "text", max_wo
     return counts.filter(kind >= least).select("word")
 
 
-def _cutter(spark: SparkSession, frequent: dict[str, int], ranks: dict[bytes, int], pattern: str, max_fold: int):
+def _cutter(spark: SparkSession, known: dict[str, int], ranks: dict[bytes, int], pattern: str, max_fold: int):
     """A column function: text to codes of its words, in order, and the distinct words that the codes below zero stand for.
 
-    A code from zero on is a frequent word's place. The words over max_fold bytes come with their ids.
+    Words are arrays of bytes; those over max_fold bytes are empty, and come with their ids in long.
     """
-    held = spark.sparkContext.broadcast((frequent, ranks))
+    held = spark.sparkContext.broadcast((known, ranks))
+    lists = lambda at, flat: pa.ListArray.from_arrays(pa.array(at, pa.int32()), flat)
 
-    @F.arrow_udf("codes array<int>, words array<binary>, long array<array<int>>")
+    @F.arrow_udf("codes array<int>, words array<array<long>>, long array<array<int>>")
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         find = regex.compile(pattern).findall
         place, ranked = held.value
 
         class Codes(dict):
-            """Known words' codes; a new word gets the next one below zero."""
+            """Codes of a text's words; a word that isn't known gets the next one below zero."""
 
             def __missing__(self, word: str) -> int:
                 code = place.get(word)
@@ -197,28 +236,28 @@ def _cutter(spark: SparkSession, frequent: dict[str, int], ranks: dict[bytes, in
                 codes.append(np.fromiter(map(Codes().__getitem__, find(text) if text else ()), np.int32))
                 code_at.append(code_at[-1] + len(codes[-1]))
                 raw = [w.encode() for w in new]
-                # a long word's place among the words holds nothing, and its ids come in the second list
-                ids = [merge(w, ranked) if len(w) > max_fold else None for w in raw]
-                words += [w if i is None else None for w, i in zip(raw, ids, strict=True)]
+                if any(len(w) > max_fold for w in raw):
+                    long += [merge(w, ranked) if len(w) > max_fold else None for w in raw]
+                    raw = [w if len(w) <= max_fold else b"" for w in raw]
+                words += raw
                 word_at.append(len(words))
-                long += ids if any(i is not None for i in ids) else []
                 long_at.append(len(long))
-            flat = np.concatenate([np.zeros(0, np.int32), *codes])
+            flat = np.frombuffer(b"".join(words), np.uint8).astype(np.int64)
+            ends = np.cumsum([0, *map(len, words)])
             yield pa.StructArray.from_arrays(
                 [
-                    pa.ListArray.from_arrays(pa.array(code_at, pa.int32()), pa.array(flat)),
-                    pa.ListArray.from_arrays(pa.array(word_at, pa.int32()), pa.array(words, pa.binary())),
-                    pa.ListArray.from_arrays(pa.array(long_at, pa.int32()), pa.array(long, pa.list_(pa.int32()))),
+                    lists(code_at, pa.array(np.concatenate([np.zeros(0, np.int32), *codes]))), lists(word_at, lists(ends, pa.array(flat))),
+                    lists(long_at, pa.array(long, pa.list_(pa.int32()))),
                 ],
                 names=["codes", "words", "long"],
-            )
+            )
 
     return run
 
 
 def _bytes_table(rows: list[bytes]) -> Column:
     """A literal array of binary values, once the optimizer has folded it."""
-    return F.from_json(F.lit(json.dumps([base64.b64encode(x).decode() for x in rows])), "array<binary>")
+    return _literal([base64.b64encode(x).decode() for x in rows], "array<binary>")
 
 
 def _joined(parts: Column) -> Column:
@@ -229,7 +268,7 @@ def _joined(parts: Column) -> Column:
 def pack_ids(ids: Column, ranks: dict[bytes, int]) -> Column:
     """An array of ids as little-endian unsigned 32-bit integers."""
     table = _bytes_table([i.to_bytes(4, "little") for i in range(max(ranks.values(), default=-1) + 1)])
-    return _joined(F.transform(ids, lambda i: F.get(table, i)))
+    return _let(table, lambda t: _joined(F.transform(ids, lambda i: F.get(t, i))))
 
 
 def decode(ids: Column, ranks: dict[bytes, int]) -> Column:
@@ -237,26 +276,31 @@ def decode(ids: Column, ranks: dict[bytes, int]) -> Column:
     pieces = [b""] * (max(ranks.values(), default=-1) + 1)
     for piece, i in ranks.items():
         pieces[i] = piece
-    table = _bytes_table(pieces)
-    return _joined(F.transform(ids, lambda i: F.get(table, i)))
+    return _let(_bytes_table(pieces), lambda t: _joined(F.transform(ids, lambda i: F.get(t, i))))
 
 
 def encode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", max_words: int = MAX_WORDS, max_fold: int = MAX_FOLD) -> DataFrame:
     """docs with an array column into: the ids of each text."""
     ranks = read_ranks(path)
-    words = frequent_words(docs, pattern, text_col, max_words, max_fold)
-    known = fold_words(words, ranks).collect()  # at most max_words short words
-    place = {bytes(r["word"]).decode(): k for k, r in enumerate(known)}
-    frequent = F.from_json(F.lit(json.dumps([r["ids"] for r in known])), "array<array<int>>")
+    words = frequent_words(docs, pattern, ranks, text_col, max_words, max_fold)
+    folded = fold_words(words, ranks).collect()  # at most max_words short words
+    known = {bytes(r["word"]).decode(): k for k, r in enumerate(folded)} | {w: _PIECES + rank for w, rank in _texts_of(ranks).items()}
+    frequent = _literal([r["ids"] for r in folded], "array<array<int>>")
+    del folded
     cut_up = f"{into}__cut"
     while cut_up in docs.columns:
         cut_up += "_"
-    coded = docs.withColumn(cut_up, _cutter(docs.sparkSession, place, ranks, pattern, max_fold)(F.col(text_col)))
-    own = _let(
-        rank_literal(ranks), lambda table: F.transform(F.col(cut_up)["words"], lambda w, k: F.when(w.isNull(), F.get(F.col(cut_up)["long"], k)).otherwise(fold(w, table)))
+    coded = docs.withColumn(cut_up, _cutter(docs.sparkSession, known, ranks, pattern, max_fold)(F.col(text_col)))
+    codes, rare, long = (F.col(cut_up)[x] for x in ("codes", "words", "long"))
+    own = RankMap(ranks).folder(
+        lambda fold: F.transform(rare, lambda w, k: F.when(F.size(w) > 0, fold(w).cast("array<int>")).otherwise(F.get(long, k)))
     )
-    ids = _let(own, lambda rare: F.flatten(F.transform(F.col(cut_up)["codes"], lambda c: F.when(c >= 0, F.get(frequent, c)).otherwise(F.get(rare, -1 - c)))))
-    return coded.withColumn(into, ids).drop(cut_up)
+
+    def told(frequent: Column, own: Column) -> Column:
+        one = lambda c: F.when(c >= _PIECES, F.array(c - F.lit(_PIECES))).when(c >= 0, F.get(frequent, c)).otherwise(F.get(own, -1 - c))
+        return F.flatten(F.transform(codes, one))
+
+    return coded.withColumn(into, _let(frequent, lambda f: _let(own, lambda o: told(f, o)))).drop(cut_up)
 
 
 def encode_and_decode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", **options) -> DataFrame:
