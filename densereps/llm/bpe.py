@@ -3,10 +3,11 @@
 A text is cut into words by the pattern; a word that is itself a piece has that piece's id. All merges of other words are
 folds of Spark higher-order functions: a word is an array of bytes, then of ids, and each step of the fold joins the
 leftmost neighbours of least rank. The rank map is a literal: an array of buckets, by the pair of ids, of what the pair
-becomes. The corpus's words are counted over all texts, and the MAX_WORDS most frequent distinct ones are folded once; every
-text's other distinct words are folded with their text. Only words of over MAX_FOLD bytes, for which arrays that are copied
-in each step take time by the square of their length, get the same merges with a heap. Decoding looks up each id's piece
-and concatenates the binary pieces, in Spark as well.
+becomes. The corpus's words are counted over all texts, and the MAX_WORDS most frequent distinct ones are folded once. With rare="fold", every
+text's other distinct words are folded with their text, and decoding looks up each id's piece and concatenates the binary
+pieces, in Spark as well; only words of over MAX_FOLD bytes, for which arrays that are copied in each step take time by the
+square of their length, get the same merges with a heap. With rare="merge", all other words get the same merges on arrays
+where they occur, those of a stretch of texts together, one pair of each word in a step. Both give the same ids.
 
 Defined results: a null or empty text has no ids and decodes to nothing; special tokens are ordinary text; texts
 are read whole; columns besides the text pass through.
@@ -27,6 +28,7 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from densereps.llm.hashtable import find_slot, hash_table
 from densereps.plans.lineage import cut
 
 #: Frequent distinct words whose merges are folded once, and the longest word in bytes that is folded.
@@ -35,6 +37,9 @@ MAX_WORDS, MAX_FOLD = 1 << 16, 256
 _PIECES = 1 << 30
 #: Buckets of pairs: a prime. No rank.
 _BUCKETS, _NONE = 262_139, 2**62
+#: Rarer words that a task keeps at once, and the bytes of the longest one that is merged together with others.
+CACHE, MAX_TOGETHER = 1 << 16, 64
+_NO_PAIR = 2**31 - 1
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -67,6 +72,60 @@ def merge(word: bytes, ranks: dict[bytes, int]) -> list[int]:
     return [ranks[word[i : end[i]]] for i in range(n) if alive[i]]
 
 
+def pair_table(ranks: dict[bytes, int]) -> dict:
+    """For merging many words at once: single bytes' ids, and the id that each pair of ids becomes, by hashed pair."""
+    pairs: dict[int, int] = {}
+    for piece, rank in ranks.items():
+        for k in range(1, len(piece)):
+            if (a := ranks.get(piece[:k])) is not None and (b := ranks.get(piece[k:])) is not None:
+                pairs[a << 32 | b] = rank
+    keys = np.fromiter(pairs, np.uint64, len(pairs))
+    slots, rows = hash_table(keys)
+    joined = np.append(np.fromiter(pairs.values(), np.int64, len(pairs)), _NO_PAIR).astype(np.int32)
+    single = np.array([ranks.get(bytes([b]), -1) for b in range(256)], np.int32)
+    return {"slots": slots, "joined": joined[rows], "single": single}
+
+
+def _rank_pairs(table: dict, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """What each pair of ids becomes, _NO_PAIR if nothing."""
+    at = find_slot(table["slots"], a.astype(np.uint64) << np.uint64(32) | b.astype(np.uint64))
+    return np.where(at >= 0, table["joined"][at], _NO_PAIR)
+
+
+def merge_many(words: list[bytes], table: dict) -> list[bytes]:
+    """merge() of many words of similar length at once, as little-endian 32-bit ids: a step joins one pair in each word."""
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    width = int(sizes.max())
+    column = np.arange(width)
+    inside = column < sizes[:, None]
+    ids = np.full((len(words), width), -1, np.int32)
+    ids[inside] = table["single"][np.frombuffer(b"".join(words), np.uint8)]
+    ranks = np.full((len(words), width), _NO_PAIR, np.int32)
+    pair = inside[:, 1:]
+    ranks[:, :-1][pair] = _rank_pairs(table, ids[:, :-1][pair], ids[:, 1:][pair])
+    left = np.flatnonzero(ranks.min(axis=1) < _NO_PAIR)
+    live, rank = ids[left], ranks[left]
+    while len(left):
+        row = np.arange(len(left))
+        at = rank.argmin(axis=1)  # leftmost
+        live[row, at] = rank[row, at]
+        shifted = np.minimum(column + (column > at[:, None]), width - 1)
+        sizes[left] -= 1
+        n = sizes[left]
+        live = np.take_along_axis(live, shifted, axis=1)
+        rank = np.take_along_axis(rank, np.minimum(column + (column >= at[:, None]), width - 1), axis=1)
+        rank[row, n - 1] = _NO_PAIR
+        for place in (at - 1, at):
+            ok = np.flatnonzero((place >= 0) & (place + 1 < n))
+            rank[ok, place[ok]] = _rank_pairs(table, live[ok, place[ok]], live[ok, place[ok] + 1])
+        done = rank.min(axis=1) == _NO_PAIR
+        ids[left[done]] = live[done]
+        left, live, rank = left[~done], live[~done], rank[~done]
+    flat = ids[column < sizes[:, None]].astype("<u4").tobytes()
+    ends = (np.cumsum(sizes) * 4).tolist()
+    return [flat[b - 4 * k : b] for b, k in zip(ends, sizes.tolist(), strict=True)]
+
+
 def _literal(rows: list, kind: str) -> Column:
     """A literal, once the optimizer has folded it."""
     return F.from_json(F.lit(json.dumps(rows, separators=(",", ":"))), kind)
@@ -303,12 +362,88 @@ def encode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str =
     return coded.withColumn(into, _let(frequent, lambda f: _let(own, lambda o: told(f, o)))).drop(cut_up)
 
 
-def encode_and_decode(docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", **options) -> DataFrame:
-    """docs with a struct column into: ids as little-endian unsigned 32-bit integers, n_tokens, and the decoded bytes."""
+CODES = "ids binary, n_tokens long, decoded binary"
+
+
+def _coder(spark: SparkSession, packed: dict[str, bytes], ranks: dict[bytes, int], pattern: str, size: int = 1 << 19):
+    held = spark.sparkContext.broadcast((packed, ranks, pair_table(ranks)))
+
+    @F.arrow_udf(CODES)
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        find = regex.compile(pattern).findall
+        packed, ranked, table = held.value
+        pieces = [b""] * (max(ranked.values(), default=-1) + 1)
+        for piece, rank in ranked.items():
+            pieces[rank] = piece
+        rare: dict[str, bytes] = {}
+
+        def learn(words: set[str]) -> None:
+            """Merges words in groups of similar length; long ones one by one."""
+            groups: dict[int, list[tuple[str, bytes]]] = {}
+            for word in words:
+                raw = word.encode()
+                whole = ranked.get(raw)
+                if whole is not None:
+                    rare[word] = whole.to_bytes(4, "little")
+                elif len(raw) > MAX_TOGETHER:
+                    rare[word] = b"".join([i.to_bytes(4, "little") for i in merge(raw, ranked)])
+                else:
+                    groups.setdefault(-(-len(raw) // 4), []).append((word, raw))
+            for group in groups.values():
+                for at in range(0, len(group), 1 << 14):
+                    part = group[at : at + (1 << 14)]
+                    rare.update(zip([w for w, _ in part], merge_many([r for _, r in part], table), strict=True))
+
+        for texts in batches:
+            ids, back, at, all_texts = [], [], 0, texts.to_pylist()
+            while at < len(all_texts):
+                end, held_size = at, 0
+                while end < len(all_texts) and (end == at or held_size < size):
+                    held_size += len(all_texts[end] or "")
+                    end += 1
+                found = [find(t) if t else [] for t in all_texts[at:end]]
+                needed = set().union(*found).difference(packed)
+                if len(rare) + len(needed) > CACHE:
+                    rare.clear()
+                learn(needed.difference(rare))
+                for words in found:
+                    raw = b"".join([packed.get(w) or rare[w] for w in words])
+                    ids.append(raw)
+                    back.append(decode_ids(raw, pieces))
+                at = end
+            yield pa.StructArray.from_arrays(
+                [pa.array(ids, pa.binary()), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(back, pa.binary())],
+                names=["ids", "n_tokens", "decoded"],
+            )
+
+    return run
+
+
+def decode_ids(raw: bytes, pieces: list[bytes]) -> bytes:
+    """The pieces of little-endian 32-bit ids, concatenated."""
+    return b"".join(map(pieces.__getitem__, np.frombuffer(raw, "<u4").tolist()))
+
+
+def encode_and_decode(
+    docs: DataFrame, into: str, path: str, pattern: str, text_col: str = "text", max_words: int = MAX_WORDS, max_fold: int = MAX_FOLD, rare: str = "merge"
+) -> DataFrame:
+    """docs with a struct column into: ids as little-endian unsigned 32-bit integers, n_tokens, and the decoded bytes.
+
+    rare: what becomes of words beyond the max_words most frequent. fold: they are folded with their text, and ids are
+    packed and decoded by Spark functions. merge: a task merges them by the same rule on arrays, and packs and decodes.
+    """
+    if rare not in ("fold", "merge"):
+        raise ValueError("rare is fold or merge")
     ranks = read_ranks(path)
+    if rare == "merge":
+        words = frequent_words(docs, pattern, ranks, text_col, max_words, min(max_fold, 24))
+        packed = {w: rank.to_bytes(4, "little") for w, rank in _texts_of(ranks).items()}
+        for r in fold_words(words, ranks).collect():  # at most max_words short words
+            packed[bytes(r["word"]).decode()] = b"".join(i.to_bytes(4, "little") for i in r["ids"])
+        return docs.withColumn(into, _coder(docs.sparkSession, packed, ranks, pattern)(F.col(text_col)))
     made = lambda ids: F.struct(pack_ids(ids, ranks).alias("ids"), F.size(ids).cast("long").alias("n_tokens"), decode(ids, ranks).alias("decoded"))
     own = f"{into}__ids"
     while own in docs.columns:
         own += "_"
-    coded = encode(docs, own, path, pattern, text_col, **options)
+    coded = encode(docs, own, path, pattern, text_col, max_words, max_fold)
     return coded.withColumn(into, _let(F.col(own), made)).drop(own)

@@ -271,10 +271,12 @@ def test_decontamination_against_brute_force(spark, docs):
 # ---- BPE
 
 
-def test_bpe_as_tiktoken_and_round_trip(docs):
+@pytest.mark.parametrize("rare", ["fold", "merge"])
+def test_bpe_as_tiktoken_and_round_trip(docs, rare):
     path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
     encoding = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
-    got = bpe.encode_and_decode(docs, "codes", path, public_tokenizers.PATTERN).collect()
+    long = docs.limit(1).withColumn("text", F.lit("a" * 300 + " " + "Äx" * 400))
+    got = bpe.encode_and_decode(docs.unionByName(long), "codes", path, public_tokenizers.PATTERN, rare=rare).collect()
     for r in got:
         ids = np.frombuffer(bytes(r.codes.ids), "<u4").tolist()
         assert ids == encoding.encode_ordinary(r.text or "") and r.codes.n_tokens == len(ids)
