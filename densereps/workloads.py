@@ -141,6 +141,8 @@ LARGE = {
 }
 #: The same of the vectors: one where no point is a core, and one at which all are.
 VECTORS = [(1.1, 5), (1.5, 10)]
+#: Blocks of the anytime method after its first, in the comparisons.
+BLOCKS = 1
 COMPARED = "dataset string, eps double, min_pts int, method string, k int, processed long, n_reps long, reason string, seconds double, nmi_truth double"
 
 
@@ -154,9 +156,9 @@ def _sampled(points: DataFrame, eps: float, min_pts: int, truth: bool, gamma: in
 
 
 def _anytime(points: DataFrame, eps: float, min_pts: int, truth: bool) -> tuple:
-    """The block-wise method, stopped after ten blocks; processed are its range queries."""
+    """The block-wise method, stopped after BLOCKS blocks; processed are its range queries."""
     began = time.time()
-    labels, trace = anytime.anytime_blocks(points, eps, min_pts, 1024, 1024, snapshot=100, max_blocks=10)
+    labels, trace = anytime.anytime_blocks(points, eps, min_pts, 2048, 2048, snapshot=100, max_blocks=BLOCKS)
     last = trace.orderBy(F.desc("block")).first()
     seconds = time.time() - began
     nmi = metrics.nmi(labels.join(points.select("id", "truth"), "id"), "cluster", "truth").first()["nmi"] if truth else None
@@ -175,9 +177,10 @@ def w_large(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, settings in LARGE.items():
         points = cut(load_points(spark, sf_dir, name))
         rows.append((name, None, None, *_autok(points)))
-        for eps, min_pts in settings:
-            truth = name != "events_xy"
-            rows += [(name, float(eps), min_pts, *f(points, eps, min_pts, truth)) for f in (_sampled, _anytime)]
+        truth = name != "events_xy"
+        rows += [(name, float(eps), min_pts, *_sampled(points, eps, min_pts, truth)) for eps, min_pts in settings]
+        eps, min_pts = settings[-1]
+        rows.append((name, float(eps), min_pts, *_anytime(points, eps, min_pts, truth)))
     vectors = cut(load_vectors(spark, sf_dir))
     rows += [("embeddings", eps, min_pts, *_sampled(vectors, eps, min_pts, True, 240, 80)) for eps, min_pts in VECTORS]
     return spark.createDataFrame(rows, COMPARED)
@@ -254,7 +257,7 @@ def w_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
         k = metrics.n_clusters(f(points, EPS, MIN_PTS)).first()["k"]
         rows.append((name, k, points.count(), time.time() - began))
     began = time.time()
-    labels, trace = anytime.anytime_blocks(points, EPS, MIN_PTS, 64, 64)
+    labels, trace = anytime.anytime_blocks(points, EPS, MIN_PTS, 512, 256)
     rows.append(("anytime", metrics.n_clusters(labels).first()["k"], trace.agg(F.max("queries")).first()[0], time.time() - began))
     began = time.time()
     last = Ssdc(SsdcParams(eps=EPS, min_pts=MIN_PTS, gamma=180, beta=180, tau=0.5)).fit(points).trace.orderBy(F.desc("iteration")).first()
