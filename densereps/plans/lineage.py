@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import gc
 import os
 import tempfile
 import uuid
@@ -41,6 +42,12 @@ def remove_at_end(spark: SparkSession, path: str) -> None:
     atexit.register(remove, spark, path)
 
 
+def forget_unused(spark: SparkSession) -> None:
+    """Have shuffle files dropped that no table refers to any more: Spark's cleaner learns of them when the driver collects garbage."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def stored(df: DataFrame) -> DataFrame:
     """Like cut(), as a compressed columnar table in the shared folder, for wide or many rows; kept to the end."""
     spark = df.sparkSession
