@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -75,6 +76,25 @@ def running_counts(events: DataFrame, key: str) -> DataFrame:
     return events.groupBy(key).transformWithStateInPandas(RunningCount(), "key string, n long", "Update", "None")
 
 
+def drain_to_files(stream: DataFrame, at: str) -> DataFrame:
+    """All that a stream over files appends, as files under at, which all machines share; for outputs of any size."""
+    query = stream.writeStream.format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/checkpoint")
+    query.outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{at}/out")
+
+
+@contextlib.contextmanager
+def state_on_disk(spark: SparkSession):
+    """Streams started within keep their state in RocksDB, not in the executors' heaps."""
+    provider = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(provider)
+    spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(provider, before)
+
+
 def drain(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
     """All that a stream over files gives, as a table in memory; for tests and small outputs."""
     writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
