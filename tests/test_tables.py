@@ -7,6 +7,7 @@ from densereps.queries import QUERIES
 
 READING = [
     "test_size_table",
+    "coverage_table",
 ]
 
 
