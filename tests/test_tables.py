@@ -8,6 +8,7 @@ from densereps.queries import QUERIES
 READING = [
     "test_size_table",
     "coverage_table",
+    "eta_schedule",
 ]
 
 
