@@ -9,6 +9,7 @@ READING = [
     "test_size_table",
     "coverage_table",
     "eta_schedule",
+    "w_alpha",
 ]
 
 
