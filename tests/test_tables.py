@@ -10,6 +10,7 @@ READING = [
     "coverage_table",
     "eta_schedule",
     "w_alpha",
+    "delta_trend",
 ]
 
 
