@@ -11,6 +11,7 @@ READING = [
     "eta_schedule",
     "w_alpha",
     "delta_trend",
+    "processed_running_total",
 ]
 
 
