@@ -12,6 +12,7 @@ READING = [
     "w_alpha",
     "delta_trend",
     "processed_running_total",
+    "test_size_shares",
 ]
 
 
