@@ -13,6 +13,7 @@ READING = [
     "delta_trend",
     "processed_running_total",
     "test_size_shares",
+    "predicted_cost_table",
 ]
 
 
