@@ -14,6 +14,7 @@ READING = [
     "processed_running_total",
     "test_size_shares",
     "predicted_cost_table",
+    "k_frequency_table",
 ]
 
 
