@@ -15,6 +15,7 @@ READING = [
     "test_size_shares",
     "predicted_cost_table",
     "k_frequency_table",
+    "run_summary_table",
 ]
 
 
