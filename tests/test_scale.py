@@ -50,6 +50,18 @@ def test_all_pairs_are_never_kept(spark, sf_dir, monkeypatch, name):
     same_as_sql(QUERIES[name](spark, sf_dir), name, sf_dir)
 
 
+def test_similarity_join_expands_no_pairs(spark, sf_dir, monkeypatch):
+    """A row for each point with its class and number of links; they agree with the pairs."""
+    points = QUERIES["scan_shapes_small"](spark, sf_dir).toPandas()
+    i, j = kernel.near_pairs(points[["x", "y"]].to_numpy(), points[["x", "y"]].to_numpy(), 150)
+    label = kernel.components(np.arange(len(points)), i, j)
+    ids = points["id"].to_numpy()
+    want = {int(ids[k]): (int(ids[label == label[k]].min()), int((i == k).sum()) - 1) for k in range(len(ids))}
+    for module in (exact, neighbors):
+        monkeypatch.setattr(module, "range_pairs", None)
+    assert {r.id: (r.component, r.n_links) for r in QUERIES["eps_pairs"](spark, sf_dir).collect()} == want
+
+
 def test_stream_without_copies_is_not_collected(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(streams, "drain", None)
     same_as_sql(QUERIES["stream_deduplicated"](spark, sf_dir), "stream_deduplicated", sf_dir)
