@@ -34,8 +34,8 @@ SHINGLE, SEED, MAX_BITS = 3, 42, 3
 PIVOTS = 16
 #: Fingerprints of one chunk of a large block.
 CHUNK = 2048
-#: Expected fingerprints of a block that decides how many bit ranges the blocks agree on.
-BLOCK = 256
+#: Bits that blocks agree on at least, and expected fingerprints of a block that decides whether they agree on more.
+AGREED, BLOCK = 16, 256
 
 _ALL = (1 << 64) - 1
 
@@ -85,8 +85,9 @@ def _fingerprints(shingle: int):
 
 def block_masks(n: int, max_bits: int = MAX_BITS) -> list[int]:
     """Bit masks, as signed longs; fingerprints within max_bits agree on one of them at least, at any n."""
+    agreed = lambda ranges: 64 * (ranges - max_bits) // ranges
     ranges = max_bits + 1
-    while n / 2 ** (64 * (ranges - max_bits) // ranges) > BLOCK and ranges < 8:
+    while (agreed(ranges) < AGREED or n / 2 ** agreed(ranges) > BLOCK) and ranges < 8:
         ranges += 1
     edges = [64 * i // ranges for i in range(ranges + 1)]
     bits = [(1 << edges[i + 1]) - (1 << edges[i]) for i in range(ranges)]
