@@ -323,6 +323,15 @@ def test_folded_merges_equal_linear_ones(spark):
     assert bpe.merge(b"ab" * 5000, ranks)
 
 
+def test_plan_of_the_fold_has_no_rank_map_in_its_text(spark):
+    """Spark keeps each query's plan as text on the driver."""
+    ranks = bpe.read_ranks(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+    words = spark.createDataFrame([(w,) for w in (b" there", b"aab", b"aab", None)], "word binary")
+    folded = bpe.fold_words(words.na.drop(), ranks)
+    assert [bytes(r.word) for r in folded.orderBy("word").collect()] == [b" there", b"aab", b"aab"]
+    assert len(folded._jdf.queryExecution().toString()) < 200_000
+
+
 # ---- top-k
 
 
