@@ -4,7 +4,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from densereps.operators import exact, kernel, neighbors
+from densereps.operators import exact, halo, kernel, neighbors
 from densereps.params import SsdcParams
 from densereps.queries import ORACLES, QUERIES
 from densereps.streaming import streams
@@ -89,3 +89,30 @@ def test_dense_points_without_their_pairs(monkeypatch):
 def test_labels_by_cells_can_be_written(spark, sf_dir, tmp_path):
     QUERIES["nearest_rep_labels_cells"](spark, sf_dir.replace("0.001", "0.01")).write.parquet(str(tmp_path / "out"))
     assert spark.read.parquet(str(tmp_path / "out")).count() == 1500
+
+
+def test_counts_of_rows_too_far_apart_for_a_table(monkeypatch):
+    """Dense rows that span more than one table are counted by several, not by their pairs."""
+    xs = np.random.default_rng(0).integers(0, (600, 80), (9000, 2))
+    want = kernel.near_counts(xs, 12)
+    far = xs + np.where(xs[:, :1] >= 300, 10_000_000, 0)
+    at = np.flatnonzero(xs[:, 0] % 3 == 0)
+    apart = np.where(xs[:, 0] >= 300, kernel.near_counts(xs, 12, (xs[:, 0] >= 300).astype(int)), kernel.near_counts(xs, 12, (xs[:, 0] < 300).astype(int)))
+    monkeypatch.setattr(kernel, "near_chunks", None)
+    assert (kernel.near_counts(far, 12) == apart).all() and (kernel.near_counts(far, 12, at=at) == apart[at]).all()
+    monkeypatch.setattr(kernel, "MAX_TABLE", 20_000)
+    assert (kernel.near_counts(xs, 12) == want).all()
+
+
+def test_tiles_of_few_rows_are_dealt_to_all_cores(spark, sf_dir):
+    """Many points on few places are little to shuffle and much to count: tiles keep their own partitions."""
+    spark.conf.set("spark.sql.shuffle.partitions", "7")
+    try:
+        parts = []
+        stored = halo.stored
+        halo.stored = lambda df: parts.append(df.rdd.getNumPartitions()) or stored(df)
+        QUERIES["exact_density_halo_events"](spark, sf_dir).collect()
+        assert parts == [7]
+    finally:
+        halo.stored = stored
+        spark.conf.set("spark.sql.shuffle.partitions", "4")
