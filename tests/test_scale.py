@@ -4,6 +4,9 @@ import duckdb
 import numpy as np
 import pytest
 
+from pyspark.sql import functions as F
+
+from densereps import workloads
 from densereps.operators import exact, halo, kernel, neighbors
 from densereps.params import SsdcParams
 from densereps.queries import ORACLES, QUERIES
@@ -116,3 +119,22 @@ def test_tiles_of_few_rows_are_dealt_to_all_cores(spark, sf_dir):
     finally:
         halo.stored = stored
         spark.conf.set("spark.sql.shuffle.partitions", "4")
+
+
+def test_many_representatives_meet_no_pairs(monkeypatch):
+    """Labels by lines are those of the nearest, the least id of equals, and form no pairs of points and representatives."""
+    rng = np.random.default_rng(0)
+    xs, reps, ids = rng.integers(0, 90, (2000, 2)), rng.integers(0, 60, (300, 2)), rng.permutation(3000)[:300]
+    by = np.argsort(ids)
+    want = ids[by][((xs[:, None] - reps[by][None]) ** 2).sum(axis=2).argmin(axis=1)]
+    monkeypatch.setattr(kernel, "near_pairs", None)
+    assert (kernel.nearest(xs, reps, ids, ids, reach=20) == want).all()
+    monkeypatch.setattr(kernel, "MAX_TABLE", 1)
+    assert (kernel.nearest(xs, reps, ids, ids, reach=20) == want).all()
+
+
+def test_runs_are_dealt_evenly(spark, sf_dir):
+    """As many runs to each task."""
+    jobs = [("shapes9_small", "seeds", s, workloads._options("shapes9_small")) for s in range(12)]
+    parts = workloads.repeated(spark, sf_dir, jobs).groupBy(F.spark_partition_id().alias("part")).count().collect()
+    assert [r["count"] for r in parts] == [1] * 12
